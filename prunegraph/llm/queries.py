@@ -14,6 +14,12 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import toxicity
+
+    return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import packing
 
@@ -28,7 +34,7 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op2_packing": op2_packing, "op4_sharding": op4_sharding}
+    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding}
 
 
 def oracle_sql() -> dict[str, str]:
