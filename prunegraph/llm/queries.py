@@ -33,8 +33,14 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import minhash
+
+    return minhash.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=85)
+
+
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding}
+    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding, "op8_minhash": op8_minhash}
 
 
 def oracle_sql() -> dict[str, str]:
