@@ -39,8 +39,14 @@ def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=85)
 
 
+def op10_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import suffixes
+
+    return suffixes.remove_repeats(table(spark, sf_dir, "documents")).drop("kept")
+
+
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding, "op8_minhash": op8_minhash}
+    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding, "op8_minhash": op8_minhash, "op10_suffix_array": op10_suffix_array}
 
 
 def oracle_sql() -> dict[str, str]:
