@@ -12,7 +12,8 @@ from prunegraph.llm.common import mix
 
 _seed = np.random.default_rng(20240607)
 _BYTE = _seed.integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
-_BYTE[ord("A") : ord("Z") + 1] = _BYTE[ord("a") : ord("z") + 1]
+_FOLDED = _BYTE.copy()
+_FOLDED[ord("A") : ord("Z") + 1] = _BYTE[ord("a") : ord("z") + 1]
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _R = np.uint64(0x5851F42D4C957F2D)
@@ -30,11 +31,11 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _power["up"][:n], _power["down"][:n]
 
 
-def sums(raw: np.ndarray) -> np.ndarray:
-    """Prefix sums P with (P[j] - P[i]) * R^-i a hash of raw[i:j]."""
+def sums(raw: np.ndarray, fold: bool = False) -> np.ndarray:
+    """Prefix sums P with (P[j] - P[i]) * R^-i a hash of raw[i:j]; fold: A-Z as a-z."""
     up, _ = powers(max(1, len(raw)))
     out = np.zeros(len(raw) + 1, np.uint64)
-    np.cumsum(_BYTE[raw] * up[: len(raw)], out=out[1:])
+    np.cumsum((_FOLDED if fold else _BYTE)[raw] * up[: len(raw)], out=out[1:])
     return out
 
 
@@ -54,7 +55,7 @@ def word_hashes(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
     stop[-1] = inside[-1]
     stop[edge[edge > 0] - 1] |= inside[edge[edge > 0] - 1]
     ends = np.flatnonzero(stop) + 1
-    total = sums(raw)
+    total = sums(raw, fold=True)
     _, down = powers(len(raw) + 1)
     h = mix((total[ends] - total[starts]) * down[starts] ^ (ends - starts).astype(np.uint64))
     return h, np.searchsorted(offsets, starts, "right") - 1
