@@ -33,6 +33,13 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import quality
+
+    found = quality.score_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return found.select("doc_id", "lang", "n_bytes", "perplexity", "threshold", "kept")
+
+
 def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import minhash
 
@@ -46,7 +53,7 @@ def op10_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding, "op8_minhash": op8_minhash, "op10_suffix_array": op10_suffix_array}
+    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding, "op5_quality": op5_quality, "op8_minhash": op8_minhash, "op10_suffix_array": op10_suffix_array}
 
 
 def oracle_sql() -> dict[str, str]:
