@@ -26,6 +26,12 @@ def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import nearest
+
+    return nearest.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0)
+
+
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import sharding
 
@@ -46,6 +52,12 @@ def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=85)
 
 
+def op9_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import graphs
+
+    return graphs.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op10_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import suffixes
 
@@ -53,7 +65,7 @@ def op10_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op4_sharding": op4_sharding, "op5_quality": op5_quality, "op8_minhash": op8_minhash, "op10_suffix_array": op10_suffix_array}
+    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op3_nearest": op3_nearest, "op4_sharding": op4_sharding, "op5_quality": op5_quality, "op8_minhash": op8_minhash, "op9_vectors": op9_vectors, "op10_suffix_array": op10_suffix_array}
 
 
 def oracle_sql() -> dict[str, str]:
