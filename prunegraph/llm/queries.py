@@ -46,6 +46,12 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "lang", "n_bytes", "perplexity", "threshold", "kept")
 
 
+def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from prunegraph.llm import mixing
+
+    return mixing.mix(table(spark, sf_dir, "documents"))
+
+
 def op7_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import htmltext
 
@@ -71,7 +77,7 @@ def op10_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op3_nearest": op3_nearest, "op4_sharding": op4_sharding, "op5_quality": op5_quality, "op7_html": op7_html, "op8_minhash": op8_minhash, "op9_vectors": op9_vectors, "op10_suffix_array": op10_suffix_array}
+    return {"op1_toxicity": op1_toxicity, "op2_packing": op2_packing, "op3_nearest": op3_nearest, "op4_sharding": op4_sharding, "op5_quality": op5_quality, "op6_mixing": op6_mixing, "op7_html": op7_html, "op8_minhash": op8_minhash, "op9_vectors": op9_vectors, "op10_suffix_array": op10_suffix_array}
 
 
 def oracle_sql() -> dict[str, str]:
