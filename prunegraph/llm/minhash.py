@@ -36,6 +36,7 @@ NEIGHBOURS = 2
 SLACK = 0.2
 #: Pairs up to which they are broadcast to the sets (checked by count).
 SMALL_PAIRS = 50_000
+ID_SLOTS = 1 << 20
 
 
 def signatures(docs: DataFrame, words: int, hashes: int = HASHES) -> DataFrame:
@@ -167,7 +168,12 @@ def class_sets(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
                 sets, at = shingle_sets(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], words)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array([sets[at[i] : at[i + 1]].tobytes() for i in range(b - a)], pa.binary())], ["id", "set"])
 
-    text = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi").dropDuplicates(["id"])
+    # a fixed number of hash slots of the wanted ids keeps most other texts out of the shuffle
+    slot = F.pmod(F.xxhash64("id"), F.lit(ID_SLOTS)).cast("int")
+    slots = ids.select(slot.alias("slot")).distinct()
+    text = docs.select(F.col("doc_id").cast("long").alias("id"), "text").withColumn("slot", slot).join(F.broadcast(slots), "slot", "left_semi")
+    nth = F.row_number().over(Window.partitionBy("id").orderBy("id"))
+    text = text.drop("slot").join(ids, "id", "left_semi").withColumn("nth", nth).filter("nth = 1").select("id", "text")
     return text.mapInArrow(run, "id long, set binary")
 
 
