@@ -1,11 +1,23 @@
-"""Registry of the engine's queries and their DuckDB oracles."""
+"""Registry of the engine's queries and their DuckDB oracles.
+
+Every query runs over its whole tables. Floats leave as millionths (``fixed``), so the
+two engines' results compare by value.
+"""
 
 from __future__ import annotations
 
+from prunegraph.plans import headline, measures, surround, training
+
 
 def queries() -> dict:
-    return {}
+    found: dict = {}
+    for module in (headline, measures, training, surround):
+        found.update(module.queries())
+    return found
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    found: dict = {}
+    for module in (headline, measures, training, surround):
+        found.update(module.oracle_sql())
+    return found

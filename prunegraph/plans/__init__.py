@@ -1 +1 @@
-"""Plans of the graph-inference engine."""
+"""Queries over the given tables and their SQL twins."""
