@@ -1,6 +1,244 @@
-def queries():
-    return {}
+"""Experiments that train, prune and re-train: accuracy, cost and time by budget."""
+
+from __future__ import annotations
+
+import time
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from prunegraph.functions import attributes as A
+from prunegraph.functions import cost as C
+from prunegraph.functions import metrics as M
+from prunegraph.operators import edges as E
+from prunegraph.operators import prune as P
+from prunegraph.operators import train as T
+from prunegraph.operators.layers import infer_full, predictions
+from prunegraph.operators.support import infer_batched, make_batches, support_sets
+
+HIDDEN = 16
+ROUNDS = 60
+
+
+class Task:
+    """The purchase graph with the region task, its attributes standardised on training nodes."""
+
+    def __init__(self, spark: SparkSession, folder: str, multilabel: bool = False, train: int = 60, val: int = 75):
+        raw, self.width = A.purchase_features(spark, folder)
+        self.spark, self.multilabel = spark, multilabel
+        self.nodes = raw.select("node_id")
+        self.edges = E.purchase(spark, folder).persist()
+        split = E.split_of(train=train, val=val)
+        self.train = self.nodes.filter(split == "train")
+        self.test = self.nodes.filter(split == "test")
+        self.feats = A.standardize(raw, self.width, self.train)[0].persist()
+        if multilabel:
+            rows = A.customer_types_multi(spark, folder)
+            self.labels = rows.groupBy("node_id").agg(F.sort_array(F.collect_list(F.struct("p_type", "label"))).alias("c")).select("node_id", F.transform("c", lambda x: x["label"] == 1).alias("label"))
+            self.classes = 6
+        else:
+            self.labels, self.classes = A.part_region(spark, folder), 5
+        self.labels = self.labels.persist()
+
+    def samples(self, seed: int = 0, samples: int = 3, roots: int = 700):
+        return T.sample_subgraphs(self.train, self.edges, self.feats, self.labels, samples, roots, 2, seed, self.classes if self.multilabel else None)
+
+    def reference(self, samples, k_min=0, k_max=1, hidden=HIDDEN, seed=0):
+        net = T.build(self.width, [hidden, hidden], self.classes, k_min, k_max, seed=seed)
+        return T.train(net, samples, ROUNDS, decay=1e-3, multilabel=self.multilabel)
+
+    def accuracy(self, scores: DataFrame) -> float:
+        pred = predictions(scores, self.multilabel).join(self.test, "node_id", "left_semi").join(self.labels, "node_id")
+        return float(M.micro_f1(pred, multilabel=self.multilabel).first()["micro_f1"] or 0.0)
+
+    def close(self):
+        for df in (self.edges, self.feats, self.labels):
+            df.unpersist()
+
+
+def _ladder(task: Task, samples, net, scheme, etas, selector="lasso"):
+    """(eta, network, pruning seconds, re-training seconds), the reference first."""
+    began = time.time()
+    stats = P.network_grams(net, task.edges, task.feats, task.train, task.width, scheme(0.5))
+    shared = time.time() - began
+    out = [(1.0, net, 0.0, 0.0)]
+    for eta in etas:
+        began = time.time()
+        pruned, _ = P.prune_network(net, stats, scheme(eta), selector)
+        middle = time.time()
+        again = T.train(pruned, samples, ROUNDS // 2, decay=1e-3, multilabel=task.multilabel)
+        out.append((eta, again, middle - began + shared, time.time() - middle))
+    return out
+
+
+def full_inference(spark: SparkSession, folder: str, etas=(0.5, 0.25, 0.125), multilabel: bool = False, train: int = 60, val: int = 75) -> DataFrame:
+    """Full inference by budget: micro_f1, kMACs a node, bytes, seconds."""
+    task = Task(spark, folder, multilabel, train, val)
+    samples = task.samples()
+    net = task.reference(samples)
+    v, e = task.nodes.count(), task.edges.count()
+    rows = []
+    for eta, model, pruning, training in _ladder(task, samples, net, lambda x: P.full_scheme(x, 2), etas):
+        began = time.time()
+        scores = infer_full(model, task.nodes, task.edges, task.feats, task.width)
+        f1 = task.accuracy(scores)
+        seconds = time.time() - began
+        cost = C.measured_full(model, v, e, task.width)
+        rows.append((float(eta), f1, sum(c["macs"] for c in cost) / 1000, max(c["bytes"] for c in cost), v / seconds, pruning, training))
+    task.close()
+    return spark.createDataFrame(rows, "eta double, micro_f1 double, kmacs double, peak_bytes double, nodes_per_second double, prune_seconds double, retrain_seconds double")
+
+
+def batched_inference(spark: SparkSession, folder: str, size: int = 512, etas=(0.25,), cap: int = 32) -> DataFrame:
+    """Batched inference by budget, with and without stored features."""
+    task = Task(spark, folder)
+    samples = task.samples()
+    net = task.reference(samples)
+    batches = make_batches(task.test, size).persist()
+    n = batches.count()
+    rows = []
+    for eta, model, *_ in _ladder(task, samples, net, lambda x: P.batched_scheme(x), etas):
+        first = model.layers[0].forward(task.nodes, task.edges, task.feats, task.width)
+        kept = first.join(task.test, "node_id", "left_anti").select(F.lit(1).alias("layer"), "node_id", "h").persist()
+        for store in (None, kept):
+            began = time.time()
+            scores = infer_batched(model, batches, task.edges, task.feats, task.width, {2: cap}, store)
+            f1 = task.accuracy(scores.select("node_id", "h"))
+            seconds = time.time() - began
+            support, used, _ = support_sets(batches, task.edges, 2, {2: cap}, store)
+            macs = C.measured_batched(model, used, support.persist(), task.width, n) / 1000
+            read = support.filter("layer = 0").select("batch_id", "node_id").distinct().count()
+            support.unpersist()
+            rows.append((float(eta), store is not None, f1, macs, float(read * 4 * task.width), 1000 * seconds))
+        kept.unpersist()
+    batches.unpersist()
+    task.close()
+    return spark.createDataFrame(rows, "eta double, stored boolean, micro_f1 double, kmacs double, input_bytes double, latency_ms double")
+
+
+def selector_ablation(spark: SparkSession, folder: str, fractions=(0.1, 0.3, 0.5, 0.75, 0.875), seeds=(0, 1, 2)) -> DataFrame:
+    """Relative reconstruction loss of layer 2 by selector and share pruned."""
+    task = Task(spark, folder)
+    samples = task.samples()
+    rows = []
+    for seed in seeds:
+        net = task.reference(samples, seed=seed)
+        scheme = P.Scheme({2: 0.5})
+        stats = P.network_grams(net, task.edges, task.feats, task.train, task.width, scheme)
+        for fraction in fractions:
+            for selector in ("lasso", "weight_norm", "random"):
+                done = P.prune_layer(stats[2], net.layers[1].weights, 1 - fraction, selector, seed=seed)
+                zero = done.path.zero_share[-1] if done.path else None
+                rows.append((selector, fraction, seed, done.relative_loss, zero))
+    task.close()
+    found = spark.createDataFrame(rows, "selector string, pruned double, seed int, loss double, zero_share double")
+    return found.groupBy("selector", "pruned").agg(F.avg("loss").alias("loss"), F.avg("zero_share").alias("zero_share"))
+
+
+def batch_sizes(spark: SparkSession, folder: str, sizes=(64, 256, 1024), cap: int = 32) -> DataFrame:
+    """Latency and support of one batch by its size."""
+    task = Task(spark, folder)
+    net = T.build(task.width, [HIDDEN, HIDDEN], task.classes)
+    rows = []
+    for size in sizes:
+        one = make_batches(task.test, size).filter("batch_id = 0").persist()
+        began = time.time()
+        infer_batched(net, one, task.edges, task.feats, task.width, {2: cap}).write.format("noop").mode("overwrite").save()
+        seconds = time.time() - began
+        support, _, _ = support_sets(one, task.edges, 2, {2: cap})
+        rows.append((size, one.count(), support.filter("layer = 0").count(), 1000 * seconds))
+        one.unpersist()
+    task.close()
+    return spark.createDataFrame(rows, "size int, targets long, attributes_read long, latency_ms double")
+
+
+def store_fractions(spark: SparkSession, folder: str, shares=(0.0, 0.5, 1.0), cap: int = 32) -> DataFrame:
+    """Support and drift when features are stored before the graph grows."""
+    from prunegraph.operators.store import choose
+    from prunegraph.sources.tables import read
+
+    task = Task(spark, folder)
+    net = T.build(task.width, [HIDDEN, HIDDEN], task.classes)
+    orders = read(spark, folder, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
+    cut = orders.agg(F.expr("percentile_approx(unix_timestamp(cast(o_orderdate as timestamp)), 0.8)").alias("c")).first()["c"]
+    old_orders = orders.filter(F.unix_timestamp(F.col("o_orderdate").cast("timestamp")) < cut)
+    lines = read(spark, folder, "lineitem").select("l_orderkey", "l_partkey")
+    old = E.both_ways(lines.join(old_orders, F.col("l_orderkey") == F.col("o_orderkey")).select((F.col("o_custkey") * 4).alias("a"), (F.col("l_partkey") * 4 + 1).alias("b")).distinct())
+    before = net.layers[0].forward(task.nodes, old, task.feats, task.width).select(F.lit(1).alias("layer"), "node_id", "h").persist()
+    batches = make_batches(task.test, 512).persist()
+    exact = infer_batched(net, batches, task.edges, task.feats, task.width, {2: cap}).select("node_id", F.col("h").alias("exact")).persist()
+    rows = []
+    for share in shares:
+        kept = choose(before, share)
+        got = infer_batched(net, batches, task.edges, task.feats, task.width, {2: cap}, kept)
+        gap = got.join(exact, "node_id").select(F.aggregate(F.zip_with("h", "exact", lambda a, b: F.abs(a - b)), F.lit(0.0), lambda s, x: s + x).alias("d")).agg(F.avg("d")).first()[0]
+        support, _, _ = support_sets(batches, task.edges, 2, {2: cap}, kept)
+        rows.append((share, support.filter("layer = 1 and role <> 'visited'").count(), support.filter("layer = 0").count(), float(gap or 0.0)))
+    task.close()
+    return spark.createDataFrame(rows, "share double, computed_layer_1 long, attributes_read long, mean_drift double")
+
+
+def architectures(spark: SparkSession, folder: str) -> DataFrame:
+    """Trained architectures side by side: accuracy and cost."""
+    task = Task(spark, folder)
+    samples = task.samples()
+    v, e = task.nodes.count(), task.edges.count()
+    rows = []
+    for name, k_min, k_max in (("mlp", 0, 0), ("convolution", 1, 1), ("self_mean", 0, 1), ("multi_order", 0, 2)):
+        net = task.reference(samples, k_min, k_max)
+        scores = infer_full(net, task.nodes, task.edges, task.feats, task.width)
+        rows.append((name, task.accuracy(scores), sum(c["macs"] for c in C.measured_full(net, v, e, task.width)) / 1000))
+    stats = P.network_grams(net := task.reference(samples), task.edges, task.feats, task.train, task.width, P.full_scheme(0.25, 2))
+    pruned = T.train(P.prune_network(net, stats, P.full_scheme(0.25, 2))[0], samples, ROUNDS // 2, decay=1e-3)
+    scores = infer_full(pruned, task.nodes, task.edges, task.feats, task.width)
+    rows.append(("self_mean_4x", task.accuracy(scores), sum(c["macs"] for c in C.measured_full(pruned, v, e, task.width)) / 1000))
+    task.close()
+    return spark.createDataFrame(rows, "model string, micro_f1 double, kmacs double")
+
+
+def scale_ladder(spark: SparkSession, folder: str, times=(1, 4)) -> DataFrame:
+    """Nodes a second as the graph is replicated."""
+    from prunegraph.plans.headline import WIDTH, base, two_layer
+
+    nodes, edges, feats = base(spark, folder)
+    rows = []
+    for n in times:
+        more, links = E.replicate(feats, edges, n, 1 << 32)
+        began = time.time()
+        infer_full(two_layer(), more.select("node_id"), links, more, WIDTH).write.format("noop").mode("overwrite").save()
+        count = more.count()
+        rows.append((n, count, count / (time.time() - began)))
+    return spark.createDataFrame(rows, "copies int, nodes long, nodes_per_second double")
+
+
+def memory_limit(spark: SparkSession, folder: str, limit: int = 300_000) -> DataFrame:
+    """Batches whose raw attributes stay under a byte limit, by batch size."""
+    from prunegraph.plans.headline import WIDTH, base, targets_of
+
+    nodes, edges, _ = base(spark, folder)
+    out = None
+    for size in (16, 64, 256):
+        support, _, _ = support_sets(make_batches(targets_of(nodes), size), edges, 2, {2: 32})
+        n = C.input_bytes(support, WIDTH).agg(F.count(F.lit(1)).alias("batches"), F.sum((F.col("bytes") <= limit).cast("long")).alias("fitting"), F.max("bytes").alias("most_bytes")).select(F.lit(size).alias("size"), "batches", "fitting", "most_bytes")
+        out = n if out is None else out.unionByName(n)
+    return out
+
+
+def queries() -> dict:
+    return {
+        "workload_full_inference": full_inference,
+        "workload_batched_inference": batched_inference,
+        "workload_selectors": selector_ablation,
+        "workload_batch_sizes": batch_sizes,
+        "workload_store_fractions": store_fractions,
+        "workload_architectures": architectures,
+        "workload_multilabel": lambda s, d: full_inference(s, d, (0.25,), multilabel=True),
+        "workload_high_test_share": lambda s, d: full_inference(s, d, (0.25,), train=8, val=12),
+        "workload_scale_ladder": scale_ladder,
+        "workload_memory_limit": memory_limit,
+    }
 
 
-def oracle_sql():
+def oracle_sql() -> dict[str, str]:
     return {}
