@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from prunegraph.operators.propagate import propagate, propagate_k, select_channels
 
-EXPRESSION_CELLS = 1024
+EXPRESSION_CELLS = 256
 
 
 def formula_weights(layer: int, k: int, f_in: int, f_out: int) -> np.ndarray:
@@ -178,12 +178,15 @@ class Network:
         return Network([replace(l) for l in self.layers], self.readout, self.head, self.head_bias, self.head_kept)
 
 
-def infer_full(net: Network, nodes: DataFrame, edges: DataFrame, feats: DataFrame, width: int, layout: str = "auto", keep_layers: bool = False):
-    """Embeddings (or scores, with a head) of every node; optionally all layer outputs."""
+def infer_full(net: Network, nodes: DataFrame, edges: DataFrame, feats: DataFrame, width: int, layout: str = "auto", keep_layers: bool = False, persist: bool = False):
+    """Embeddings (or scores, with a head) of every node; optionally all layer outputs.
+
+    ``persist`` keeps each layer, which the next one reads once per branch."""
     outputs, h, w = [], feats, width
     for layer in net.layers:
         h = layer.forward(nodes, edges, h, w, layout=layout)
         w = layer.f_out
+        h = h.persist() if persist else h
         outputs.append((h, w))
     if net.readout == "concat_all":
         out = nodes.select("node_id")

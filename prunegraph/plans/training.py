@@ -81,7 +81,7 @@ def full_inference(spark: SparkSession, folder: str, etas=(0.5, 0.25, 0.125), mu
     rows = []
     for eta, model, pruning, training in _ladder(task, samples, net, lambda x: P.full_scheme(x, 2), etas):
         began = time.time()
-        scores = infer_full(model, task.nodes, task.edges, task.feats, task.width)
+        scores = infer_full(model, task.nodes, task.edges, task.feats, task.width, persist=True)
         f1 = task.accuracy(scores)
         seconds = time.time() - began
         cost = C.measured_full(model, v, e, task.width)
@@ -187,11 +187,11 @@ def architectures(spark: SparkSession, folder: str) -> DataFrame:
     rows = []
     for name, k_min, k_max in (("mlp", 0, 0), ("convolution", 1, 1), ("self_mean", 0, 1), ("multi_order", 0, 2)):
         net = task.reference(samples, k_min, k_max)
-        scores = infer_full(net, task.nodes, task.edges, task.feats, task.width)
+        scores = infer_full(net, task.nodes, task.edges, task.feats, task.width, persist=True)
         rows.append((name, task.accuracy(scores), sum(c["macs"] for c in C.measured_full(net, v, e, task.width)) / 1000))
     stats = P.network_grams(net := task.reference(samples), task.edges, task.feats, task.train, task.width, P.full_scheme(0.25, 2))
     pruned = T.train(P.prune_network(net, stats, P.full_scheme(0.25, 2))[0], samples, ROUNDS // 2, decay=1e-3)
-    scores = infer_full(pruned, task.nodes, task.edges, task.feats, task.width)
+    scores = infer_full(pruned, task.nodes, task.edges, task.feats, task.width, persist=True)
     rows.append(("self_mean_4x", task.accuracy(scores), sum(c["macs"] for c in C.measured_full(pruned, v, e, task.width)) / 1000))
     task.close()
     return spark.createDataFrame(rows, "model string, micro_f1 double, kmacs double")
