@@ -4,8 +4,8 @@ Equal vectors with equal labels are collapsed. The rest of a label is spread ove
 shards of bounded size; each shard gets a hierarchical navigable small-world graph, kept
 as a row of bytes. Every block of a label's vectors queries every shard of the label.
 An audit in each shard compares found links of sampled members with brute force and
-doubles the beam until the recall is met; a query whose whole beam is linked widens its
-own. Found pairs are confirmed by cosine in double precision, and components united.
+doubles the beam until the recall is met; a query whose whole beam is linked widens it
+to the whole linked region. Found pairs are confirmed by cosine in double precision, and components united.
 
 Defined cases: rows that ``vectors.clean`` leaves out and rows with a null label link
 with nothing and stand alone; vectors of different lengths are never linked; repeated
@@ -181,22 +181,49 @@ class SmallWorld:
 
     def linked(self, q: np.ndarray, least: float, beam: int, own: np.ndarray | None = None):
         """(query, member) pairs at or above ``least``; beams that are all linked widen."""
-        rows, members = [], []
-        todo = np.arange(len(q))
-        while len(todo):
-            wide = []
-            step = max(8, min(512, (1 << 22) // max(1, len(self.x)), (1 << 17) // beam))
-            for at in range(0, len(todo), step):
-                some = todo[at : at + step]
-                ids, like = self.search(q[some], beam, None if own is None else own[some])
-                full = (like[:, -1] >= least) & (ids.shape[1] < len(self.x))
-                wide.append(some[full])
-                good = (like >= least) & (ids >= 0) & ~full[:, None]
-                r, c = np.nonzero(good)
-                rows.append(some[r])
-                members.append(ids[r, c])
-            todo, beam = np.concatenate(wide), beam * 4
-        return np.concatenate(rows) if rows else np.zeros(0, int), np.concatenate(members) if members else np.zeros(0, int)
+        rows, members = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        step = max(8, min(512, (1 << 22) // max(1, len(self.x)), (1 << 17) // beam))
+        for at in range(0, len(q), step):
+            some = np.arange(at, min(len(q), at + step))
+            ids, like = self.search(q[some], beam, None if own is None else own[some])
+            full = (like[:, -1] >= least) & (ids.shape[1] < len(self.x))
+            r, c = np.nonzero((like >= least) & (ids >= 0) & ~full[:, None])
+            rows.append(some[r])
+            members.append(ids[r, c])
+            if full.any():
+                r, m = self._flood(q[some[full]], ids[full], least)
+                rows.append(some[full][r])
+                members.append(m)
+        return np.concatenate(rows), np.concatenate(members)
+
+    def _flood(self, q: np.ndarray, ids: np.ndarray, least: float, slack: float = 0.03):
+        """Widens the beam to all that is reached over members within ``slack`` of ``least``;
+        every member is opened once, so the work follows the number of links."""
+        n, total = len(q), len(self.x)
+        seen = np.zeros((n, total), bool)
+        r, m = np.repeat(np.arange(n), ids.shape[1]), ids.ravel()
+        seen[r, m] = True
+        rows, members = [r], [m]
+        while len(r):
+            next_r, next_m = [], []
+            for at in range(0, len(r), 1 << 13):
+                near = self.links[m[at : at + (1 << 13)]]
+                who = np.repeat(r[at : at + (1 << 13)], near.shape[1])
+                near = near.ravel().astype(np.int64)
+                ok = near >= 0
+                ok[ok] = ~seen[who[ok], near[ok]]
+                pair = np.unique(who[ok] * total + near[ok])
+                who, near = pair // total, pair % total
+                seen[who, near] = True
+                like = np.einsum("nd,nd->n", q[who], self.x[near])
+                good = like >= least
+                rows.append(who[good])
+                members.append(near[good])
+                on = like >= least - slack
+                next_r.append(who[on])
+                next_m.append(near[on])
+            r, m = np.concatenate(next_r), np.concatenate(next_m)
+        return np.concatenate(rows), np.concatenate(members)
 
 
 def audited(graph: SmallWorld, least: float, seed: int = 9) -> int:

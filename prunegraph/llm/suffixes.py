@@ -420,8 +420,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
 
 def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """``docs`` with repeated passages cut from ``text``; bytes of letters cut in half go too."""
-    runs = repeated_windows(docs, length).groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list(F.struct("start", "windows")).alias("runs"))
-    rows = docs.join(runs, "doc_id", "left")
+    runs = repeated_windows(docs, length).groupBy(F.col("doc").alias("_doc")).agg(F.collect_list(F.struct("start", "windows")).alias("_runs"))
+    rows = docs.join(runs, F.col("doc_id").cast("long") == F.col("_doc"), "left")
     schema = docs.schema
     at = docs.columns.index("text")
 
@@ -440,4 +440,4 @@ def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             columns[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays(columns, schema.names)
 
-    return rows.select(*docs.columns, "runs").mapInArrow(run, schema)
+    return rows.select(*docs.columns, "_runs").mapInArrow(run, schema)
