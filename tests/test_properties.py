@@ -133,12 +133,12 @@ def test_test_nodes_do_not_leak(spark, bought):
 def test_scheme_masks(bought):
     nodes, edges, feats = bought
     net = two_layer()
-    scheme = P.batched_scheme(0.5)
+    scheme = P.batched_scheme(0.75)
     stats = P.network_grams(net, edges, feats, nodes.filter(E.split_of() == "train"), WIDTH, scheme)
     pruned, report = P.prune_network(net, stats, scheme)
     first, second = pruned.layers
-    assert len(first.kept_branch[1]) == WIDTH // 2 and 0 not in first.kept_branch
-    assert {len(w) for w in second.weights.values()} == {4} and first.f_out == 4
+    assert len(first.kept_branch[1]) == 6 and 0 not in first.kept_branch
+    assert {len(w) for w in second.weights.values()} == {6} and first.f_out == 6
     assert len(infer_full(pruned, nodes, edges, feats, WIDTH).first()["h"]) == second.f_out
     assert sum(c["macs"] for c in C.measured_full(pruned, 100, 500, WIDTH)) < sum(c["macs"] for c in C.measured_full(net, 100, 500, WIDTH))
     assert {r["layer"] for r in report} == {1, 2}
