@@ -136,9 +136,9 @@ def mixed_documents(docs: DataFrame, **how) -> DataFrame:
     # equal rows share a hash: each picks from its own copies
     copies = picked.groupBy("row").agg(F.count(F.lit(1)).alias("_times"))
     same = rows.groupBy("_row").agg(F.count(F.lit(1)).alias("_copies"))
-    times = materialize(copies.join(same, copies["row"] == same["_row"]).select("row", "_times", "_copies"), "mix-times")
-    alone = rows.join(times.filter("_copies = 1"), rows["_row"] == F.col("row"))
+    times = materialize(copies.join(same, copies["row"] == same["_row"]).select(F.col("row").alias("_pick"), "_times", "_copies"), "mix-times")
+    alone = rows.join(times.filter("_copies = 1"), rows["_row"] == F.col("_pick"))
     many = times.filter("_copies > 1")
-    first = rows.join(many, rows["_row"] == F.col("row")).dropDuplicates(["_row"])
+    first = rows.join(many, rows["_row"] == F.col("_pick")).dropDuplicates(["_row"])
     out = alone.unionByName(first).withColumn("_n", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_times"))))
     return out.select(*docs.columns)
