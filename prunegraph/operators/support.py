@@ -46,15 +46,16 @@ def support_sets(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[i
     ``layer`` is the output that is needed: targets at the top, then their own lower
     output ("self") and that of neighbours without a stored feature ("unvisited").
     "visited" neighbours are read from the store and not expanded. The hop of layer i is
-    ``layers`` - i + 1; ``caps`` is by hop. The store never holds raw attributes."""
-    produced = batches.select("batch_id", "node_id").distinct()
+    ``layers`` - i + 1; ``caps`` is by hop. The store never holds raw attributes. Id frames
+    that several later plans read are kept (they spill to disk); features are not."""
+    produced = batches.select("batch_id", "node_id").distinct().persist()
     rows = produced.select("batch_id", F.lit(layers).alias("layer"), "node_id", F.lit("target").alias("role"))
     used, given = {}, {}
     for layer in range(layers, 0, -1):
-        links = expand(produced, edges, (caps or {}).get(layers - layer + 1))
+        links = expand(produced, edges, (caps or {}).get(layers - layer + 1)).persist()
         used[layer] = links
         near = links.select("batch_id", F.col("src").alias("node_id")).distinct()
-        others = near.join(produced, ["batch_id", "node_id"], "left_anti")
+        others = near.join(produced, ["batch_id", "node_id"], "left_anti").persist()
         if store is not None and layer > 1:
             stored = store.filter(F.col("layer") == layer - 1).select("node_id").distinct()
             visited = others.join(stored, "node_id", "left_semi")
@@ -65,7 +66,7 @@ def support_sets(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[i
             unvisited = others
         rows = rows.unionByName(produced.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("self").alias("role")))
         rows = rows.unionByName(unvisited.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("unvisited").alias("role")))
-        produced = produced.unionByName(unvisited.select("batch_id", "node_id"))
+        produced = produced.unionByName(unvisited.select("batch_id", "node_id")).persist()
     return rows, used, given
 
 
@@ -81,7 +82,7 @@ def infer_batched(net: Network, batches: DataFrame, edges: DataFrame, feats: Dat
     for i, layer in enumerate(net.layers, start=1):
         make = rows.filter((F.col("layer") == i) & (F.col("role") != "visited")).select("batch_id", "node_id").distinct()
         links = used[i]
-        h = layer.forward(make, links, h, w, group="batch_id")
+        h = layer.forward(make, links, h.persist(), w, group="batch_id")
         w = layer.f_out
         if i in given:
             kept = store.filter(F.col("layer") == i).select("node_id", "h")
