@@ -156,7 +156,8 @@ def pack(cut: DataFrame, limit: int = LIMIT) -> DataFrame:
     order = Window.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32")
     ranked = (
         salted.withColumn("k", F.row_number().over(order) - 1)
-        .join(counts.select("length", "salt", "base"), ["length", "salt"])
+        # the counts grow with the salts: merged where the window has put the rows already
+        .join(counts.select("length", "salt", "base").hint("merge"), ["length", "salt"])
         .select("doc_id", "start", "length", "ids_crc32", "doc_tokens", (F.col("base") + F.col("k")).alias("rank"))
     )
     return ranked.mapInArrow(join, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
