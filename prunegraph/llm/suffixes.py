@@ -39,8 +39,8 @@ GRAM = 20
 TASK_BYTES = 16 << 20
 #: Bytes of one suffix array.
 SHARD_BYTES = 2 << 20
-#: Stretches of one anchor in one shard.
-MOST_STRETCHES = 512
+#: Stretches of one anchor in one shard: what a shard's bytes hold.
+MOST_STRETCHES = SHARD_BYTES // (2 * LENGTH)
 _POSITION_BITS = 20
 
 
