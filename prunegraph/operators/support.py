@@ -41,7 +41,12 @@ def expand(produced: DataFrame, edges: DataFrame, cap: int | None) -> DataFrame:
 
 
 def support_sets(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[int, int] | None = None, store: DataFrame | None = None) -> tuple[DataFrame, dict[int, DataFrame], dict[int, DataFrame]]:
-    """Rows (batch_id, layer, node_id, role), the edges used per layer and what the store gives.
+    """Rows (batch_id, layer, node_id, role), the edges used per layer and what the store gives."""
+    return expansion(batches, edges, layers, caps, store)[:3]
+
+
+def expansion(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[int, int] | None = None, store: DataFrame | None = None):
+    """As ``support_sets``, and the nodes each layer produces (0: whose attributes are read).
 
     ``layer`` is the output that is needed: targets at the top, then their own lower
     output ("self") and that of neighbours without a stored feature ("unvisited").
@@ -50,7 +55,7 @@ def support_sets(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[i
     that several later plans read are kept (they spill to disk); features are not."""
     produced = batches.select("batch_id", "node_id").distinct().persist()
     rows = produced.select("batch_id", F.lit(layers).alias("layer"), "node_id", F.lit("target").alias("role"))
-    used, given = {}, {}
+    used, given, made = {}, {}, {layers: produced}
     for layer in range(layers, 0, -1):
         links = expand(produced, edges, (caps or {}).get(layers - layer + 1)).persist()
         used[layer] = links
@@ -67,7 +72,8 @@ def support_sets(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[i
         rows = rows.unionByName(produced.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("self").alias("role")))
         rows = rows.unionByName(unvisited.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("unvisited").alias("role")))
         produced = produced.unionByName(unvisited.select("batch_id", "node_id")).persist()
-    return rows, used, given
+        made[layer - 1] = produced
+    return rows, used, given, made
 
 
 def infer_batched(net: Network, batches: DataFrame, edges: DataFrame, feats: DataFrame, width: int, caps: dict[int, int] | None = None, store: DataFrame | None = None) -> DataFrame:
@@ -75,14 +81,11 @@ def infer_batched(net: Network, batches: DataFrame, edges: DataFrame, feats: Dat
 
     ``feats`` is (node_id, h); ``store`` is (layer, node_id, h) of middle outputs."""
     depth = len(net.layers)
-    rows, used, given = support_sets(batches, edges, depth, caps, store)
-    need = rows.filter("layer = 0").select("batch_id", "node_id").distinct()
-    h = need.join(feats.select("node_id", "h"), "node_id")
+    _, used, given, made = expansion(batches, edges, depth, caps, store)
+    h = made[0].join(feats.select("node_id", "h"), "node_id")
     w = width
     for i, layer in enumerate(net.layers, start=1):
-        make = rows.filter((F.col("layer") == i) & (F.col("role") != "visited")).select("batch_id", "node_id").distinct()
-        links = used[i]
-        h = layer.forward(make, links, h.persist(), w, group="batch_id")
+        h = layer.forward(made[i], used[i], h.persist(), w, group="batch_id")
         w = layer.f_out
         if i in given:
             kept = store.filter(F.col("layer") == i).select("node_id", "h")
