@@ -1,6 +1,6 @@
 """The corpus stages on a small table: what stays, what goes, and the columns."""
 
-from conftest import DOCS, prose
+from corpus_samples import DOCS, prose
 
 import corpus_pipeline
 

@@ -7,7 +7,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
-from conftest import prose  # noqa: F401  (tests/llm/conftest.py)
+from corpus_samples import prose
 
 from prunegraph.llm import minhash, mixing, packing, quality, sharding, suffixes, toxicity
 from prunegraph.llm.queries import queries, tokenizer_path
