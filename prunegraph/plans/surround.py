@@ -165,10 +165,20 @@ def graph_pool(spark, folder):
     return m.select("kind", *(fixed_column(F.col(f"m{j}")).alias(f"m{j}") for j in range(3)))
 
 
+def sql_surface(spark, folder):
+    """Own and neighbour features of a node compared, all from SQL."""
+    from prunegraph.functions import sql
+
+    _, edges, feats = base(spark, folder)
+    sql.register(spark)
+    sql.views(edges, feats)
+    return spark.sql("SELECT node_id, CAST(floor(graph_dot(graph_channels(f.h, array(0, 2)), graph_relu(graph_channels(m.h, array(0, 2)))) * 1000000 + 0.4999) AS BIGINT) AS v FROM graph_features f JOIN graph_mean m USING (node_id)")
+
+
 def queries() -> dict:
     return {f.__name__: f for f in (
         spam_half_hour, spam_daily, session_users, asof_store, stream_half_hour, duplicate_report, feature_report, split_counts, inductive_edges, visited_split, outer_isolated,
-        region_broadcast, quantile_labels, running_edges, set_operations, event_json, type_pivot, grouping_cube, hash_sample, channel_gather, wide_round_trip, edge_scores, graph_pool,
+        region_broadcast, quantile_labels, running_edges, set_operations, event_json, type_pivot, grouping_cube, hash_sample, channel_gather, wide_round_trip, edge_scores, graph_pool, sql_surface,
     )}
 
 
@@ -187,7 +197,11 @@ def oracle_sql() -> dict[str, str]:
 
     buy = graph("SELECT DISTINCT dst AS n FROM e WHERE dst % 4 = 1")
     sup = graph("SELECT DISTINCT dst AS n FROM e WHERE dst % 4 = 1", "supply")
+    surface = Plan()
+    own = surface.features(WIDTH)
+    near = surface.step(own)
     return {
+        "sql_surface": surface.select(f"SELECT o.node_id, {fixed('sum(o.x * greatest(n.x, 0))')} AS v FROM {own} o JOIN {near} n ON n.node_id = o.node_id AND n.j = o.j WHERE o.j IN (0, 2) AND o.node_id IN (SELECT dst FROM e) GROUP BY 1"),
         "spam_half_hour": f"SELECT {slot} AS slot, count(*) AS n, count(DISTINCT user_id) AS users FROM events GROUP BY 1",
         "stream_half_hour": half,
         "spam_daily": f"""WITH d AS (SELECT doc_id, quality, row_number() OVER (ORDER BY doc_id) - 1 AS r FROM labels WHERE quality IS NOT NULL),
