@@ -8,6 +8,9 @@ with the longest common prefix, the depth follows how crowded a region is. Candi
 are confirmed on whole shingle sets, in at most three rounds: each class's most alike
 candidate, then the most alike candidate outside its component, then every candidate
 pair that still joins two components. Pairs inside a component cannot change it.
+Where more classes share the least prefix than are neighbours of each other and are not
+yet one component, all of them meet: the range is dealt into blocks, every two blocks
+meet in one group, and a group returns only the links that join components.
 
 Defined cases: null, empty and blank texts have the empty set and are linked with
 nothing; repeated rows and ties have one class, whose least doc_id stands for it;
@@ -37,6 +40,10 @@ SLACK = 0.2
 #: Pairs up to which they are broadcast to the sets (checked by count).
 SMALL_PAIRS = 50_000
 ID_SLOTS = 1 << 20
+#: Classes and bytes of sets in a block of a crowded prefix range.
+BLOCK_CLASSES = 512
+BLOCK_BYTES = 8 << 20
+_PAIRS = 1 << 16
 
 
 def signatures(docs: DataFrame, words: int, hashes: int = HASHES) -> DataFrame:
@@ -65,23 +72,24 @@ def _lcp(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.cumprod(a == b, axis=1).sum(axis=1)
 
 
-def _forest_rows(classes: DataFrame, trees: int, hashes: int) -> DataFrame:
-    """A row per class and tree: two longs that sort like eight signature values."""
+def _forest_rows(classes: DataFrame, trees: int, hashes: int, carry: tuple[str, ...] = ()) -> DataFrame:
+    """A row per class and tree: two longs that sort like eight signature values; ``carry`` are further longs."""
     step = hashes // trees
+    names = ["tree", "k1", "k2", "id", *carry]
 
     def run(batches):
         for batch in batches:
             n = batch.num_rows
             sig = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint16).reshape(n, hashes)
-            ids = batch.column(0)
+            ids = [batch.column(0), *batch.columns[2:]]
             for t in range(trees):
                 order = (np.arange(8) + t * step) % hashes
                 key = np.ascontiguousarray(sig[:, order].astype(">u2")).view(">u8").astype(np.uint64)
                 # sorts as a signed long
                 key = (key ^ np.uint64(1 << 63)).view(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, t, np.int32)), pa.array(key[:, 0].copy()), pa.array(key[:, 1].copy()), ids], ["tree", "k1", "k2", "id"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, t, np.int32)), pa.array(key[:, 0].copy()), pa.array(key[:, 1].copy()), *ids], names)
 
-    return classes.select("id", "sig").mapInArrow(run, "tree int, k1 long, k2 long, id long")
+    return classes.select("id", "sig", *carry).mapInArrow(run, "tree int, " + ", ".join(f"{c} long" for c in names[1:]))
 
 
 def candidates(classes: DataFrame, trees: int = TREES, hashes: int = HASHES, depth: int = LEAST_DEPTH, near: int = NEIGHBOURS) -> DataFrame:
@@ -199,11 +207,125 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return one.join(other, ["a", "b"]).select("a", "b", "set_a", "set_b").mapInArrow(run, "a long, b long")
 
 
+def _bits(sets: list[np.ndarray]) -> np.ndarray:
+    """A row of bits per set, over the shingles that occur in more than one."""
+    shingle, n = np.unique(np.concatenate(sets), return_counts=True)
+    shingle = shingle[n > 1]
+    out = np.zeros((len(sets), -(-max(1, len(shingle)) // 64)), np.uint64)
+    for i, s in enumerate(sets):
+        row = np.zeros(out.shape[1] * 64, bool)
+        at = np.searchsorted(shingle, s)
+        inside = at < len(shingle)
+        at, s = at[inside], s[inside]
+        row[at[shingle[at] == s]] = True
+        out[i] = np.packbits(row).view(np.uint64)
+    return out
+
+
+def _joining(ids: np.ndarray, component: np.ndarray, first: np.ndarray, sig: np.ndarray, sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Confirmed pairs that join the components of a group; ``first`` and other rows meet if both occur."""
+    parent = {int(c): int(c) for c in component}
+
+    def find(c):
+        while parent[c] != c:
+            parent[c] = parent[parent[c]]
+            c = parent[c]
+        return c
+
+    one = other = np.arange(len(ids))
+    if not first.all():
+        one, other = np.flatnonzero(first), np.flatnonzero(~first)
+    like = np.zeros((len(one), len(other)), np.uint8)
+    for k in range(sig.shape[1]):
+        like += sig[one, k][:, None] == sig[other, k][None]
+    good = (like >= (percent / 100 - SLACK) * sig.shape[1]) & (component[one][:, None] != component[other][None])
+    if first.all():
+        good &= one[:, None] < other[None]
+    x, y = np.nonzero(good)
+    order = np.argsort(-like[x, y].astype(np.int16), kind="stable")
+    x, y = one[x[order]], other[y[order]]
+    if not len(x):
+        return []
+    bits, size = _bits(sets), np.array([len(s) for s in sets])
+    step = max(1, min(_PAIRS, (32 << 20) // (8 * bits.shape[1])))
+    found, now = [], component
+    while len(x):
+        a, b, x, y = x[:step], y[:step], x[step:], y[step:]
+        both = np.bitwise_count(bits[a] & bits[b]).sum(axis=1, dtype=np.int64)
+        linked = 100 * both >= percent * (size[a] + size[b] - both)
+        before = len(found)
+        for i, j in zip(a[linked].tolist(), b[linked].tolist()):
+            p, q = find(int(component[i])), find(int(component[j]))
+            if p != q:
+                parent[max(p, q)] = min(p, q)
+                found.append((int(min(ids[i], ids[j])), int(max(ids[i], ids[j]))))
+        if len(found) > before:
+            now = np.array([find(int(c)) for c in component])
+        rest = now[x] != now[y]
+        x, y = x[rest], y[rest]
+    return found
+
+
+def crowded_links(docs: DataFrame, heads: DataFrame, links: DataFrame | None, label: DataFrame | None, words: int, percent: int, trees: int, hashes: int, depth: int = LEAST_DEPTH, near: int = NEIGHBOURS) -> DataFrame | None:
+    """Components after all classes of every crowded prefix range have met."""
+    place = ["tree", "prefix"]
+
+    def labelled(df):
+        if label is None:
+            return df.withColumn("component", F.col("id"))
+        return df.join(label, "id", "left").withColumn("component", F.coalesce("component", "id"))
+
+    def open_ranges(rows):
+        ranges = rows.groupBy(place).agg(
+            F.count(F.lit(1)).alias("n"), F.sum("n_shingles").alias("shingles"), F.min("component").alias("least"), F.max("component").alias("most")
+        )
+        blocks = F.greatest(F.ceil(F.col("n") / BLOCK_CLASSES), F.ceil(F.col("shingles") * 8 / BLOCK_BYTES)).cast("int")
+        # up to near + 1 classes are all neighbours
+        return materialize(ranges.filter((F.col("n") > near + 1) & (F.col("least") != F.col("most"))).select(*place, blocks.alias("blocks")), "ranges")
+
+    def within(rows, ranges):
+        return rows.join(F.broadcast(ranges) if ranges.count() <= SMALL_PAIRS else ranges, place)
+
+    def run(key, group):
+        first = group["block"].to_numpy() == key[2].as_py()
+        ids, component = (group[c].to_numpy() for c in ("id", "component"))
+        sig = np.frombuffer(b"".join(group["sig"].to_pylist()), np.uint16).reshape(len(ids), hashes)
+        sets = [np.frombuffer(s, np.uint64) for s in group["set"].to_pylist()]
+        pairs = _joining(ids, component, first, sig, sets, percent) if first.any() else []
+        return pa.table({"a": pa.array([p[0] for p in pairs], pa.int64()), "b": pa.array([p[1] for p in pairs], pa.int64())})
+
+    known = materialize(labelled(heads.select("id", "sig", "n_shingles")), "labelled")
+    rows = _forest_rows(known, trees, hashes, ("component", "n_shingles")).withColumn("prefix", F.shiftright("k1", 16 * max(0, 4 - depth)))
+    ranges = open_ranges(rows)
+    if ranges.isEmpty():
+        discard(known, ranges)
+        return label
+    members = materialize(within(rows, ranges).select(*place, "id", "n_shingles"), "members")
+    ids = members.select("id").distinct()
+    sets = materialize(class_sets(docs, ids, words).join(heads.select("id", "sig"), "id"), "member-sets")
+    discard(known, ranges)
+    # a range that became one component in an earlier tree needs no second look
+    for start, end in ((0, 1), (1, 4), (4, trees)):
+        now = labelled(members.filter(F.col("tree").between(start, end - 1)))
+        ranges = open_ranges(now)
+        if ranges.isEmpty():
+            continue
+        placed = within(now, ranges).withColumn("block", F.pmod(F.xxhash64("id", F.lit(5)), F.col("blocks")).cast("int"))
+        met = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        met = met.select(*place, F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "id", "component").join(sets, "id")
+        more = materialize(met.groupBy(*place, "lo", "hi").applyInArrow(run, "a long, b long"), "crowded").distinct()
+        if not more.isEmpty():
+            links = more if links is None else links.unionByName(more)
+            label = components(links, "near")
+        discard(ranges)
+    return label
+
+
 def near_classes(docs: DataFrame, words: int = 5, percent: int = 80, trees: int = TREES, hashes: int = HASHES) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of ``docs``."""
     rows = materialize(signatures(docs, words, hashes), "signatures")
     full = rows.filter("n_shingles > 0 and doc_id is not null")
-    heads = full.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig"))
+    heads = full.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig"), F.min("n_shingles").alias("n_shingles"))
     heads = materialize(heads, "classes")
     pairs = candidates(heads, trees, hashes)
     left = materialize(_estimate(pairs, heads, hashes).filter(F.col("like") >= percent / 100 - SLACK), "likely")
@@ -231,6 +353,7 @@ def near_classes(docs: DataFrame, words: int = 5, percent: int = 80, trees: int
         links = good if links is None else links.unionByName(good)
         tried = chosen if tried is None else tried.unionByName(chosen)
         label = components(links, "near")
+    label = crowded_links(docs, heads, links, label, words, percent, trees, hashes)
     if label is None:
         merged = heads.select("print_a", "print_b", F.col("id").alias("component_id"))
     else:
