@@ -178,7 +178,7 @@ class StringTable:
 
 
 def scores(rows: DataFrame, probability: DataFrame, order: int = ORDER, head: int = HEAD) -> DataFrame:
-    """``rows`` without text, plus n_bytes and log_likelihood; ``rows`` need a unique "key"."""
+    """``rows`` without text, plus n_bytes and log_likelihood; rows of one "key" must have one text."""
     spark = rows.sparkSession
     # a fixed number of strings, the commonest
     top = probability.orderBy(F.desc("n"), "gram").limit(head).select("gram", F.col("logp").cast("float")).toArrow()
@@ -201,6 +201,9 @@ def scores(rows: DataFrame, probability: DataFrame, order: int = ORDER, head: in
     scored = materialize(rows.select("text", *rest_columns).mapInArrow(run, f"{schema}, n_bytes long, head_sum double, rare array<long>"), "scored")
     rare = scored.filter(F.size("rare") > 0).select("key", F.explode("rare").alias("gram")).groupBy("key", "gram").agg(F.count(F.lit(1)).alias("m"))
     tail = rare.join(probability.select("gram", "logp"), "gram").groupBy("key").agg(F.sum(F.col("m") * F.col("logp")).alias("tail_sum"))
+    # m counts the strings of all rows of a key, which hold the same text
+    copies = scored.groupBy("key").agg(F.count(F.lit(1)).alias("n_rows")).filter("n_rows > 1")
+    tail = tail.join(copies, "key", "left").select("key", (F.col("tail_sum") / F.coalesce("n_rows", F.lit(1))).alias("tail_sum"))
     return scored.drop("rare").join(tail, "key", "left").withColumn("log_likelihood", F.col("head_sum") + F.coalesce("tail_sum", F.lit(0.0))).drop("head_sum", "tail_sum")
 
 

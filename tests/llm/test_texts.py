@@ -322,6 +322,16 @@ def test_quality_model_equals_dictionaries(spark):
             assert got[100 + i] == pytest.approx(model(t), rel=1e-4, abs=1e-4)
 
 
+def test_quality_scores_repeated_rows_each(spark):
+    text = prose(99, 30)
+    rows = [(i, prose(i, 40), True) for i in range(20)] + [(100, text, None)] + [(101, text, None)] * 5
+    df = spark.createDataFrame(rows, "key long, text string, fit boolean")
+    prob = quality.probabilities(quality.string_counts(df, 4), 4)
+    got = [(r["key"], r["log_likelihood"]) for r in quality.scores(df, prob, 4, 50).collect() if r["key"] >= 100]
+    once = dict(got)[100]
+    assert len(got) == 6 and all(x == pytest.approx(once, rel=1e-6) for _, x in got)
+
+
 def test_quality_keeps_clean_and_drops_junk(spark):
     rows = [(i, prose(i, 60), "en", "a", 0) for i in range(400)] + [(400 + i, "".join(f"@{(i * 7 + k) % 10}^~" for k in range(80)), "en", "a", 0) for i in range(20)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
