@@ -213,7 +213,7 @@ def test_stream_matches_batch(spark, small, tmp_path):
 
     nodes, edges, feats = base(spark, small)
     when = nodes.withColumn("ts", F.timestamp_seconds(F.col("node_id") * 1800))
-    for i, part in enumerate(when.randomSplit([1, 1], seed=1)):
+    for i, part in enumerate(when.randomSplit([1.0, 1.0], seed=1)):
         part.coalesce(1).write.parquet(f"{tmp_path}/in/p{i}")
     stream = spark.readStream.schema("node_id long, ts timestamp").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"{tmp_path}/in")
     job = StreamScorer(two_layer(), WIDTH, edges, feats, FeatureStore(spark, f"{tmp_path}/store"), sink=f"{tmp_path}/out")
