@@ -6,31 +6,36 @@ the same document and an earlier start), judged on the input as it is.
 1. Where repeats can be. Every window of ``length`` bytes picks an anchor, its least
    hashed ``gram``-byte string, leftmost on ties. Equal windows pick equal anchors, so a
    window whose anchor occurs once in the corpus repeats nothing. Successive windows
-   with one anchor form a stretch; equal stretches are settled whole, by their first
-   occurrence, first inside a task, then across tasks.
-2. Anchors with several different stretches (the ends of shared passages) go, as bytes,
-   to shards. Each shard builds a suffix array by Larsson-Sadakane refinement and
+   with one anchor form a stretch. Equal stretches are collapsed to their first
+   occurrence before anything is sent, inside a task and then across tasks; an anchor
+   with many different stretches inside one task is not gathered at all.
+2. Different stretches of one anchor (the ends of shared passages) go, as bytes, to
+   shards of ``SHARD_BYTES``: ranges of (anchor, content), so that an anchor of any
+   weight is spread. Each shard builds a suffix array by Larsson-Sadakane refinement and
    common prefixes by Kasai's rule; suffixes that share ``length`` bytes are one window
-   and all but the earliest go. An anchor with very many stretches is split over
-   several shards, whose surviving windows are merged in sorted order of content, one
-   fingerprint range per task.
-3. Removed windows meet their documents again and become byte runs.
-
-Defined cases: null text is empty; texts shorter than ``length`` stay; rows repeating a
-doc_id count as one document (runs apply to each of them); a row without doc_id takes no
-part and stays whole; empty tables give no rows; further columns are ignored.
+   and all but the earliest go.
+3. An anchor that the border of a shard cuts has equal windows in several shards. Each
+   shard packs the windows that such anchors keep into one sorted array; arrays are
+   merged two at a time by binary search of one in the other, a range of values per task.
+4. Removed windows meet their documents again and become byte runs.
+
+Defined cases: null text is empty; texts shorter than ``length`` stay; equal rows count
+as one document (runs apply to each of them); different texts under one doc_id are
+documents of their own, in the order of a hash of their text; a row without doc_id takes
+no part and stays whole; empty tables give no rows; further columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from prunegraph.llm.common import discard, long_view, materialize, mix, slices, utf8
+from prunegraph.llm.common import free_name, long_view, materialize, mix, slices, utf8, utf8_of
 from prunegraph.llm.shingles import powers, sums
 
 LENGTH = 100
@@ -39,9 +44,13 @@ GRAM = 20
 TASK_BYTES = 16 << 20
 #: Bytes of one suffix array.
 SHARD_BYTES = 2 << 20
-#: Stretches of one anchor in one shard: what a shard's bytes hold.
-MOST_STRETCHES = SHARD_BYTES // (2 * LENGTH)
+#: Different stretches of one anchor that a task still sends to be settled with others.
+GATHERED = 8
+#: Windows of cut anchors that one task merges, and that a task packs at once.
+MERGED = 1 << 18
 _POSITION_BITS = 20
+#: Bits of a position inside a text; what tells texts of one doc_id apart lies above.
+_TEXT_BITS = 32
 
 
 def _load8(raw: np.ndarray, at: int, n: int) -> np.ndarray:
@@ -118,7 +127,20 @@ def _row_stretches(raw, offsets, length, gram):
 
 _KINDS = "anchor long, content long, doc long, start long, kind int"
 _NAMES = ["anchor", "content", "doc", "start", "kind"]
-STRETCH, GONE, OPEN = 0, 1, 2
+STRETCH, GONE, OPEN, MARK = 0, 1, 2, 3
+#: Stands in the place of a content; says that its anchor has several.
+_SEVERAL = np.int64(np.iinfo(np.int64).min)
+
+
+def identity(docs: DataFrame) -> tuple[Column, bool]:
+    """What tells the texts of one doc_id apart, and whether any doc_id is repeated.
+
+    The first is 0 where no doc_id has several texts, else a hash of the text."""
+    text = F.xxhash64("text")
+    ids = docs.select(F.col("doc_id").cast("long").alias("doc"), text.alias("h")).filter("doc is not null")
+    seen = ids.groupBy("doc").agg((F.min("h") != F.max("h")).alias("several"), (F.count(F.lit(1)) > 1).alias("again"))
+    flags = seen.agg(F.max("several").alias("several"), F.max("again").alias("again")).first()
+    return (text.bitwiseAND((1 << 31) - 1) if flags["several"] else F.lit(0).cast("long")), bool(flags["again"])
 
 
 def _batch(anchor, content, doc, start, kind: int):
@@ -126,8 +148,11 @@ def _batch(anchor, content, doc, start, kind: int):
     return pa.RecordBatch.from_arrays([pa.array(anchor), pa.array(content), pa.array(doc), pa.array(start), pa.array(np.full(n, kind, np.int32))], _NAMES)
 
 
-def _task_stretches(docs: DataFrame, length: int, gram: int) -> DataFrame:
-    """Stretches that are first of their content in the task, and the ones that are not."""
+def _task_stretches(rows: DataFrame, length: int, gram: int) -> DataFrame:
+    """Stretches that are first of their content in the task, and the ones that are not.
+
+    Stretches of an anchor with more than ``GATHERED`` contents in the task are OPEN at
+    once; a MARK tells the others of that anchor."""
 
     def settle(parts):
         anchor, content, doc, start = (np.concatenate(x) for x in zip(*parts))
@@ -137,17 +162,26 @@ def _task_stretches(docs: DataFrame, length: int, gram: int) -> DataFrame:
         new[1:] = (anchor[1:] != anchor[:-1]) | (content[1:] != content[:-1])
         head = np.maximum.accumulate(np.where(new, np.arange(len(doc)), 0))
         later = ~new & ((doc != doc[head]) | (start != start[head]))
-        yield _batch(anchor[new], content[new], doc[new], start[new], STRETCH)
         if later.any():
-            yield _batch(long_view(mix(doc[later].view(np.uint64) * np.uint64(31) + start[later].view(np.uint64))), content[later], doc[later], start[later], GONE)
+            yield _batch(anchor[later], content[later], doc[later], start[later], GONE)
+        anchor, content, doc, start = anchor[new], content[new], doc[new], start[new]
+        first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]])) if len(anchor) else np.zeros(0, np.int64)
+        count = np.diff(np.append(first, len(anchor)))
+        crowded = np.repeat(count > GATHERED, count)
+        if crowded.any():
+            yield _batch(anchor[crowded], content[crowded], doc[crowded], start[crowded], OPEN)
+            marked = anchor[first[count > GATHERED]]
+            none = np.zeros(len(marked), np.int64)
+            yield _batch(marked, np.full(len(marked), _SEVERAL), none, none, MARK)
+        yield _batch(anchor[~crowded], content[~crowded], doc[~crowded], start[~crowded], STRETCH)
 
     def run(batches):
         held, size = [], 0
         for batch in batches:
-            raw, offsets = utf8(batch.column(1))
-            ids = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            raw, offsets = utf8(batch.column(2))
+            ids, nth = (batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (0, 1))
             for a, shift, (row, start, _, anchor, content) in _row_stretches(raw, offsets, length, gram):
-                held.append((anchor, content, ids[a + row], start + shift))
+                held.append((anchor, content, ids[a + row], (nth[a + row] << _TEXT_BITS) + start + shift))
             size += len(raw)
             if size >= TASK_BYTES:
                 yield from settle(held)
@@ -155,7 +189,7 @@ def _task_stretches(docs: DataFrame, length: int, gram: int) -> DataFrame:
         if held:
             yield from settle(held)
 
-    return docs.select(F.col("doc_id").cast("long"), "text").filter(f"doc_id is not null and octet_length(text) >= {length}").mapInArrow(run, _KINDS)
+    return rows.filter(f"octet_length(text) >= {length}").mapInArrow(run, _KINDS)
 
 
 def _settle_anchors(rows: DataFrame) -> DataFrame:
@@ -168,10 +202,12 @@ def _settle_anchors(rows: DataFrame) -> DataFrame:
             if not batch.num_rows:
                 continue
             anchor, content, doc, start, kind = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(5))
-            gone = kind == GONE
-            if gone.any():
-                yield _batch(anchor[gone], content[gone], doc[gone], start[gone], GONE)
-                anchor, content, doc, start = (x[~gone] for x in (anchor, content, doc, start))
+            for known in (GONE, OPEN):
+                at = kind == known
+                if at.any():
+                    yield _batch(anchor[at], content[at], doc[at], start[at], known)
+            rest = (kind == STRETCH) | (kind == MARK)
+            anchor, content, doc, start = (x[rest] for x in (anchor, content, doc, start))
             if not len(doc):
                 continue
             held = 0
@@ -194,13 +230,15 @@ def _settle_anchors(rows: DataFrame) -> DataFrame:
                 send[0] = False  # sent before
             waiting = not is_open[-1] if len(heads) > 1 else (waiting if held else True)
             send = heads[send]
+            send = send[content[send] != _SEVERAL]
             if len(send):
                 yield _batch(anchor[send], content[send], doc[send], start[send], OPEN)
             k = heads[-1]
             first = (anchor[k], content[k], doc[k], start[k])
 
-    order = ["anchor", "content", "doc", "start"]
-    return rows.repartition("anchor").sortWithinPartitions(*order).mapInArrow(run, _KINDS)
+    # what is settled already only passes through, dealt evenly
+    key = F.when(F.col("kind").isin(GONE, OPEN), F.xxhash64("doc", "start")).otherwise(F.col("anchor"))
+    return rows.repartition(key).sortWithinPartitions("anchor", "content", "doc", "start").mapInArrow(run, _KINDS)
 
 
 def suffix_array(raw: np.ndarray, depth: int) -> np.ndarray:
@@ -213,7 +251,7 @@ def suffix_array(raw: np.ndarray, depth: int) -> np.ndarray:
     padded = np.zeros(n + 8, np.uint8)
     padded[:n] = raw
     key = np.ndarray((n,), ">u8", padded, 0, (1,)).astype(np.uint64)
-    sa = np.argsort(key, kind="stable")
+    sa = np.argsort(key)
     ordered = key[sa]
     new = np.ones(n, bool)
     new[1:] = ordered[1:] != ordered[:-1]
@@ -229,12 +267,12 @@ def suffix_array(raw: np.ndarray, depth: int) -> np.ndarray:
         if not len(at):
             break
         some = sa[at]
-        own, following = rank[some], rank[np.minimum(some + h, n)]
-        order = np.lexsort((following, own))
-        some, own, following = some[order], own[order], following[order]
+        pair = rank[some] * (n + 2) + rank[np.minimum(some + h, n)] + 1
+        order = np.argsort(pair)
+        some, pair = some[order], pair[order]
         sa[at] = some
         split = np.ones(len(at), bool)
-        split[1:] = (own[1:] != own[:-1]) | (following[1:] != following[:-1])
+        split[1:] = pair[1:] != pair[:-1]
         new[at] = split
         rank[some] = np.maximum.accumulate(np.where(split, at, 0))
         h *= 2
@@ -294,118 +332,272 @@ def shard_repeats(raw: np.ndarray, base: np.ndarray, windows: np.ndarray, doc: n
 
 
 def _window_runs(doc: np.ndarray, begin: np.ndarray):
-    """Successive window starts of a document as (doc, first start, windows <= 100)."""
+    """Successive window starts of a document as (doc, first start, windows)."""
     order = np.lexsort((begin, doc))
     doc, begin = doc[order], begin[order]
     new = np.ones(len(doc), bool)
     new[1:] = (doc[1:] != doc[:-1]) | (begin[1:] > begin[:-1] + 1)
     at = np.flatnonzero(new)
-    last = np.append(at[1:], len(doc)) - 1
+    last = np.append(at, len(doc))[1:] - 1
     return doc[at], begin[at], begin[last] - begin[at] + 1
 
 
-def _open_bytes(open_: DataFrame, docs: DataFrame, length: int) -> DataFrame:
+def _dealt(open_: DataFrame, length: int) -> DataFrame:
+    """Open stretches with the shard they go to and whether a border may cut their anchor.
+
+    Tasks hold ranges of (anchor, content, doc); shards are the next ``SHARD_BYTES`` of a
+    task. Rows of the last anchor wait until it ends or is known to be cut, so less than a
+    shard is held."""
+    names = ["anchor", "doc", "start", "windows", "shard", "cut"]
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        task = TaskContext.get().partitionId() << 32
+        done, held, known = 0, None, None
+
+        def rows(columns, cut):
+            return pa.RecordBatch.from_arrays([*(pa.array(c) for c in columns), pa.array(cut)], names)
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            anchor, doc, start, windows = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(4))
+            ends = done + np.cumsum(windows + length - 1)
+            columns = [anchor, doc, start, windows, task + (ends - windows - length + 1) // SHARD_BYTES]
+            done = int(ends[-1])
+            known = anchor[0] if known is None and held is None else known  # may go on from the task before
+            if held is not None:
+                columns = [np.concatenate(pair) for pair in zip(held, columns)]
+            anchor, shard = columns[0], columns[4]
+            first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]]))
+            last = np.append(first[1:], len(anchor)) - 1
+            cut = (shard[first] != shard[last]) | (anchor[first] == known if known is not None else False)
+            if cut[-1]:
+                known, held, until = anchor[-1], None, len(anchor)
+            else:
+                until = int(first[-1])
+                held = [c[until:] for c in columns]
+            if until:
+                yield rows([c[:until] for c in columns], np.repeat(cut, last - first + 1)[:until])
+        if held is not None:
+            yield rows(held, np.ones(len(held[0]), bool))
+
+    order = ["anchor", "content", "doc"]
+    ranged = open_.repartitionByRange(*order).sortWithinPartitions(*order).select("anchor", "doc", "start", "windows")
+    return ranged.mapInArrow(run, "anchor long, doc long, start long, windows long, shard long, cut boolean")
+
+
+def _bytes_of(dealt: DataFrame, rows: DataFrame, length: int) -> DataFrame:
     """Fetch the bytes of open stretches from their documents."""
-    wanted = open_.groupBy("doc").agg(F.collect_list(F.struct("start", "windows", "anchor", "salt", "split")).alias("parts"))
-    text = docs.select(F.col("doc_id").cast("long").alias("doc"), "text")
+    nth = F.shiftright("start", _TEXT_BITS)
+    wanted = dealt.groupBy("doc", nth.alias("nth")).agg(F.collect_list(F.struct("anchor", "start", "windows", "shard", "cut")).alias("parts"))
 
     def run(batches):
         for batch in batches:
-            for doc, text, parts in zip(*(batch.column(i).to_pylist() for i in range(3))):
-                data = (text or "").encode()
-                columns = list(zip(*((p["anchor"], p["salt"], p["split"], doc, p["start"], p["windows"], data[p["start"] : p["start"] + p["windows"] + length - 1]) for p in parts if p["start"] + p["windows"] + length - 1 <= len(data))))
-                if columns:
-                    kinds = [pa.int64(), pa.int32(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
-                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], ["anchor", "salt", "split", "doc", "start", "windows", "data"])
-
-    return text.join(wanted, "doc").select("doc", "text", "parts").mapInArrow(run, "anchor long, salt int, split boolean, doc long, start long, windows long, data binary")
-
-
-def _shards(strings: DataFrame, length: int) -> DataFrame:
-    """Suffix arrays over the stretches of whole (anchor, salt) groups.
-
-    Rows: kind GONE (doc, start, windows), or OPEN, the surviving windows of split
-    anchors with a fingerprint of their content."""
-    names = ["kind", "doc", "start", "windows", "print"]
-
-    def settle(rows):
-        doc, start, windows = (np.array([r[i] for r in rows], np.int64) for i in (3, 4, 5))
-        data = b"".join(r[6] for r in rows)
-        raw = np.frombuffer(data, np.uint8)
-        base = np.concatenate([[0], np.cumsum([len(r[6]) for r in rows])[:-1]])
-        (gs, gw), (ks, kw) = shard_repeats(raw, base, windows, doc, start, length)
-        d, b, n = _window_runs(doc[gs], start[gs] + gw)
-        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(d), GONE, np.int32)), pa.array(d), pa.array(b), pa.array(n), pa.array(np.zeros(len(d), np.int64))], names)
-        split = np.array([r[2] for r in rows])
-        keep = split[ks]
+            raw, offsets = utf8(batch.column(1))
+            for a, b in slices(offsets):
+                lists = batch.column(2).slice(a, b - a)
+                row = a + np.repeat(np.arange(b - a), pa.compute.list_value_length(lists).to_numpy(zero_copy_only=False))
+                parts = lists.flatten()
+                anchor, start, windows, shard, cut = (parts.field(i) for i in range(5))
+                at = start.to_numpy(zero_copy_only=False) & ((1 << _TEXT_BITS) - 1)
+                size = windows.to_numpy(zero_copy_only=False) + length - 1
+                ends = np.cumsum(size)
+                take = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(offsets[row] + at - (ends - size), size)
+                cuts = np.concatenate([[0], ends]).astype(np.int32)
+                data = pa.Array.from_buffers(pa.binary(), len(at), [None, pa.py_buffer(cuts), pa.py_buffer(raw[take])])
+                doc = batch.column(0).take(pa.array(row))
+                yield pa.RecordBatch.from_arrays([anchor, shard, cut, doc, start, windows, data], ["anchor", "shard", "cut", "doc", "start", "windows", "data"])
+
+    return rows.join(wanted, ["doc", "nth"]).select("doc", "text", "parts").mapInArrow(run, "anchor long, shard long, cut boolean, doc long, start long, windows long, data binary")
+
+
+# A pack is a matrix of four rows, sorted by the first: the value of a window's bytes, its
+# anchor, and where its earliest occurrence starts (doc, start).
+
+
+def merge_packs(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Both packs as one by binary search, and the (doc, start) of windows that also start earlier."""
+    if not a.shape[1] or not b.shape[1]:
+        return (a if a.shape[1] else b), a[2:, :0]
+    at = np.searchsorted(a[0], b[0])
+    near = np.minimum(at, a.shape[1] - 1)
+    same = (a[0, near] == b[0]) & (a[1, near] == b[1])
+    sooner = same & ((b[2] < a[2, near]) | ((b[2] == a[2, near]) & (b[3] < a[3, near])))
+    later = same & ((b[2] > a[2, near]) | ((b[2] == a[2, near]) & (b[3] > a[3, near])))
+    late = np.concatenate([a[2:, near[sooner]], b[2:, later]], 1)
+    a = a.copy()
+    a[:, near[sooner]] = b[:, sooner]
+    return np.insert(a, at[~same], b[:, ~same], axis=1), late
+
+
+def merge_all(packs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """All packs as one, the two smallest first."""
+    heap = [(p.shape[1], i, p) for i, p in enumerate(packs)]
+    heapq.heapify(heap)
+    late, n = [np.zeros((2, 0), np.int64)], len(heap)
+    while len(heap) > 1:
+        (_, _, a), (_, _, b) = heapq.heappop(heap), heapq.heappop(heap)
+        both, more = merge_packs(a, b)
+        late.append(more)
+        heapq.heappush(heap, (both.shape[1], n, both))
+        n += 1
+    return (heap[0][2] if heap else np.zeros((4, 0), np.int64)), np.concatenate(late, 1)
+
+
+_FOUND = "kind int, doc long, start long, windows long, range int, pack binary"
+
+
+def _found(doc, start, windows):
+    n = len(doc)
+    return pa.RecordBatch.from_arrays([pa.array(np.full(n, GONE, np.int32)), pa.array(doc), pa.array(start), pa.array(windows), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], ["kind", "doc", "start", "windows", "range", "pack"])
+
+
+def _shards(strings: DataFrame, length: int, ranges: int) -> DataFrame:
+    """Suffix arrays over whole shards, several small ones at once.
+
+    Rows: kind GONE (doc, start, windows), or OPEN, a pack of the windows kept of cut
+    anchors whose values lie in one of ``ranges`` ranges."""
+
+    def settle(parts):
+        table = pa.Table.from_batches(parts).combine_chunks()
+        anchor, _, cut, doc, start, windows = (table.column(i).to_numpy() for i in range(6))
+        raw, offsets = utf8_of(table.column(6))
+        (gs, gw), (ks, kw) = shard_repeats(raw, offsets[:-1], windows, doc, start, length)
+        gone = _window_runs(doc[gs], start[gs] + gw)
+        keep = cut[ks]
         ks, kw = ks[keep], kw[keep]
-        if len(ks):
-            total = sums(raw)
-            _, down = powers(len(raw) + 1)
-            at = base[ks] + kw
-            prints = long_view(mix((total[at + length] - total[at]) * down[at]))
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ks), OPEN, np.int32)), pa.array(doc[ks]), pa.array(start[ks] + kw), pa.array(np.ones(len(ks), np.int64)), pa.array(prints)], names)
+        total = sums(raw)
+        _, down = powers(len(raw) + 1)
+        at = offsets[ks] + kw
+        value = long_view(mix((total[at + length] - total[at]) * down[at]))
+        pack = np.stack([value, anchor[ks], doc[ks], start[ks] + kw])
+        return gone, pack[:, np.argsort(value)]
+
+    def send(packs):
+        pack, late = merge_all(packs)
+        doc, start, windows = _window_runs(*late)
+        yield _found(doc, start, windows)
+        edge = np.searchsorted(_range_of(pack[0], ranges), np.arange(ranges + 1))
+        some = [r for r in range(ranges) if edge[r] < edge[r + 1]]
+        data = [np.ascontiguousarray(pack[:, edge[r] : edge[r + 1]]).tobytes() for r in some]
+        n, none = len(some), pa.nulls(len(some), pa.int64())
+        yield pa.RecordBatch.from_arrays([pa.array(np.full(n, OPEN, np.int32)), none, none, none, pa.array(some, pa.int32()), pa.array(data, pa.binary())], ["kind", "doc", "start", "windows", "range", "pack"])
 
     def run(batches):
-        held, size, last = [], 0, None
+        held, size, last, packs = [], 0, None, []
+
+        def close():
+            nonlocal held, size
+            gone, pack = settle(held)
+            held, size = [], 0
+            packs.append(pack)
+            return _found(*gone)
+
         for batch in batches:
-            for row in zip(*(c.to_pylist() for c in batch.columns)):
-                if size >= SHARD_BYTES and (row[0], row[1]) != last:
+            shard = batch.column(1).to_numpy(zero_copy_only=False)
+            new = np.flatnonzero(shard[1:] != shard[:-1]) + 1 if len(shard) else np.zeros(0, np.int64)
+            for a, b in zip([0, *new], [*new, len(shard)]):
+                if a == b:
+                    continue
+                if size >= SHARD_BYTES // 2 and shard[a] != last:
+                    yield close()
+                    if sum(p.shape[1] for p in packs) >= MERGED:
+                        yield from send(packs)
+                        packs = []
+                part = batch.slice(a, b - a)
+                held.append(part)
+                size += int(pa.compute.sum(pa.compute.binary_length(part.column(6))).as_py())
+                last = shard[a]
+        if held:
+            yield close()
+        if any(p.shape[1] for p in packs):
+            yield from send(packs)
+
+    return strings.repartition("shard").sortWithinPartitions("shard").mapInArrow(run, _FOUND)
+
+
+def _range_of(value: np.ndarray, ranges: int) -> np.ndarray:
+    """The range of each value; rising with it."""
+    high = (value.astype(np.float64) - float(np.iinfo(np.int64).min)) / 2.0**64
+    return np.minimum((high * ranges).astype(np.int64), ranges - 1)
+
+
+def _merged(packs: DataFrame) -> DataFrame:
+    """(doc, start, windows) of windows that start earlier in the pack of another shard."""
+
+    def settle(held):
+        _, late = merge_all(held)
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in _window_runs(*late)], ["doc", "start", "windows"])
+
+    def run(batches):
+        held, last = [], None
+        for batch in batches:
+            for number, data in zip(batch.column(0).to_pylist(), batch.column(1)):
+                if held and number != last:
                     yield from settle(held)
-                    held, size = [], 0
-                held.append(row)
-                size += len(row[6])
-                last = (row[0], row[1])
+                    held = []
+                held.append(np.frombuffer(data.as_buffer(), np.int64).reshape(4, -1))
+                last = number
         if held:
             yield from settle(held)
 
-    return strings.repartition("anchor", "salt").sortWithinPartitions("anchor", "salt").mapInArrow(run, "kind int, doc long, start long, windows long, print long")
+    return packs.select("range", "pack").repartition("range").sortWithinPartitions("range").mapInArrow(run, "doc long, start long, windows long")
 
 
-def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """(doc, start, windows): runs of windows that also start earlier."""
-    settled = materialize(_settle_anchors(_task_stretches(docs, length, gram)), "stretches")
+def repeated_windows(docs: DataFrame, nth: Column, again: bool, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+    """(doc, nth, runs): runs (start, windows) of windows that also start earlier."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), nth.alias("nth"), "text").filter("doc is not null")
+    settled = materialize(_settle_anchors(_task_stretches(rows, length, gram)), "stretches")
     windows = F.col("content").bitwiseAND(127).alias("windows")
     gone = settled.filter(F.col("kind") == GONE).select("doc", "start", windows)
-    open_ = settled.filter(F.col("kind") == OPEN).select("anchor", "doc", "start", windows)
-    crowded = open_.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > MOST_STRETCHES)
-    parts = F.ceil(F.col("n") / MOST_STRETCHES).cast("long")
-    salted = open_.join(crowded, "anchor", "left").select(
-        "anchor", "doc", "start", "windows",
-        F.when(F.col("n").isNull(), 0).otherwise(F.pmod(F.xxhash64("doc", "start"), parts)).cast("int").alias("salt"),
-        F.col("n").isNotNull().alias("split"),
-    )
-    shards = materialize(_shards(_open_bytes(salted, docs, length), length), "shards")
-    more = shards.filter(F.col("kind") == GONE).select("doc", "start", "windows")
-    # merge of split anchors: the earliest window of a content over all its shards stays
-    alive = shards.filter(F.col("kind") == OPEN).select("print", "doc", "start")
-    first = alive.groupBy("print").agg(F.min(F.struct("doc", "start")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
-    late = alive.join(first, "print").filter("first.doc <> doc or first.start <> start").select("doc", "start", F.lit(1).cast("long").alias("windows"))
-    return gone.unionByName(more).unionByName(late)
+    dealt = materialize(_dealt(settled.filter(F.col("kind") == OPEN).select("anchor", "content", "doc", "start", windows), length), "dealt-stretches")
+    across = dealt.filter("cut").agg(F.sum("windows")).first()[0] or 0
+    once = rows.dropDuplicates(["doc", "nth"]) if again else rows
+    found = materialize(_shards(_bytes_of(dealt, once, length), length, 1 + across // MERGED), "shards")
+    more = found.filter(F.col("kind") == GONE).select("doc", "start", "windows")
+    late = _merged(found.filter(F.col("kind") == OPEN))
+    every = gone.unionByName(more).unionByName(late)
+    at = F.col("start").bitwiseAND((1 << _TEXT_BITS) - 1).alias("start")
+    return every.groupBy("doc", F.shiftright("start", _TEXT_BITS).alias("nth")).agg(F.collect_list(F.struct(at, "windows")).alias("runs"))
+
+
+def _with_runs(docs: DataFrame, length: int, gram: int) -> tuple[DataFrame, str]:
+    """``docs`` with the runs to be cut in a column of a free name."""
+    nth, again = identity(docs)
+    runs = repeated_windows(docs, nth, again, length, gram)
+    doc, number, name = (free_name(docs, n) for n in ("runs_doc", "runs_nth", "runs_cut"))
+    side = runs.select(F.col("doc").alias(doc), F.col("nth").alias(number), F.col("runs").alias(name))
+    return docs.join(side, (docs["doc_id"].cast("long") == F.col(doc)) & (nth == F.col(number)), "left"), name
+
+
+def _gone_bytes(lists: pa.Array, row: int, n: int, length: int) -> np.ndarray | None:
+    """Which of the ``n`` bytes of a text its runs cover; None without runs."""
+    if not lists[row].is_valid:
+        return None
+    parts = lists[row].values
+    a = np.minimum(parts.field("start").to_numpy(zero_copy_only=False), n)
+    b = np.minimum(a + parts.field("windows").to_numpy(zero_copy_only=False) + length - 1, n)
+    depth = np.zeros(n + 1, np.int32)
+    np.add.at(depth, a, 1)
+    np.add.at(depth, b, -1)
+    return np.cumsum(depth)[:n] > 0
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """Every row of ``docs``: doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept."""
-    runs = repeated_windows(docs, length, gram).groupBy("doc").agg(F.collect_list(F.struct("start", "windows")).alias("runs"))
-    rows = docs.select(F.col("doc_id").cast("long"), "text").join(runs.withColumnRenamed("doc", "doc_id"), "doc_id", "left")
+    joined, name = _with_runs(docs.select("doc_id", "text"), length, gram)
 
     def run(batches):
         for batch in batches:
             raw, offsets = utf8(batch.column(1))
-            lists = batch.column(2)
             out = []
             for i in range(batch.num_rows):
                 text = raw[offsets[i] : offsets[i + 1]]
+                gone = _gone_bytes(batch.column(2), i, len(text), length)
                 cut, spans = 0, 0
-                if lists[i].is_valid:
-                    parts = lists[i].values
-                    a = parts.field("start").to_numpy(zero_copy_only=False)
-                    b = np.minimum(a + parts.field("windows").to_numpy(zero_copy_only=False) + length - 1, len(text))
-                    depth = np.zeros(len(text) + 1, np.int32)
-                    a = np.minimum(a, len(text))
-                    np.add.at(depth, a, 1)
-                    np.add.at(depth, b, -1)
-                    gone = np.cumsum(depth)[: len(text)] > 0
+                if gone is not None:
                     cut = int(gone.sum())
                     spans = int(gone[:1].sum() + (gone[1:] & ~gone[:-1]).sum())
                     text = text[~gone]
@@ -415,29 +607,26 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
             if c:
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(x, pa.int64()) for x in c[:3]), pa.array(c[3]), pa.array(c[4], pa.binary())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    return joined.select(F.col("doc_id").cast("long"), "text", name).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
-def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+def without_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """``docs`` with repeated passages cut from ``text``; bytes of letters cut in half go too."""
-    runs = repeated_windows(docs, length).groupBy(F.col("doc").alias("_doc")).agg(F.collect_list(F.struct("start", "windows")).alias("_runs"))
-    rows = docs.join(runs, F.col("doc_id").cast("long") == F.col("_doc"), "left")
+    joined, name = _with_runs(docs, length, gram)
     schema = docs.schema
     at = docs.columns.index("text")
 
     def run(batches):
         for batch in batches:
+            raw, offsets = utf8(batch.column(at))
             texts = batch.column(at).to_pylist()
-            lists = batch.column(len(schema)).to_pylist()
-            for i, parts in enumerate(lists):
-                if parts:
-                    data = (texts[i] or "").encode()
-                    keep = np.ones(len(data), bool)
-                    for p in parts:
-                        keep[p["start"] : p["start"] + p["windows"] + length - 1] = False
-                    texts[i] = np.frombuffer(data, np.uint8)[keep].tobytes().decode("utf-8", "ignore")
+            lists = batch.column(len(schema))
+            for i in range(batch.num_rows):
+                gone = _gone_bytes(lists, i, int(offsets[i + 1] - offsets[i]), length)
+                if gone is not None:
+                    texts[i] = raw[offsets[i] : offsets[i + 1]][~gone].tobytes().decode("utf-8", "ignore")
             columns = list(batch.columns[: len(schema)])
             columns[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays(columns, schema.names)
 
-    return rows.select(*docs.columns, "_runs").mapInArrow(run, schema)
+    return joined.select(*(docs[c] for c in docs.columns), name).mapInArrow(run, schema)

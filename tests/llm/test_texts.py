@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pytest
 from corpus_samples import prose
+from pyspark.sql import functions as F
 
 from prunegraph.llm import minhash, mixing, packing, quality, sharding, suffixes, toxicity
 from prunegraph.llm.queries import queries, tokenizer_path
@@ -128,13 +129,44 @@ def test_repeats_inside_and_between(spark):
     assert got == brute_repeats(dict(rows))
 
 
-def test_repeats_split_anchor(spark, monkeypatch):
-    monkeypatch.setattr(suffixes, "MOST_STRETCHES", 8)
+def digests(df):
+    return {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffixes.remove_repeats(df).collect()}
+
+
+@pytest.mark.parametrize("shard,gathered,merged", [(2000, 2, 1 << 21), (900, 1, 400), (1 << 21, 3, 1 << 21)])
+def test_repeats_in_cut_anchors(spark, monkeypatch, shard, gathered, merged):
+    """Anchors spread over many shards, whose windows are merged from sorted packs."""
+    monkeypatch.setattr(suffixes, "SHARD_BYTES", shard)
+    monkeypatch.setattr(suffixes, "GATHERED", gathered)
+    monkeypatch.setattr(suffixes, "MERGED", merged)
     passage = prose(4, 25)
-    rows = [(i, prose(300 + i, 10) + passage + prose(400 + i, 10)) for i in range(60)]
-    df = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffixes.remove_repeats(df).collect()}
-    assert got == brute_repeats(dict(rows))
+    rows = [(i, prose(300 + i, 10) + passage + prose(400 + i % 7, 10)) for i in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert digests(df) == brute_repeats(dict(rows))
+
+
+def test_merged_packs():
+    rng = np.random.default_rng(0)
+    packs, first = [], {}
+    for k in range(7):
+        value = np.unique(rng.integers(-50, 50, 30))
+        doc, start = rng.integers(0, 20, len(value)), np.arange(len(value)) + 100 * k
+        packs.append(np.stack([value, value * 3, doc, start]))
+        for v, d, s in zip(value.tolist(), doc.tolist(), start.tolist()):
+            first.setdefault(v, []).append((d, s))
+    pack, late = suffixes.merge_all(packs)
+    assert pack[0].tolist() == sorted(first) and list(zip(*pack[2:].tolist())) == [min(first[v]) for v in sorted(first)]
+    assert sorted(zip(*late.tolist())) == sorted(x for v in first.values() for x in sorted(v)[1:])
+    parts = suffixes._range_of(np.array([-(1 << 63), -1, 0, (1 << 63) - 1]), 4)
+    assert parts.tolist() == [0, 1, 2, 3] or parts.tolist() == [0, 2, 2, 3]
+
+
+def test_repeats_of_one_id_with_several_texts(spark):
+    p, q = prose(31, 40), prose(32, 40)
+    df = spark.createDataFrame([(1, p), (2, q), (2, p), (2, q), (3, q + p)], "doc_id long, text string")
+    rows = sorted((r["doc_id"], r["n_bytes"], r["n_removed"]) for r in suffixes.remove_repeats(df).collect())
+    assert rows == sorted([(1, len(p), 0), (2, len(q), 0), (2, len(p), len(p)), (2, len(q), 0), (3, len(p + q), len(p + q))])
+    assert sorted(r["text"] for r in suffixes.without_repeats(df.withColumn("runs_doc", F.lit(1))).collect()) == sorted([p, q, "", q, ""])
 
 
 def test_repeats_odd(odd, empty):
