@@ -36,7 +36,7 @@ def clean(df: DataFrame, vector: str = "embedding") -> DataFrame:
 
 
 def collapse(vectors: DataFrame, by: list[str], ids: int) -> DataFrame:
-    """Equal vectors (and ``by``) as one row: their least ids and their number.
+    """Equal vectors (and ``by``) as one row: their least different ids and their number of rows.
 
     Rows of one vector are joined per task before they are shuffled, so a vector that a
     third of the table repeats reaches its group as a row per task."""
@@ -52,7 +52,7 @@ def collapse(vectors: DataFrame, by: list[str], ids: int) -> DataFrame:
             for i in range(batch.num_rows):
                 data = flat[at[i] - at[0] : at[i + 1] - at[0]].tobytes()
                 groups.setdefault((extra[i], data), []).append(vid[i])
-            rows = [(hashlib.blake2b(data, digest_size=16).digest(), np.frombuffer(data).tolist(), sorted(v)[:ids], len(v), *e) for (e, data), v in groups.items()]
+            rows = [(hashlib.blake2b(data, digest_size=16).digest(), np.frombuffer(data).tolist(), sorted(set(v))[:ids], len(v), *e) for (e, data), v in groups.items()]
             c = list(zip(*rows))
             if c:
                 kinds = [pa.binary(), pa.list_(pa.float64()), pa.list_(pa.int64()), pa.int64()]
@@ -61,4 +61,4 @@ def collapse(vectors: DataFrame, by: list[str], ids: int) -> DataFrame:
     types = dict(vectors.dtypes)
     schema = "print binary, vector array<double>, ids array<long>, n long" + "".join(f", {b} {types[b]}" for b in by)
     once = vectors.select("vec_id", "vector", *by).withColumn("vec_id", F.col("vec_id").cast("long")).mapInArrow(run, schema)
-    return once.groupBy("print", *by).agg(F.first("vector").alias("vector"), F.slice(F.array_sort(F.flatten(F.collect_list("ids"))), 1, ids).alias("ids"), F.sum("n").alias("n")).withColumn("rep", F.col("ids")[0])
+    return once.groupBy("print", *by).agg(F.first("vector").alias("vector"), F.slice(F.array_sort(F.array_distinct(F.flatten(F.collect_list("ids")))), 1, ids).alias("ids"), F.sum("n").alias("n")).withColumn("rep", F.col("ids")[0])
