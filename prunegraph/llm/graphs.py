@@ -2,10 +2,14 @@
 
 Equal vectors with equal labels are collapsed. The rest of a label is spread over
 shards of bounded size; each shard gets a hierarchical navigable small-world graph, kept
-as a row of bytes. Every block of a label's vectors queries every shard of the label.
-An audit in each shard compares found links of sampled members with brute force and
-doubles the beam until the recall is met; a query whose whole beam is linked widens it
-to the whole linked region. Found pairs are confirmed by cosine in double precision, and components united.
+as a row of bytes. Every shard of a label queries every shard of it: one task takes two
+shards, searches either graph with the other's members, and counts links on both ends, so
+a link found from one end counts for both. An audit compares the links that sampled
+members find with brute force and doubles the beam until the recall is met, in each
+shard and again between shards; a sample with too few links to tell widens the beam. A
+query whose whole beam is linked widens it to the whole linked region. Found pairs are
+confirmed by cosine in double precision. A task returns a count per vector and the links
+of a spanning forest, never a row per link; components are united from the forests.
 
 Defined cases: rows that ``vectors.clean`` leaves out and rows with a null label link
 with nothing and stand alone; vectors of different lengths are never linked; repeated
@@ -16,6 +20,7 @@ are ignored.
 from __future__ import annotations
 
 import pickle
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -26,10 +31,12 @@ from prunegraph.llm.common import components, materialize
 from prunegraph.llm.vectors import clean, collapse, matrix
 
 SHARD = 8192
-QUERY_BLOCK = 2048
 DEGREE = 12
 BEAM = 24
-AUDIT, RECALL = 64, 0.995
+RECALL = 0.995
+#: Members an audit looks at, at most, and links it asks for to be believed.
+AUDIT, ENOUGH = 2048, 100
+_ROWS = 512
 
 
 def _spread(x: np.ndarray, near: np.ndarray, like: np.ndarray, m: int) -> np.ndarray:
@@ -65,6 +72,7 @@ class SmallWorld:
             self.layers.append(self._exact(members, degree))
         self.start = int(order[0]) if n else -1
         self.links = np.full((n, 2 * degree), -1, np.int32)
+        self.back = None
         done = 1
         while done < n:
             new = order[done : min(n, done + max(8, min(512, done)))]
@@ -196,6 +204,21 @@ class SmallWorld:
                 members.append(m)
         return np.concatenate(rows), np.concatenate(members)
 
+    def _around(self, m: np.ndarray, who: np.ndarray):
+        """Neighbours of ``m`` along links either way, with the ``who`` of each."""
+        if self.back is None:
+            source, target = np.repeat(np.arange(len(self.x)), self.links.shape[1]), self.links.ravel().astype(np.int64)
+            source, target = source[target >= 0], target[target >= 0]
+            order = np.argsort(target, kind="stable")
+            self.back = source[order], np.searchsorted(target[order], np.arange(len(self.x) + 1))
+        source, first = self.back
+        out = self.links[m].astype(np.int64)
+        size = first[m + 1] - first[m]
+        n = int(size.sum())
+        back = source[np.arange(n) + np.repeat(first[m] - (np.cumsum(size) - size), size)]
+        there = out.ravel() >= 0
+        return np.concatenate([out.ravel()[there], back]), np.concatenate([np.repeat(who, out.shape[1])[there], np.repeat(who, size)])
+
     def _flood(self, q: np.ndarray, ids: np.ndarray, least: float, slack: float = 0.03):
         """Widens the beam to all that is reached over members within ``slack`` of ``least``;
         every member is opened once, so the work follows the number of links."""
@@ -207,11 +230,8 @@ class SmallWorld:
         while len(r):
             next_r, next_m = [], []
             for at in range(0, len(r), 1 << 13):
-                near = self.links[m[at : at + (1 << 13)]]
-                who = np.repeat(r[at : at + (1 << 13)], near.shape[1])
-                near = near.ravel().astype(np.int64)
-                ok = near >= 0
-                ok[ok] = ~seen[who[ok], near[ok]]
+                near, who = self._around(m[at : at + (1 << 13)], r[at : at + (1 << 13)])
+                ok = ~seen[who, near]
                 pair = np.unique(who[ok] * total + near[ok])
                 who, near = pair // total, pair % total
                 seen[who, near] = True
@@ -227,12 +247,23 @@ class SmallWorld:
 
 
 def audited(graph: SmallWorld, least: float, seed: int = 9) -> int:
-    """The beam at which sampled members find ``RECALL`` of their links from the top."""
+    """The beam at which sampled members find ``RECALL`` of their links from the top.
+
+    Links of a member to itself do not count. The sample grows until it holds ``ENOUGH``
+    links; one that stays short of them proves nothing, and the beam is doubled."""
     n = len(graph.x)
-    some = np.random.default_rng(seed).permutation(n)[:AUDIT]
-    truth = graph.x[some] @ graph.x.T >= least
-    beam = graph.beam
-    while beam < n:
+    order = np.random.default_rng(seed).permutation(n)[:AUDIT]
+    some, links = order[:0], 0
+    truth = np.zeros((0, n), bool)
+    while len(some) < len(order) and links < ENOUGH:
+        more = order[len(some) : len(some) + 256]
+        near = graph.x[more] @ graph.x.T >= least
+        near[np.arange(len(more)), more] = False
+        some, truth, links = np.concatenate([some, more]), np.concatenate([truth, near]), links + int(near.sum())
+    beam = graph.beam if links >= ENOUGH else 2 * graph.beam
+    at = np.flatnonzero(truth.any(axis=1))
+    some, truth = some[at], truth[at]
+    while links and beam < n:
         r, m = graph.linked(graph.x[some], least, beam)
         found = np.zeros_like(truth)
         found[r, m] = True
@@ -242,70 +273,131 @@ def audited(graph: SmallWorld, least: float, seed: int = 9) -> int:
     return min(beam, n)
 
 
-def near_vectors(vectors: DataFrame, least: float = 0.93, label: str = "label", shard: int = SHARD, block: int = QUERY_BLOCK) -> DataFrame:
+@dataclass
+class Shard:
+    """A graph with its beam, node names, unit vectors in double precision and copies."""
+
+    graph: SmallWorld
+    beam: int
+    nodes: np.ndarray
+    exact: np.ndarray
+    copies: np.ndarray
+
+
+def links_into(asking: Shard, shard: Shard, least: float, beam: int, own: bool) -> np.ndarray:
+    """(asking, members) matrix of links found in ``shard`` and confirmed."""
+    out = np.zeros((len(asking.exact), len(shard.exact)), bool)
+    for at in range(0, len(out), _ROWS):
+        q = asking.exact[at : at + _ROWS]
+        r, m = shard.graph.linked(q.astype(np.float32), least - 1e-5, beam, np.arange(at, at + len(q)) if own else None)
+        if 16 * len(r) > len(q) * len(shard.exact):
+            found = np.zeros((len(q), len(shard.exact)), bool)
+            found[r, m] = True
+            out[at : at + len(q)] = found & (q @ shard.exact.T >= least)
+            continue
+        for k in range(0, len(r), 1 << 17):
+            i, j = r[k : k + (1 << 17)], m[k : k + (1 << 17)]
+            good = np.einsum("nd,nd->n", q[i], shard.exact[j]) >= least
+            out[at + i[good], j[good]] = True
+    return out
+
+
+def links_between(a: Shard, b: Shard, least: float) -> np.ndarray:
+    """Links of the members of two shards, searched from both ends and audited."""
+    some = np.random.default_rng(len(a.exact)).permutation(len(a.exact))[: AUDIT // 8]
+    truth = a.exact[some] @ b.exact.T >= least
+    beams = [a.beam, b.beam]
+    while True:
+        found = links_into(a, b, least, beams[1], False)
+        found |= links_into(b, a, least, beams[0], False).T
+        if (found[some] & truth).sum() >= RECALL * truth.sum() or (beams[0] >= len(a.exact) and beams[1] >= len(b.exact)):
+            return found
+        beams = [2 * x for x in beams]
+
+
+def forest(linked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(row, column) pairs that join what ``linked`` joins: all if few, else a spanning forest."""
+    n = int(linked.sum())
+    if n <= 2 * sum(linked.shape):
+        return np.nonzero(linked)
+    turned = np.ascontiguousarray(linked.T)
+    fresh_rows, fresh_columns = linked.any(axis=1), linked.any(axis=0)
+    rows, columns = [], []
+    for seed in np.flatnonzero(fresh_rows):
+        if not fresh_rows[seed]:
+            continue
+        fresh_rows[seed] = False
+        front = np.array([seed])
+        while len(front):
+            reached = np.flatnonzero(linked[front].any(axis=0) & fresh_columns)
+            fresh_columns[reached] = False
+            rows.append(front[linked[front][:, reached].argmax(axis=0)] if len(reached) else reached)
+            columns.append(reached)
+            if not len(reached):
+                break
+            front = np.flatnonzero(turned[reached].any(axis=0) & fresh_rows)
+            fresh_rows[front] = False
+            rows.append(front)
+            columns.append(reached[turned[reached][:, front].argmax(axis=0)] if len(front) else front)
+    return np.concatenate(rows), np.concatenate(columns)
+
+
+def near_vectors(vectors: DataFrame, least: float = 0.93, label: str = "label", shard: int = SHARD) -> DataFrame:
     """vec_id, n_links, component_id, kept for every row of ``vectors``."""
     rows = clean(vectors).filter(F.col(label).isNotNull()).withColumn("label", F.col(label))
     once = collapse(rows, ["label"], 1).withColumn("dim", F.size("vector"))
     once = materialize(once.select("print", "label", "dim", "vector", "rep", "n"), "distinct-vectors")
-    sizes = once.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("size"))
+    sizes = once.groupBy("label", "dim").agg(F.ceil(F.count(F.lit(1)) / shard).cast("int").alias("shards"))
+    # a node is a distinct (label, vector); 64 bits of its content name it
+    node = F.xxhash64("print", "label")
     placed = once.join(sizes, ["label", "dim"]).select(
-        "label", "dim", "rep", "vector", "n", "print",
-        F.ceil(F.col("size") / shard).cast("int").alias("shards"),
-        F.pmod(F.xxhash64("print"), F.ceil(F.col("size") / shard)).cast("int").alias("shard"),
-        F.pmod(F.xxhash64("print", F.lit(1)), F.ceil(F.col("size") / block)).cast("int").alias("block"),
+        "label", "dim", "rep", "vector", "n", "print", "shards", node.alias("node"),
+        F.pmod(F.xxhash64("print"), F.col("shards")).cast("int").alias("shard"),
     )
     placed = materialize(placed, "placed-vectors")
-    # a node is a distinct (label, vector); 64 bits of its content name it
-    node = F.xxhash64("print", "label")
 
     def build(key, table):
         x = matrix(table.column("vector"))
         x /= np.linalg.norm(x, axis=1, keepdims=True)
         graph = SmallWorld(x)
-        blob = pickle.dumps((graph, audited(graph, least - 1e-5), table.column("node").to_numpy(), x, table.column("n").to_numpy()))
-        return pa.table([pa.array([v]) for v in (key[0].as_py(), key[1].as_py(), key[2].as_py())] + [pa.array([blob], pa.binary())], schema=pa.schema([("label", table.schema.field("label").type), ("dim", pa.int32()), ("shard", pa.int32()), ("graph", pa.binary())]))
+        blob = pickle.dumps(Shard(graph, audited(graph, least - 1e-5), table.column("node").to_numpy(), x, table.column("n").to_numpy()))
+        return pa.table([pa.array([v]) for v in (key[0].as_py(), key[1].as_py(), key[2].as_py(), table.column("shards")[0].as_py())] + [pa.array([blob], pa.binary())], schema=pa.schema([("label", table.schema.field("label").type), ("dim", pa.int32()), ("shard", pa.int32()), ("shards", pa.int32()), ("graph", pa.binary())]))
 
     kind = dict(placed.dtypes)["label"]
-    graphs = placed.withColumn("node", node).select("label", "dim", "shard", "vector", "node", "n").groupBy("label", "dim", "shard").applyInArrow(build, f"label {kind}, dim int, shard int, graph binary")
+    graphs = placed.select("label", "dim", "shard", "shards", "vector", "node", "n").groupBy("label", "dim", "shard").applyInArrow(build, f"label {kind}, dim int, shard int, shards int, graph binary")
     graphs = materialize(graphs, "graphs")
-    asked = placed.withColumn("node", node).select("label", "dim", "block", "vector", "node", F.col("shard").alias("home"), F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"))
-    blocks = materialize(asked.select("label", "dim", "shard", "block").distinct(), "query-blocks")
-    sent = graphs.join(blocks, ["label", "dim", "shard"])
-
-    def query(key, left, right):
-        names = ["a", "b", "n"]
-        graph, beam, nodes, exact, copies = pickle.loads(left.column("graph")[0].as_py())
-        q = matrix(right.column("vector"))
-        q /= np.linalg.norm(q, axis=1, keepdims=True)
-        ids = right.column("node").to_numpy()
-        home = right.column("home").to_numpy() == key[2].as_py()
-        place = {int(v): i for i, v in enumerate(nodes)}
-        found = [np.zeros(0, np.int64)] * 3
-        for mine in (True, False):
-            at = np.flatnonzero(home == mine)
-            if not len(at):
-                continue
-            own = np.array([place[int(i)] for i in ids[at]]) if mine else None
-            r, m = graph.linked(q[at].astype(np.float32), least - 1e-5, beam, own)
-            score = np.einsum("nd,nd->n", q[at][r], exact[m])
-            good = (score >= least) & (ids[at][r] != nodes[m])
-            found = [np.concatenate([f, v]) for f, v in zip(found, (ids[at][r[good]], nodes[m[good]], copies[m[good]]))]
-        return pa.table([pa.array(v, pa.int64()) for v in found], names)
-
-    on = ["label", "dim", "shard", "block"]
-    links = sent.groupBy(*on).cogroup(asked.groupBy(*on)).applyInArrow(query, "a long, b long, n long")
+    met = graphs.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)))
+    met = met.select("label", "dim", F.least("shard", "other").alias("lo"), F.greatest("shard", "other").alias("hi"), "graph")
+
+    def meet(key, table):
+        shards = [pickle.loads(b.as_py()) for b in table.column("graph")]
+        a, b = shards[0], shards[-1]
+        if len(shards) == 1:
+            linked = links_into(a, a, least, a.beam, True)
+            linked |= linked.T
+            np.fill_diagonal(linked, False)
+        else:
+            linked = links_between(a, b, least)
+        x, y = forest(linked)
+        ends = [(a, linked, b.copies)] + ([(b, linked.T, a.copies)] if len(shards) > 1 else [])
+        names, degree = [], []
+        for own, at, copies in ends:
+            n = np.concatenate([at[k : k + _ROWS] @ copies for k in range(0, len(at), _ROWS)])
+            names.append(own.nodes[n > 0])
+            degree.append(n[n > 0])
+        names, degree = np.concatenate(names), np.concatenate(degree)
+        none = pa.nulls(len(names), pa.int64())
+        return pa.table([pa.array(np.concatenate([a.nodes[x], names])), pa.concat_arrays([pa.array(b.nodes[y], pa.int64()), none]), pa.concat_arrays([pa.nulls(len(x), pa.int64()), pa.array(degree, pa.int64())])], ["a", "b", "n"])
+
+    links = met.groupBy("label", "dim", "lo", "hi").applyInArrow(meet, "a long, b long, n long")
     links = materialize(links, "vector-links")
-    # a link found from either end counts for both; one-sided finds are turned round
-    own = placed.select(node.alias("b"), F.col("n"))
-    turned = links.select(F.col("b").alias("a"), F.col("a").alias("b")).join(own, "b").select("a", "b", "n")
-    both = links.unionByName(turned).dropDuplicates(["a", "b"])
-    degree = both.groupBy("a").agg(F.sum("n").alias("degree"))
-    names = placed.select(node.alias("id"), "rep")
-    label_of = components(links.select("a", "b"), "vectors").join(names, "id")
+    degree = links.filter("b is null").groupBy(F.col("a").alias("id")).agg(F.sum("n").alias("degree"))
+    names = placed.select(F.col("node").alias("id"), "rep")
+    label_of = components(links.filter("b is not null").select("a", "b"), "vectors").join(names, "id")
     least_id = label_of.groupBy("component").agg(F.min("rep").alias("component_id"))
     node_rows = (
-        placed.select(node.alias("id"), "print", "label", "dim", "rep", "n")
-        .join(degree.withColumnRenamed("a", "id"), "id", "left")
+        placed.select(F.col("node").alias("id"), "rep", "n")
+        .join(degree, "id", "left")
         .join(label_of.select("id", "component").join(least_id, "component").select("id", "component_id"), "id", "left")
         .select(F.col("id"), (F.coalesce("degree", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component_id", "rep").alias("component_id"))
     )

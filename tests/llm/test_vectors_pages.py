@@ -43,6 +43,45 @@ def test_search_of_few(spark):
     assert nearest.search(df.limit(0), F.col("vec_id") == 0).count() == 0
 
 
+def test_search_prunes(spark):
+    """On vectors with neighbours, a query meets a small part of the table and loses little."""
+    rng = np.random.default_rng(5)
+    centre = rng.standard_normal((150, 32))
+    x = np.repeat(centre, 20, 0) + 0.4 * rng.standard_normal((3000, 32))
+    df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<float>")
+    report = {}
+    rows = nearest.search(df, F.col("vec_id") % 25 == 0, report=report).collect()
+    assert report["recall"] >= 0.9 and report["met"] < 0.35
+    unit = x.astype(np.float32).astype(float)
+    unit /= np.linalg.norm(unit, axis=1, keepdims=True)
+    hit = 0
+    for q in range(0, 3000, 25):
+        s = unit @ unit[q]
+        s[q] = -2
+        hit += len(set(np.argsort(-s)[:5].tolist()) & {r["vec_id"] for r in rows if r["query_id"] == q})
+    assert len(rows) == 600 and hit / 600 >= 0.9
+
+
+def test_search_ties_and_repeated_ids(spark):
+    """Multiples of one vector tie; the smaller ids win, also beyond what one block keeps."""
+    rng = np.random.default_rng(6)
+    v = rng.standard_normal(8)
+    rows = [(i, [float(c) for c in v * 2.0 ** (i % 16)]) for i in range(40, 0, -1)]
+    rows += [(100 + i % 3, [float(c) for c in v * 3]) for i in range(18)] + [(200 + i, [float(c) for c in rng.standard_normal(8)]) for i in range(50)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [r["vec_id"] for r in nearest.search(df, F.col("vec_id") == 200 - 190).orderBy("rank").collect()]
+    assert got == [1, 2, 3, 4, 5]
+
+
+def test_search_falls_back_to_comparison(spark):
+    """Where hashing finds too little, all rows are compared."""
+    rng = np.random.default_rng(7)
+    df = spark.createDataFrame([(i, [float(c) for c in rng.standard_normal(24)]) for i in range(400)], "vec_id long, embedding array<float>")
+    report = {}
+    rows = nearest.search(df, F.col("vec_id") % 20 == 0, tables=1, target=0.01, report=report).collect()
+    assert len(rows) == 100 and (report["recall"] >= nearest.RECALL or report["tables"] >= nearest.MOST_TABLES)
+
+
 def test_graph_links_equal_brute_force(vectors):
     df, x = vectors
     unit = x.astype(float)
@@ -64,11 +103,55 @@ def test_graph_links_equal_brute_force(vectors):
 def test_graph_over_shards(vectors):
     df, _ = vectors
     a = {tuple(r) for r in graphs.near_vectors(df).collect()}
-    b = {tuple(r) for r in graphs.near_vectors(df, shard=40, block=30).collect()}
+    b = {tuple(r) for r in graphs.near_vectors(df, shard=40).collect()}
     assert a == b
     assert graphs.near_vectors(df.limit(0)).count() == 0
 
 
+def test_graph_of_one_cluster_over_shards(spark):
+    """A cluster larger than a beam and a shard: all links counted, no row per link."""
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal(12)[None] + 0.18 * rng.standard_normal((700, 12))
+    df = spark.createDataFrame([(i, [float(v) for v in r], 1) for i, r in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    linked = unit @ unit.T >= 0.93
+    np.fill_diagonal(linked, False)
+    want = linked.sum(axis=1)
+    got = {r["vec_id"]: r["n_links"] for r in graphs.near_vectors(df, shard=200).collect()}
+    found = np.array([got[i] for i in range(700)])
+    assert want.sum() > 20_000 and (found <= want).all() and found.sum() >= 0.999 * want.sum()
+
+
+def test_forest_joins_what_links_join():
+    rng = np.random.default_rng(2)
+    linked = np.zeros((60, 50), bool)
+    for k in range(4):
+        linked[15 * k : 15 * k + 12, 12 * k : 12 * k + 10] = rng.random((12, 10)) < 0.9
+    x, y = graphs.forest(linked)
+    assert linked[x, y].all() and len(x) < linked.sum()
+
+    def joined(pairs):
+        parent = list(range(110))
+
+        def find(v):
+            while parent[v] != v:
+                v = parent[v]
+            return v
+
+        for a, b in pairs:
+            p, q = find(a), find(60 + b)
+            parent[max(p, q)] = min(p, q)
+        return [find(v) for v in range(110)]
+
+    assert joined(zip(x, y)) == joined(zip(*np.nonzero(linked)))
+
+
+def test_audit_without_links_widens_the_beam():
+    x = np.random.default_rng(1).standard_normal((300, 40))
+    graph = graphs.SmallWorld(x / np.linalg.norm(x, axis=1, keepdims=True))
+    assert graphs.audited(graph, 0.93) >= 2 * graphs.BEAM
+
+
 PAGE = """<html><head><title>t</title><style>p{}</style></head><body><nav><a href="/x">menu</a></nav><div class="cookie-notice">Accept</div>
 <article><h1>Title %d &amp; more</h1><p>First   para<br>graph %d with <b>bold</b> &lt;text&gt;.<p>Second %d<ul><li>one<li>two</ul><aside>side</aside><div class="share">Share</div></article>
 <div class="comments"><p>Nice!</p></div><form><p>Mail</p></form><footer>&copy; site</footer><script>var x = "</p><p>no";</script></body></html>"""
