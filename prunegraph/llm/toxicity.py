@@ -5,13 +5,15 @@ its naive Bayes log-count ratio between the two classes, and a logistic regressi
 the values gives the score. n-grams whose ratio lies within ``least_z`` standard errors
 of zero carry no evidence and are left out.
 
-The classifier is fitted on at most ``most_labelled`` labelled rows, those with the
-least hash of doc_id; every text is scored whole.
+The classifier is fitted on at most ``MOST_LABELLED`` labelled rows, those with the
+least hash of doc_id, and keeps the ``MOST_FEATURES`` n-grams of most evidence; a toxic
+row, the rarer kind, weighs ``POSITIVE`` times. Every text is scored whole.
 
 Defined cases: null text is empty; an empty or featureless text has the score of the
 intercept; without labels of both classes the score is the share of the class seen (0
 without labels); labels that are null are not used; of several labels of one doc_id the
-largest holds; repeated rows are scored each; further columns are ignored.
+largest holds; repeated rows are scored each; a row without doc_id is scored and not
+held out; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,6 +31,7 @@ ORDERS = (4, 5, 6)
 MOST_LABELLED = 12_000
 MOST_FEATURES = 20_000
 LEAST_Z = 2.3
+POSITIVE = 4.0
 BLOCK_CHARS = 1 << 19
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
@@ -165,10 +168,10 @@ def fit(labelled: DataFrame, seed: int = 5) -> ToxicityModel:
     return ToxicityModel(keys, weights * np.clip(ratio, -6, 6), intercept)
 
 
-def _logistic(row: np.ndarray, feature: np.ndarray, value: np.ndarray, y: np.ndarray, penalty: float = 0.5, rounds: int = 400, positive: float = 4.0) -> tuple[np.ndarray, float]:
+def _logistic(row: np.ndarray, feature: np.ndarray, value: np.ndarray, y: np.ndarray, penalty: float = 0.5, rounds: int = 400, positive: float = POSITIVE) -> tuple[np.ndarray, float]:
     """Penalised logistic regression on sparse presence rows (accelerated gradient).
 
-    A toxic row counts ``positive`` times: it is the rarer class."""
+    A toxic row counts ``positive`` times."""
     n, p = len(y), len(value)
     v = value[feature]
     w, b, w0, b0, t = np.zeros(p), 0.0, np.zeros(p), 0.0, 1.0
@@ -231,7 +234,7 @@ def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.7) -> Data
     discard(train)
     return score(docs, model).select(
         "doc_id",
-        (F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1).alias("held_out"),
+        F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1, F.lit(False)).alias("held_out"),
         "score",
         (F.col("score") >= threshold).cast("int").alias("predicted"),
     )
