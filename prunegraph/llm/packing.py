@@ -8,8 +8,8 @@ all pieces share is ranked in many tasks.
 
 Defined cases: null or empty text is one piece, its end id alone; a text over the limit
 is cut into full pieces and a rest; repeated rows are separate documents whose pieces
-are told apart by a row hash and number; empty tables give no rows; further columns are
-ignored.
+are told apart by ``row_id``, a number of the input row; empty tables give no rows;
+further columns are ignored.
 """
 
 from __future__ import annotations
@@ -76,15 +76,20 @@ def tokens_of(path: str) -> WordTokens:
     return _tokens[path]
 
 
+_PIECE = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "row_id"]
+
+
 def pieces(docs: DataFrame, tokenizer_path: str, limit: int = LIMIT, end: int = END) -> DataFrame:
-    """doc_id, start, length, ids_crc32, doc_tokens for each piece of each document."""
+    """doc_id, start, length, ids_crc32, doc_tokens, row_id for each piece of each document."""
     last = np.array([end], "<u4").tobytes()
 
     def cut(batches):
         import os
 
+        from pyspark import TaskContext
+
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        tokens = tokens_of(tokenizer_path)
+        tokens, row = tokens_of(tokenizer_path), TaskContext.get().partitionId() << 40
         for batch in batches:
             ids, texts = batch.column(0), batch.column(1)
             for at in range(0, batch.num_rows, 256):
@@ -93,11 +98,12 @@ def pieces(docs: DataFrame, tokenizer_path: str, limit: int = LIMIT, end: int =
                 for doc, coded in zip(ids.slice(at, 256).to_pylist(), tokens.texts(some)):
                     coded += last
                     n = len(coded) // 4
-                    out += [(doc, s, min(limit, n - s), zlib.crc32(coded[4 * s : 4 * (s + limit)]), n) for s in range(0, n, limit)]
+                    out += [(doc, s, min(limit, n - s), zlib.crc32(coded[4 * s : 4 * (s + limit)]), n, row) for s in range(0, n, limit)]
+                    row += 1
                 columns = list(zip(*out))
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], _PIECE)
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(cut, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(cut, ", ".join(f"{c} long" for c in _PIECE))
 
 
 def pack_histogram(lengths: np.ndarray, counts: np.ndarray, limit: int = LIMIT) -> dict[str, np.ndarray]:
@@ -132,7 +138,7 @@ def pack(cut: DataFrame, limit: int = LIMIT) -> DataFrame:
     """Adds sequence_id and offset to ``pieces``; a materialised input is best."""
     spark = cut.sparkSession
     salts = width(spark)
-    salted = cut.withColumn("salt", salt(F.col("doc_id"), F.col("start"), F.col("ids_crc32"), n=salts))
+    salted = cut.withColumn("salt", salt(F.col("row_id"), F.col("start"), n=salts))
     counts = salted.groupBy("length", "salt").agg(F.count(F.lit(1)).alias("n"))
     before = Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
     counts = counts.withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0)))
@@ -146,21 +152,21 @@ def pack(cut: DataFrame, limit: int = LIMIT) -> DataFrame:
         at = shared.value
         key = (at["length"] << 40) | at["first"]
         for batch in batches:
-            length, rank = (batch.column(i).to_numpy(zero_copy_only=False) for i in (2, 5))
+            length, rank = (batch.column(i).to_numpy(zero_copy_only=False) for i in (2, 6))
             k = np.searchsorted(key, (length << 40) | rank, "right") - 1
             yield pa.RecordBatch.from_arrays(
-                [*batch.columns[:5], pa.array(at["pack"][k] + rank - at["first"][k]), pa.array(at["offset"][k])],
-                ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"],
+                [*batch.columns[:6], pa.array(at["pack"][k] + rank - at["first"][k]), pa.array(at["offset"][k])],
+                [*_PIECE, "sequence_id", "offset"],
             )
 
-    order = Window.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32")
+    order = Window.partitionBy("length", "salt").orderBy("doc_id", "start", "row_id")
     ranked = (
         salted.withColumn("k", F.row_number().over(order) - 1)
         # the counts grow with the salts: merged where the window has put the rows already
         .join(counts.select("length", "salt", "base").hint("merge"), ["length", "salt"])
-        .select("doc_id", "start", "length", "ids_crc32", "doc_tokens", (F.col("base") + F.col("k")).alias("rank"))
+        .select(*_PIECE, (F.col("base") + F.col("k")).alias("rank"))
     )
-    return ranked.mapInArrow(join, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    return ranked.mapInArrow(join, ", ".join(f"{c} long" for c in [*_PIECE, "sequence_id", "offset"]))
 
 
 def pack_documents(docs: DataFrame, tokenizer_path: str, limit: int = LIMIT, end: int = END) -> DataFrame:
