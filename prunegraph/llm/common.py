@@ -65,6 +65,21 @@ def salt(*cols: Column, n: int) -> Column:
     return F.pmod(F.xxhash64(*cols, F.lit(77)), F.lit(n)).cast("int")
 
 
+def with_copy(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """``rows`` with "copy": 0 where ``keys`` are unique, else a number of the row.
+
+    ``rows`` must be a written table, so that the numbers hold. Copies of one row can
+    then be spread, however many there are."""
+    again = rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("copies")).filter("copies > 1")
+    if again.isEmpty():
+        return rows.withColumn("copy", F.lit(0).cast("long"))
+    numbered = rows.withColumn("copy", F.monotonically_increasing_id() + 1)
+    side = again.select(*(F.col(k).alias(f"again_{k}") for k in keys))
+    same = [numbered[k].eqNullSafe(side[f"again_{k}"]) for k in keys]
+    marked = numbered.join(side.withColumn("again", F.lit(True)), same, "left")
+    return marked.withColumn("copy", F.when(F.col("again"), F.col("copy")).otherwise(0)).select(*rows.columns, "copy")
+
+
 # ---------------------------------------------------------------- Arrow text
 
 

@@ -5,6 +5,10 @@ number that never changes. Bytes and rows are summed per slot; a map from slots
 shards is kept as a numbered table. A rebalance edits that map (slots move, records
 are never re-hashed) and writes the next version.
 
+Rows with equal texts are records of their own: their ids put them in different slots.
+Copies of one row (id and text equal) also differ by a number of the row, so that no slot
+grows with a group of copies.
+
 Defined cases: a null text has no bytes; a null id hashes like any other value;
 repeated rows each get their own place; an empty table gives an empty result and a map
 whose slots are empty; further columns of the input are ignored.
@@ -16,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from prunegraph.llm.common import crc32, materialize, salt
+from prunegraph.llm.common import crc32, materialize, salt, with_copy
 
 SLOTS = 4096
 OVERHEAD = 16
@@ -24,11 +28,13 @@ OVERHEAD = 16
 
 def records(docs: DataFrame, slots: int = SLOTS) -> DataFrame:
     """doc_id, size, text_crc32 and the virtual slot of every row."""
-    return docs.select(
+    rows = docs.select(
         "doc_id",
         (F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + OVERHEAD).alias("size"),
         crc32(F.col("text")).alias("text_crc32"),
-    ).withColumn("vslot", salt(F.col("doc_id"), F.col("text_crc32"), n=slots))
+    )
+    numbered = with_copy(materialize(rows, "records"), ["doc_id", "text_crc32"])
+    return numbered.withColumn("vslot", salt(F.col("doc_id"), F.col("text_crc32"), F.col("copy"), n=slots))
 
 
 def slot_bytes(rows: DataFrame, slots: int = SLOTS) -> DataFrame:
@@ -86,7 +92,7 @@ def place(rows: DataFrame, slot_map: DataFrame) -> DataFrame:
     so places need a sort within slots only, never within a whole shard."""
     in_shard = Window.partitionBy("shard").orderBy("vslot").rowsBetween(Window.unboundedPreceding, -1)
     starts = slot_map.select("vslot", "shard", F.coalesce(F.sum("n").over(in_shard), F.lit(0)).alias("first"))
-    in_slot = Window.partitionBy("vslot").orderBy("doc_id", "text_crc32")
+    in_slot = Window.partitionBy("vslot").orderBy("doc_id", "text_crc32", "copy")
     ranked = rows.withColumn("k", F.row_number().over(in_slot) - 1)
     # one row per virtual slot: its size is fixed, whatever the input is
     return ranked.join(F.broadcast(starts), "vslot").withColumn("slot", F.col("first") + F.col("k"))
@@ -94,6 +100,18 @@ def place(rows: DataFrame, slot_map: DataFrame) -> DataFrame:
 
 def shard(docs: DataFrame, shards: int = 40, slots: int = SLOTS, previous: DataFrame | None = None, version: int = 1) -> tuple[DataFrame, DataFrame]:
     """(placed rows, slot map) for ``docs``; near-equal bytes per shard."""
-    rows = records(docs, slots)
+    rows = materialize(records(docs, slots), "slotted")
     slot_map = materialize(rebalance(slot_bytes(rows, slots), shards, previous, version), "slot-map")
     return place(rows, slot_map), slot_map
+
+
+def grow(docs: DataFrame, folder: str, before: int = 39, shards: int = 40, slots: int = SLOTS) -> DataFrame:
+    """Placed rows after the map in ``folder`` went from ``before`` to ``shards`` shards.
+
+    Version 1 is stored, then edited into version 2; rows are placed by what is stored."""
+    spark = docs.sparkSession
+    rows = materialize(records(docs, slots), "slotted")
+    stats = materialize(slot_bytes(rows, slots), "slot-bytes")
+    save_map(rebalance(stats, before), folder)
+    save_map(rebalance(stats, shards, load_map(spark, folder, 1), version=2), folder)
+    return place(rows, load_map(spark, folder, 2))
