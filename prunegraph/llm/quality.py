@@ -6,8 +6,9 @@ normalisers and probabilities of all orders are aggregations and joins of count
 sharded by hash. Every string that occurs in any text gets its probability the same way,
 seen in training or not. Scoring reads texts once more: the ``HEAD`` commonest strings
 (a fixed number) are broadcast with their probabilities, the others are counted per
-document and joined with the sharded table. A document goes if its perplexity is above
-its language's threshold, a quantile over trusted documents kept out of the fit.
+document and joined with the sharded table. A document goes if its smoothed perplexity is
+above its language's threshold, a quantile over trusted documents kept out of the fit;
+smoothing adds ``SMOOTH_BYTES`` of mean text, so that short texts are not judged by chance.
 
 Defined cases: null text is empty; an empty text has perplexity 1 and stays; languages
 with fewer than ``LEAST_TRUSTED`` trusted documents (null language included) use the
@@ -23,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from prunegraph.llm.common import discard, long_view, materialize, slices, utf8
+from prunegraph.llm.common import free_name, long_view, materialize, slices, utf8
 
 ORDER = 5
 HEAD = 1 << 19
@@ -225,7 +226,8 @@ def trusted(labels: DataFrame) -> DataFrame:
 
 
 def score_quality(docs: DataFrame, labels: DataFrame, order: int = ORDER, quantile: float = QUANTILE) -> DataFrame:
-    """Per row: doc_id, lang, key, n_bytes, log_likelihood, perplexity, threshold, kept."""
+    """Per row: doc_id, lang, key, n_bytes, log_likelihood, perplexity, smoothed_perplexity,
+    threshold, kept; a text with bytes is kept if the smoothed value is within the threshold."""
     marks = materialize(trusted(labels), "trusted")
     side = F.broadcast(marks) if marks.count() <= SMALL_LABELS else marks
     rows = docs.select(F.col("doc_id").cast("long"), "text", F.col("lang").cast("string")).join(side, "doc_id", "left").withColumn("key", F.xxhash64("doc_id", "text", "lang"))
@@ -245,15 +247,17 @@ def score_quality(docs: DataFrame, labels: DataFrame, order: int = ORDER, quanti
     return limits.select(
         "doc_id", "lang", "key", "n_bytes", "log_likelihood",
         F.when(F.col("n_bytes") == 0, 1.0).otherwise(F.exp(-F.col("log_likelihood") / (F.col("n_bytes") + 1))).alias("perplexity"),
+        F.exp("smoothed").alias("smoothed_perplexity"),
         F.exp(threshold).alias("threshold"),
-        (F.col("n_bytes").eqNullSafe(0) | F.coalesce(F.col("smoothed") <= threshold, F.lit(True))).alias("kept"),
+        (F.col("n_bytes").eqNullSafe(0) | F.coalesce(F.exp("smoothed") <= F.exp(threshold), F.lit(True))).alias("kept"),
     )
 
 
 def select_quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, all their columns."""
-    found = score_quality(docs, labels).filter("not kept").select(F.col("key").alias("_bad")).distinct()
-    keyed = docs.withColumn("_key", F.xxhash64(F.col("doc_id").cast("long"), "text", F.col("lang").cast("string")))
+    name = free_name(docs, "rejected_key")
+    found = score_quality(docs, labels).filter("not kept").select(F.col("key").alias(name)).distinct()
     bad = materialize(found, "rejected")
     side = F.broadcast(bad) if bad.count() <= SMALL_LABELS else bad
-    return keyed.join(side, keyed["_key"] == side["_bad"], "left_anti").drop("_key")
+    key = F.xxhash64(docs["doc_id"].cast("long"), docs["text"], docs["lang"].cast("string"))
+    return docs.join(side, key == side[name], "left_anti")

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from prunegraph.llm.common import table
+from prunegraph.llm.common import shared_folder, table
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -35,7 +37,7 @@ def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import sharding
 
-    placed, _ = sharding.shard(table(spark, sf_dir, "documents"))
+    placed = sharding.grow(table(spark, sf_dir, "documents"), f"{shared_folder(spark)}/slot-map-{uuid.uuid4().hex}")
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
@@ -43,7 +45,7 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from prunegraph.llm import quality
 
     found = quality.score_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
-    return found.select("doc_id", "lang", "n_bytes", "perplexity", "threshold", "kept")
+    return found.select("doc_id", "lang", "n_bytes", "perplexity", "smoothed_perplexity", "threshold", "kept")
 
 
 def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
