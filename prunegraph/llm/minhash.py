@@ -13,9 +13,9 @@ yet one component, all of them meet: the range is dealt into blocks, every two b
 meet in one group, and a group returns only the links that join components.
 
 Defined cases: null, empty and blank texts have the empty set and are linked with
-nothing; repeated rows and ties have one class, whose least doc_id stands for it;
-null doc_ids are not supported as representatives and stay alone; empty tables give
-no rows; further columns are ignored.
+nothing; repeated rows and ties have one class, whose least doc_id stands for it; a
+doc_id held by different texts is in the class of each; rows with null doc_id are linked
+with nothing and stay alone; empty tables give no rows; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from prunegraph.llm.common import CHUNK_BYTES, components, discard, long_view, materialize, slices, utf8
+from prunegraph.llm.common import CHUNK_BYTES, components, discard, free_name, materialize, slices, utf8
 from prunegraph.llm.shingles import minhash, shingle_sets
 
 TREES = 16
@@ -47,24 +47,24 @@ _PAIRS = 1 << 16
 
 
 def signatures(docs: DataFrame, words: int, hashes: int = HASHES) -> DataFrame:
-    """doc_id, n_shingles, set fingerprint and signature of every row."""
+    """doc_id, hash of the text, n_shingles, set fingerprint and signature of every row."""
 
     def run(batches):
         for batch in batches:
-            raw, offsets = utf8(batch.column(1))
+            raw, offsets = utf8(batch.column(2))
             for a, b in slices(offsets, CHUNK_BYTES // 2):
                 sets, at = shingle_sets(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], words)
                 sig = minhash(sets, at, hashes)
                 prints = np.zeros((b - a, 2), np.int64)
                 for i in range(b - a):
                     if at[i + 1] > at[i]:
-                        prints[i] = np.frombuffer(hashlib.blake2b(sets[at[i] : at[i + 1]].tobytes(), digest_size=16).digest(), np.int64)
+                        prints[i] = fingerprint(sets[at[i] : at[i + 1]])
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(a, b - a), pa.array(np.diff(at)), pa.array(prints[:, 0]), pa.array(prints[:, 1]), pa.array([x.tobytes() for x in sig], pa.binary())],
-                    ["doc_id", "n_shingles", "print_a", "print_b", "sig"],
+                    [batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(np.diff(at)), pa.array(prints[:, 0]), pa.array(prints[:, 1]), pa.array([x.tobytes() for x in sig], pa.binary())],
+                    ["doc_id", "text_hash", "n_shingles", "print_a", "print_b", "sig"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, print_a long, print_b long, sig binary")
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), "text").mapInArrow(run, "doc_id long, text_hash long, n_shingles long, print_a long, print_b long, sig binary")
 
 
 def _lcp(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -166,23 +166,39 @@ def _estimate(pairs: DataFrame, classes: DataFrame, hashes: int) -> DataFrame:
     return both.select("a", "b", "sig_a", "sig_b").mapInArrow(run, "a long, b long, like double")
 
 
-def class_sets(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
-    """(id, set) for the listed classes, from the text of their representative."""
+def fingerprint(shingles: np.ndarray) -> np.ndarray:
+    """Two longs that name a set."""
+    return np.frombuffer(hashlib.blake2b(shingles.tobytes(), digest_size=16).digest(), np.int64)
+
+
+def class_sets(docs: DataFrame, heads: DataFrame, ids: DataFrame, words: int) -> DataFrame:
+    """(id, set) for the listed classes, from a text of their representative that has the set."""
 
     def run(batches):
+        last = None
         for batch in batches:
             raw, offsets = utf8(batch.column(1))
+            prints = np.stack([batch.column(i).to_numpy(zero_copy_only=False) for i in (2, 3)], 1)
+            names = batch.column(0).to_numpy(zero_copy_only=False)
             for a, b in slices(offsets, CHUNK_BYTES // 2):
                 sets, at = shingle_sets(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], words)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array([sets[at[i] : at[i + 1]].tobytes() for i in range(b - a)], pa.binary())], ["id", "set"])
-
-    # a fixed number of hash slots of the wanted ids keeps most other texts out of the shuffle
-    slot = F.pmod(F.xxhash64("id"), F.lit(ID_SLOTS)).cast("int")
-    slots = ids.select(slot.alias("slot")).distinct()
-    text = docs.select(F.col("doc_id").cast("long").alias("id"), "text").withColumn("slot", slot).join(F.broadcast(slots), "slot", "left_semi")
-    nth = F.row_number().over(Window.partitionBy("id").orderBy("id"))
-    text = text.drop("slot").join(ids, "id", "left_semi").withColumn("nth", nth).filter("nth = 1").select("id", "text")
-    return text.mapInArrow(run, "id long, set binary")
+                found, data = [], []
+                for i in range(b - a):
+                    own = sets[at[i] : at[i + 1]]
+                    if names[a + i] != last and (fingerprint(own) == prints[a + i]).all():
+                        last = names[a + i]
+                        found.append(last)
+                        data.append(own.tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), pa.array(data, pa.binary())], ["id", "set"])
+
+    wanted = ids.join(heads.select("id", "rep", "print_a", "print_b"), "id")
+    # a fixed number of hash slots of the wanted documents keeps most other texts out of the shuffle
+    slot = F.pmod(F.xxhash64("rep"), F.lit(ID_SLOTS)).cast("int")
+    slots = wanted.select(slot.alias("slot")).distinct()
+    text = docs.select(F.col("doc_id").cast("long").alias("rep"), "text").withColumn("slot", slot).join(F.broadcast(slots), "slot", "left_semi").drop("slot")
+    # rows of a class follow each other, so that one of them is taken
+    rows = text.join(wanted, "rep").select("id", "text", "print_a", "print_b").sortWithinPartitions("id")
+    return rows.mapInArrow(run, "id long, set binary")
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -302,7 +318,7 @@ def crowded_links(docs: DataFrame, heads: DataFrame, links: DataFrame | None, la
         return label
     members = materialize(within(rows, ranges).select(*place, "id", "n_shingles"), "members")
     ids = members.select("id").distinct()
-    sets = materialize(class_sets(docs, ids, words).join(heads.select("id", "sig"), "id"), "member-sets")
+    sets = materialize(class_sets(docs, heads, ids, words).join(heads.select("id", "sig"), "id"), "member-sets")
     discard(known, ranges)
     # a range that became one component in an earlier tree needs no second look
     for start, end in ((0, 1), (1, 4), (4, trees)):
@@ -322,16 +338,18 @@ def crowded_links(docs: DataFrame, heads: DataFrame, links: DataFrame | None, la
 
 
 def near_classes(docs: DataFrame, words: int = 5, percent: int = 80, trees: int = TREES, hashes: int = HASHES) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row of ``docs``."""
+    """doc_id, text_hash, n_shingles, component_id, group of every row of ``docs``.
+
+    "group" names the component; it is null for rows that take no part."""
     rows = materialize(signatures(docs, words, hashes), "signatures")
     full = rows.filter("n_shingles > 0 and doc_id is not null")
-    heads = full.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig"), F.min("n_shingles").alias("n_shingles"))
-    heads = materialize(heads, "classes")
+    heads = full.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep"), F.first("sig").alias("sig"), F.min("n_shingles").alias("n_shingles"))
+    heads = materialize(heads.withColumn("id", F.xxhash64("print_a", "print_b")), "classes")
     pairs = candidates(heads, trees, hashes)
     left = materialize(_estimate(pairs, heads, hashes).filter(F.col("like") >= percent / 100 - SLACK), "likely")
     discard(pairs)
     ids = left.select(F.col("a").alias("id")).union(left.select("b")).distinct()
-    sets = materialize(class_sets(docs, ids, words), "sets")
+    sets = materialize(class_sets(docs, heads, ids, words), "sets")
     label, links, tried = None, None, None
     for turn in range(3):
         open_ = left
@@ -354,14 +372,35 @@ def near_classes(docs: DataFrame, words: int = 5, percent: int = 80, trees: int
         tried = chosen if tried is None else tried.unionByName(chosen)
         label = components(links, "near")
     label = crowded_links(docs, heads, links, label, words, percent, trees, hashes)
-    if label is None:
-        merged = heads.select("print_a", "print_b", F.col("id").alias("component_id"))
-    else:
-        merged = heads.join(label, "id", "left").select("print_a", "print_b", F.coalesce("component", "id").alias("component_id"))
+    group = F.col("id") if label is None else F.coalesce("component", "id")
+    named = (heads if label is None else heads.join(label, "id", "left")).select("print_a", "print_b", "rep", group.alias("group"))
+    least = named.groupBy("group").agg(F.min("rep").alias("least"))
+    merged = named.join(least, "group").select("print_a", "print_b", "group", "least")
     linked = rows.join(merged, ["print_a", "print_b"], "left")
-    return linked.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    part = (F.col("n_shingles") > 0) & F.col("doc_id").isNotNull()
+    return linked.select("doc_id", "text_hash", "n_shingles", F.when(part, F.col("least")).otherwise(F.col("doc_id")).alias("component_id"), F.when(part, F.col("group")).alias("group"))
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
-    found = near_classes(docs, words, percent)
+    """doc_id, n_shingles, component_id, kept of every row of ``docs``."""
+    found = near_classes(docs, words, percent).select("doc_id", "n_shingles", "component_id")
     return found.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def without_near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
+    """One row of each group, and all rows that take no part, with the columns of ``docs``.
+
+    The row with the least doc_id stays; where texts share it, the one with the least hash."""
+    found = materialize(near_classes(docs, words, percent).filter("group is not null").select("doc_id", "text_hash", "group"), "near-groups")
+    best = found.groupBy("group").agg(F.min(F.struct("doc_id", "text_hash")).alias("best")).select("best.*")
+    rows = found.groupBy("doc_id", "text_hash").agg(F.count(F.lit(1)).alias("copies"))
+    doc, text = free_name(docs, "near_doc"), free_name(docs, "near_text")
+    gone = rows.join(best, ["doc_id", "text_hash"], "left_anti").select(F.col("doc_id").alias(doc), F.col("text_hash").alias(text))
+    left = docs.join(gone, (docs["doc_id"].cast("long") == F.col(doc)) & (F.xxhash64(docs["text"]) == F.col(text)), "left_anti")
+    if rows.join(best, ["doc_id", "text_hash"], "left_semi").filter("copies > 1").isEmpty():
+        return left
+    # a repeated row is a copy as well; rows without an id or words are none
+    key = free_name(docs, "near_key")
+    blank = F.col("doc_id").isNull() | ~F.coalesce(F.col("text"), F.lit("")).rlike("[^\\x20\\x09-\\x0D]")
+    keyed = left.withColumn(key, F.when(~blank, F.xxhash64("doc_id", "text")))
+    return keyed.filter(F.col(key).isNull()).unionByName(keyed.filter(F.col(key).isNotNull()).dropDuplicates([key])).drop(key)
