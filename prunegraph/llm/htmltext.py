@@ -4,12 +4,13 @@ A token is an element start with its path of tags and classes. Over the pages of
 tokens with the same occurrence vector (how often in which page) form a class; vectors
 are compared by number of pages and a sum of per-page hashes, which partial
 aggregation can add up, so no host is gathered anywhere. Classes present in most pages
-make the template: the class of tokens that occur once a page is its root, the others
-nest below the tokens that enclose them. What the template leaves open are slots; a
-slot whose text never changes is template too. The main slot is the deepest root token
-that encloses most of the text in slots, leaving out navigation, notices, adverts,
-forms and the like; a page's text is the text of its main slot, whole. Text inside the
-main slot is never taken for template: copies of an article are articles.
+make the template; classes nest below the tokens of the class that encloses them, as
+their paths say. What the template leaves open are slots. The main slot is the deepest
+token of a class that occurs once a page which encloses most of the text in slots, leaving
+out navigation, notices, adverts, forms and the like; a page's text is that of its main
+slot. A nested slot that occurs once a page and has the same text in all of ``FIXED_PAGES``
+pages or more, while the main slot changes, is template too and left out, except inside
+an article element: copies of an article are articles.
 
 Defined cases: null or empty html gives empty text; a null or odd url is a host of its
 own kind; a page that lacks its host's main slot uses its own article or main element,
@@ -47,6 +48,8 @@ _SET_ASIDE = re.compile(
 _ROLES = re.compile(r"^(?:navigation|banner|contentinfo|complementary|search|form|dialog|alert|menu)$", re.I)
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|</?([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[/a-zA-Z][^<]*\Z", re.S)
 _ATTRIBUTE = re.compile(r"\b(class|id|role|hidden|aria-hidden)\s*(?:=\s*(\"[^\"]*\"|'[^']*'|[^\s\"'>]+))?", re.I)
+#: Pages that must agree before an unchanging slot counts as template.
+FIXED_PAGES = 5
 _SAME_CLOSES = {"li": {"ul", "ol", "menu", "dir"}, "dd": {"dl"}, "dt": {"dl"}, "tr": {"table"}, "td": {"tr", "table"}, "th": {"tr", "table"}, "option": {"select"}}
 
 
@@ -191,7 +194,8 @@ def token_rows(pages: DataFrame) -> DataFrame:
 
 
 def templates(tokens: DataFrame, share: float = 0.6, often: float = 0.5) -> DataFrame:
-    """host, main: the path of the main slot. Classes are (pages, vector) of a host."""
+    """host, main: the path of the main slot, fixed: slots below it that never change.
+    Classes are (pages, vector) of a host."""
     all_ = tokens.filter("path = ''").select("host", F.col("pages").alias("host_pages"), F.col("chars").alias("host_chars"))
     classes = tokens.filter("path <> ''").groupBy("host", "pages", "vector").agg(F.count(F.lit(1)).alias("size"), F.max("most").alias("class_most"))
     # large and frequent: several tokens, in many pages; the root class occurs once a page
@@ -204,12 +208,18 @@ def templates(tokens: DataFrame, share: float = 0.6, often: float = 0.5) -> Data
         .filter((F.col("chars") - F.col("link_chars")) >= share * F.col("host_chars"))
         .withColumn("depth", F.size(F.split("path", "/")))
     )
-    return slots.groupBy("host").agg(F.max_by("path", F.struct("depth", "chars", "path")).alias("main"))
+    main = slots.groupBy("host").agg(F.max_by("path", F.struct("depth", "chars", "path")).alias("main"))
+    nested = tokens.join(root.select("host", "pages", "vector", "host_pages"), ["host", "pages", "vector"]).join(main, "host")
+    fixed = nested.filter((F.col("low") == F.col("high")) & (F.col("chars") > 0) & (F.col("pages") >= FIXED_PAGES) & F.col("path").startswith(F.concat("main", F.lit("/"))))
+    fixed = fixed.filter(~F.col("path").rlike(r"/(article|main)(\.|/|$)"))
+    # tokens of one template: as many as its markup has
+    return main.join(fixed.groupBy("host").agg(F.collect_set("path").alias("fixed")), "host", "left")
 
 
-def main_text(page: str, main: str | None) -> str:
+def main_text(page: str, main: str | None, fixed: list[str] | None = None) -> str:
     blocks, _ = parse(page)
-    chosen = [b for b in blocks if main and any(e.path == main for e in b[1])]
+    drop = frozenset(fixed or ())
+    chosen = [b for b in blocks if main and any(e.path == main for e in b[1]) and not any(e.path in drop for e in b[1])]
     if not chosen:
         chosen = [b for b in blocks if b[1][-1].article] or blocks
     return "\n\n".join(b[0] for b in chosen)
@@ -217,14 +227,14 @@ def main_text(page: str, main: str | None) -> str:
 
 def extract(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
-    found = materialize(templates(token_rows(pages)), "templates")
+    found = materialize(templates(materialize(token_rows(pages), "tokens")), "templates")
 
     def run(batches):
         for batch in batches:
-            text = [main_text(h or "", m) for h, m in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
+            text = [main_text(h or "", m, f) for h, m, f in zip(*(batch.column(i).to_pylist() for i in (2, 3, 4)))]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(text, pa.string()), pa.array([len(t) for t in text], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     rows = pages.select(F.col("page_id").cast("long"), "url", "html", _host(F.col("url")).alias("host"))
     # a row per host: joined by its size, with skewed hosts split
-    rows = rows.join(found, "host", "left").select("page_id", "url", "html", "main")
+    rows = rows.join(found, "host", "left").select("page_id", "url", "html", "main", "fixed")
     return rows.mapInArrow(run, "page_id long, url string, text string, n_chars long")
