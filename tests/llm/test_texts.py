@@ -86,6 +86,16 @@ def test_minhash_odd(odd, empty):
     assert minhash.near_duplicates(empty, 3, 85).count() == 0
 
 
+def test_minhash_of_one_id_with_several_texts(spark):
+    p, q = prose(41, 60), prose(42, 60)
+    rows = [(1, p + " end"), (2, q), (2, p), (2, q), (3, q + " end"), (4, prose(43, 60)), (None, p), (5, ""), (5, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("near_key", F.lit(0))
+    got = sorted((r["doc_id"] or 0, r["component_id"] or 0) for r in minhash.near_duplicates(df).collect())
+    assert got == [(0, 0), (1, 1), (2, 1), (2, 2), (2, 2), (3, 2), (4, 4), (5, 5), (5, 5)]
+    left = sorted((r["doc_id"] or 0, r["text"]) for r in minhash.without_near_duplicates(df).collect())
+    assert left == sorted([(0, p), (1, p + " end"), (2, q), (4, prose(43, 60)), (5, ""), (5, "")])
+
+
 def test_minhash_large_group(spark):
     base = prose(1, 120).split()
     rows = []
@@ -237,7 +247,7 @@ def test_packing_odd(odd, empty):
     for r in rows:
         size[r["doc_id"]] += r["length"]
     assert size[1] == size[2] == size[3] == 1 and size[8] > 20_000
-    assert sum(r["doc_id"] == 9 for r in rows) == 2
+    assert len({r["row_id"] for r in rows if r["doc_id"] == 9}) == 2 and len({r["row_id"] for r in rows}) == odd.count()
     assert packing.pack_documents(empty, tokenizer_path()).count() == 0
 
 
@@ -285,6 +295,35 @@ def test_sharding(spark, docs, small, tmp_path):
     assert len(new) == sharding.SLOTS and moved < 0.35 * sum(b for _, b in new.values())
 
 
+def test_slot_map_equals_greedy_fold(docs):
+    """The map against the rule written out: largest slot first, to the emptiest shard or where it was."""
+    stats = sharding.slot_bytes(sharding.records(docs)).persist()
+    first = sharding.rebalance(stats, 7).persist()
+    second = sharding.rebalance(stats, 8, first, version=2)
+    sizes = [(r["vslot"], r["bytes"]) for r in stats.collect()]
+    was: dict = {}
+    for shards, slot_map in ((7, first), (8, second)):
+        load, share, to = [0] * shards, sum(b for _, b in sizes) / shards, {}
+        for b, v in sorted(((b, v) for v, b in sizes), reverse=True):
+            k = was.get(v, -1)
+            if not (0 <= k < shards and load[k] + b <= share):
+                k = load.index(min(load))
+            load[k] += b
+            to[v] = k
+        assert {r["vslot"]: r["shard"] for r in slot_map.collect()} == to
+        was = to
+
+
+def test_sharding_spreads_copies_of_one_row(spark):
+    rows = [(7, "copy " * 40)] * 3000 + [(i, prose(i, 20)) for i in range(8, 3000)]
+    placed, _ = sharding.shard(spark.createDataFrame(rows, "doc_id long, text string").withColumn("copy", F.lit(9)))
+    load, most = Counter(), Counter()
+    for r in placed.collect():
+        load[r["shard"]] += r["size"]
+        most[r["vslot"]] += r["doc_id"] == 7
+    assert max(most.values()) < 20 and max(load.values()) < 1.05 * sum(load.values()) / 40
+
+
 def test_sharding_odd(odd, empty):
     placed, _ = sharding.shard(odd)
     assert placed.count() == odd.count() and placed.filter("doc_id = 1").first()["size"] == 16
@@ -304,10 +343,40 @@ def test_toxicity_finds_planted_words(spark):
     assert np.mean([r["predicted"] == (r["doc_id"] % 5 == 0) for r in held]) > 0.97
 
 
+def test_toxicity_equals_brute_force(spark):
+    """Selected n-grams, their ratios and the scores against dictionaries of strings."""
+    texts = [prose(i, 30) + (" you idiot moron" if i % 4 == 0 else "") for i in range(120)]
+    y = [int(i % 4 == 0) for i in range(120)]
+    model = toxicity.fit(spark.createDataFrame(list(zip(texts, y)), "text string, toxic int"))
+    grams = [{t[i : i + n] for n in toxicity.ORDERS for i in range(len(t) - n + 1)} for t in map(str.lower, texts)]
+    bad, good = Counter(), Counter()
+    for g, v in zip(grams, y):
+        (bad if v else good).update(g)
+    n_bad, n_good = sum(y), len(y) - sum(y)
+    ratio = {}
+    for g in {*bad, *good}:
+        p, q = bad[g] + 0.5, good[g] + 0.5
+        r = np.log(p / (n_bad + 1)) - np.log(q / (n_good + 1))
+        if bad[g] + good[g] >= 3 and abs(r) / np.sqrt(1 / p + 1 / q) >= toxicity.LEAST_Z:
+            ratio[g] = r
+
+    def name(g):
+        return {n: h for n, h in toxicity._grams([g])[2]}[len(g)][0]
+
+    key = {int(name(g)): g for g in ratio}
+    assert sorted(key) == model.keys.tolist()
+    weight = {key[int(k)]: w for k, w in zip(model.keys, model.weights)}
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for r in toxicity.score(df, model).collect():
+        z = model.intercept + sum(weight.get(g, 0.0) for g in grams[r["doc_id"]])
+        assert r["score"] == pytest.approx(1 / (1 + np.exp(-z)), abs=1e-9)
+
+
 def test_toxicity_odd(spark, odd, empty):
     labels = spark.createDataFrame([(5, 0), (8, 1), (4, 1), (2, 0), (None, 1), (6, None)], "doc_id long, toxic int")
     rows = toxicity.classify(odd, labels).collect()
     assert len(rows) == odd.count() and all(0 <= r["score"] <= 1 for r in rows)
+    assert [r["held_out"] for r in rows if r["doc_id"] is None] == [False]
     assert toxicity.classify(empty, labels).count() == 0
     none = spark.createDataFrame([], "doc_id long, toxic int")
     assert all(r["score"] < 0.01 for r in toxicity.classify(odd, none).collect())
@@ -374,7 +443,8 @@ def test_quality_keeps_clean_and_drops_junk(spark):
 
 def test_quality_odd(spark, odd, empty):
     labels = spark.createDataFrame([(5, 1), (8, 1), (4, 0), (None, 1), (6, None)], "doc_id long, quality int")
-    assert quality.score_quality(odd, labels).count() == odd.count()
+    found = quality.score_quality(odd, labels).collect()
+    assert len(found) == odd.count() and all(r["kept"] == (r["n_bytes"] == 0 or r["smoothed_perplexity"] <= r["threshold"]) for r in found)
     assert quality.select_quality(odd, labels).columns == odd.columns
     assert quality.score_quality(empty, labels).count() == 0
     none = spark.createDataFrame([], "doc_id long, quality int")
@@ -384,6 +454,57 @@ def test_quality_odd(spark, odd, empty):
 # ------------------------------------------------------------------ mixing
 
 
+def test_mixing_equals_brute_force(spark):
+    """Every realised row against the rule written out over lists."""
+    rows = [(i, prose(i, 5 + i % 40), "abc"[0 if i < 150 else 1 + i % 2]) for i in range(200)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixing.mix(df, most_repeats=2.5, block_tokens=300).collect()
+    size = {d: max(1, -(-len(t.encode()) // 4)) for d, t, _ in rows}
+    total = Counter()
+    for d, _, s in rows:
+        total[s] += size[d]
+    names = sorted(total)
+    budget = sum(total.values())
+    w = dict(zip(names, mixing.weights([total[s] for s in names], mixing.bisect_exponent([total[s] for s in names], budget, 2.5))))
+    by = defaultdict(list)
+    for r in got:
+        by[r["source"], r["epoch"]].append(r)
+    for s in names:
+        quota = round(w[s] * budget)
+        epochs, rest = divmod(quota, total[s])
+        mine = {d for d, _, x in rows if x == s}
+        block_of = {r["doc_id"]: r["block"] for r in got if r["source"] == s}
+        for e in range(epochs):
+            assert {r["doc_id"] for r in by[s, e]} == mine and len(by[s, e]) == len(mine)
+        part = sorted(by[s, epochs], key=lambda r: (r["block_rank"], r["place"]))
+        held = sum(r["n_tokens"] for r in part)
+        assert not rest and not part or held >= rest > held - part[-1]["n_tokens"]
+        for e in range(epochs + 1):
+            ranks = {}
+            for r in by[s, e]:
+                assert block_of[r["doc_id"]] == r["block"] and ranks.setdefault(r["block"], r["block_rank"]) == r["block_rank"]
+            assert sorted(ranks.values()) == list(range(1, len(ranks) + 1))
+
+
+def test_mixing_of_many_sources_by_aggregation(spark, monkeypatch):
+    rows = [(i, "x" * (4 + 4 * (i % 9)), f"s{i % 23}") for i in range(230)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    few = sorted(tuple(r) for r in mixing.mix(df, target_entropy=3.1).collect())
+    monkeypatch.setattr(mixing, "FEW_SOURCES", 5)
+    assert sorted(tuple(r) for r in mixing.mix(df, target_entropy=3.1).collect()) == few
+
+
+def test_mixing_of_repeated_rows(spark):
+    """A third of all rows is one row: it is spread over blocks and keeps its number."""
+    rows = [(1, "same text", "a")] * 300 + [(i, prose(i, 10), "ab"[i % 2]) for i in range(2, 600)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    picked = mixing.mix(df, budget=None, most_repeats=1.0, block_tokens=100).collect()
+    same = [r for r in picked if r["doc_id"] == 1]
+    assert len(same) == 300 and len({r["block"] for r in same}) > 5
+    out = mixing.mixed_documents(df.withColumn("mix_row", F.lit(1)), most_repeats=1.0)
+    assert out.filter("doc_id = 1").count() == 300 and out.count() == len(picked) and out.columns[-1] == "mix_row"
+
+
 def test_exponent():
     tokens = [900.0, 50.0, 50.0]
     a = mixing.bisect_exponent(tokens, 1000, most_repeats=2.0)

@@ -170,6 +170,36 @@ def test_pages(spark):
     assert htmltext.extract(df.limit(0)).count() == 0
 
 
+def test_pages_without_elements_of_a_name(spark):
+    """With article, nav and footer made nameless, classes of template tokens find the text."""
+    import re
+    from collections import Counter
+
+    df = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    want = {r["page_id"]: r["text"] for r in htmltext.extract(df).collect()}
+    pages = df.collect()
+    hosts = Counter(r["url"].split("/")[2] for r in pages)
+    pages = [r for r in pages if hosts[r["url"].split("/")[2]] >= 5]
+    plain = []
+    for r in pages:
+        html = re.sub(r"</(article|nav|footer)>", "</div>", r["html"])
+        for name, other in (("article", "z1"), ("nav", "z2"), ("footer", "z3")):
+            html = html.replace(f"<{name}>", f'<div class="{other}">')
+        plain.append((r["page_id"], r["url"], html))
+    got = {r["page_id"]: r["text"] for r in htmltext.extract(spark.createDataFrame(plain, "page_id long, url string, html string")).collect()}
+    assert len(plain) > 100 and sum(got[k] == want[k] for k in got) >= 0.95 * len(plain), sum(got[k] == want[k] for k in got) / len(plain)
+
+
+def test_pages_with_an_unchanging_slot(spark):
+    page = "<html><body><div class='top'><a href='/'>Home</a></div><div class='story'><div class='hint'>Read our terms</div><h1>Title {0}</h1><p>Text number {0} goes on for a while.</p></div></body></html>"
+    rows = [(i, "http://d.example/p", page.format(i)) for i in range(8)]
+    got = {r["page_id"]: r["text"] for r in htmltext.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[i] == f"Title {i}\n\nText number {i} goes on for a while." for i in range(8))
+    copies = [(i, "http://e.example/p", page.format(1)) for i in range(8)]
+    got = [r["text"] for r in htmltext.extract(spark.createDataFrame(copies, "page_id long, url string, html string")).collect()]
+    assert all("Text number 1" in t for t in got)
+
+
 def test_pages_of_the_given_table(spark, small):
     import html
     import re
