@@ -9,7 +9,6 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from prunegraph.llm import minhash, mixing, packing, quality, suffixes
 from prunegraph.llm.common import materialize, table
@@ -23,12 +22,7 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates: five words, similarity 0.8 or more."""
-    found = minhash.near_duplicates(docs, words=5, percent=80)
-    gone = found.filter("not kept").select(F.col("doc_id").alias("_gone")).distinct()
-    left = docs.join(gone, F.col("doc_id").cast("long") == F.col("_gone"), "left_anti")
-    # a repeated row is a copy as well
-    nth = F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id"))
-    return left.withColumn("_nth", nth).filter("_nth = 1 or doc_id is null").select(*docs.columns)
+    return minhash.without_near_duplicates(docs, words=5, percent=80)
 
 
 def repeats_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,7 +34,7 @@ def repeats_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows as often as the weight of their source asks."""
+    """Rows as often as the weight of their source asks, part files in the order of the permutation."""
     return mixing.mixed_documents(docs)
 
 
