@@ -72,16 +72,18 @@ def rare_tokens(spark: SparkSession, folder: str, most: int = 12, least_shared:
     return kept.join(other, "token").filter("doc_id <> src").groupBy(F.col("doc_id").alias("dst"), "src").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least_shared).select("dst", "src")
 
 
-def nearest_vectors(spark: SparkSession, folder: str, k: int = 8) -> DataFrame:
+def nearest_vectors(spark: SparkSession, folder: str, k: int = 8, block: int = 512) -> DataFrame:
     """Each vector gathers from its ``k`` largest dot products (exact, in blocks of queries)."""
     import numpy as np
     import pyarrow as pa
 
     vectors = read(spark, folder, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    # blocks of vectors against blocks of vectors: the best k of each block, then of all
-    blocks = max(1, spark.sparkContext.defaultParallelism // 4)
+    # every query against blocks of vectors: the best k of each block, then of all
+    blocks = max(1, -(-vectors.count() // block))
     left = vectors.withColumn("lb", F.pmod("vec_id", F.lit(blocks)).cast("int"))
-    asks = left.select("vec_id", "v", F.col("lb").alias("qb"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("lb"))
+    # a query block and a vector block meet in one task
+    left = left.withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    asks = vectors.select("vec_id", "v", F.pmod("vec_id", F.lit(blocks)).cast("int").alias("qb"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("lb"))
 
     def rank(key, x, q):
         empty = pa.table([pa.array([], pa.int64()), pa.array([], pa.int64()), pa.array([], pa.int64())], ["dst", "src", "dot"])
@@ -96,7 +98,7 @@ def nearest_vectors(spark: SparkSession, folder: str, k: int = 8) -> DataFrame:
         keep = s > -(1 << 40)
         return pa.table([pa.array(np.broadcast_to(asked[:, None], order.shape)[keep]), pa.array(ids[order][keep]), pa.array(s[keep])], ["dst", "src", "dot"])
 
-    found = left.groupBy("lb").cogroup(asks.groupBy("lb")).applyInArrow(rank, "dst long, src long, dot long")
+    found = left.groupBy("lb", "qb").cogroup(asks.groupBy("lb", "qb")).applyInArrow(rank, "dst long, src long, dot long")
     w = Window.partitionBy("dst").orderBy(F.desc("dot"), "src")
     return found.withColumn("r", F.row_number().over(w)).filter(F.col("r") <= k).select("dst", "src")
 

@@ -8,23 +8,28 @@ from pyspark.sql.window import Window
 
 from prunegraph.operators.layers import Network, dense_product
 from prunegraph.operators.propagate import select_channels
+from prunegraph.sources.shared import removed, written
 
 
 def hash_of(node: str = "node_id"):
     return F.pmod(F.pmod(F.col(node), F.lit(65536)) * 40503, F.lit(65536))
 
 
-def make_batches(targets: DataFrame, size: int, buckets: int = 64) -> DataFrame:
+def make_batches(targets: DataFrame, size: int, spread: int = 1 << 22) -> DataFrame:
     """batch_id, node_id: random batches that cover the targets, each of ``size`` but the last.
 
-    The order is an arithmetic hash; ranks come from counts per hash bucket and a window
-    inside each bucket, so no sort over all targets is needed."""
-    rows = targets.select("node_id").withColumn("h", hash_of()).withColumn("b", (F.col("h") * buckets / 65536).cast("int"))
-    counts = rows.groupBy("b").agg(F.count(F.lit(1)).alias("n"))
-    # one row per bucket
-    start = counts.withColumn("first", F.coalesce(F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    rank = F.row_number().over(Window.partitionBy("b").orderBy("h", "node_id")) - 1
-    return rows.withColumn("r", rank).join(F.broadcast(start.select("b", "first")), "b").select(F.floor((F.col("first") + F.col("r")) / size).cast("int").alias("batch_id"), "node_id")
+    The order is an arithmetic hash, then the id. Ranks come from counts per bucket and a
+    window inside each bucket, so no sort over all targets is needed: a bucket is a hash
+    value and a range of ``spread`` ids, so it holds ``spread`` / 65536 targets at most."""
+    rows = targets.select("node_id").withColumn("h", hash_of()).withColumn("b", F.floor(F.col("node_id") / spread))
+    counts = rows.groupBy("h", "b").agg(F.count(F.lit(1)).alias("n"))
+    # sums over hash values (65,536 at most), then over the buckets of one
+    ahead = Window.partitionBy(F.lit(0)).orderBy("h").rowsBetween(Window.unboundedPreceding, -1)
+    values = counts.groupBy("h").agg(F.sum("n").alias("n")).withColumn("ahead", F.coalesce(F.sum("n").over(ahead), F.lit(0))).select("h", "ahead")
+    inside = Window.partitionBy("h").orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+    start = counts.join(values, "h").select("h", "b", (F.col("ahead") + F.coalesce(F.sum("n").over(inside), F.lit(0))).alias("first"))
+    rank = F.row_number().over(Window.partitionBy("h", "b").orderBy("node_id")) - 1
+    return rows.withColumn("r", rank).join(start, ["h", "b"]).select(F.floor((F.col("first") + F.col("r")) / size).cast("int").alias("batch_id"), "node_id")
 
 
 def capped(edges: DataFrame, keys: list[str], most: int) -> DataFrame:
@@ -51,41 +56,45 @@ def expansion(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[int,
     ``layer`` is the output that is needed: targets at the top, then their own lower
     output ("self") and that of neighbours without a stored feature ("unvisited").
     "visited" neighbours are read from the store and not expanded. The hop of layer i is
-    ``layers`` - i + 1; ``caps`` is by hop. The store never holds raw attributes. Id frames
-    that several later plans read are kept (they spill to disk); features are not."""
-    produced = batches.select("batch_id", "node_id").distinct().persist()
+    ``layers`` - i + 1; ``caps`` is by hop. The store never holds raw attributes. Edges and
+    the ids of every layer are written once, so each step's plan starts at small tables."""
+    edges = edges if hasattr(edges, "_written_path") else written(edges.select("dst", "src"), "edges")
+    produced = written(batches.select("batch_id", "node_id").distinct(), "targets")
     rows = produced.select("batch_id", F.lit(layers).alias("layer"), "node_id", F.lit("target").alias("role"))
     used, given, made = {}, {}, {layers: produced}
     for layer in range(layers, 0, -1):
-        links = expand(produced, edges, (caps or {}).get(layers - layer + 1)).persist()
+        links = written(expand(produced, edges, (caps or {}).get(layers - layer + 1)), "links")
         used[layer] = links
         near = links.select("batch_id", F.col("src").alias("node_id")).distinct()
-        others = near.join(produced, ["batch_id", "node_id"], "left_anti").persist()
+        others = near.join(produced, ["batch_id", "node_id"], "left_anti")
         if store is not None and layer > 1:
-            stored = store.filter(F.col("layer") == layer - 1).select("node_id").distinct()
-            visited = others.join(stored, "node_id", "left_semi")
-            unvisited = others.join(stored, "node_id", "left_anti")
+            stored = store.filter(F.col("layer") == layer - 1).select("node_id").distinct().withColumn("stored", F.lit(True))
+            others = written(others.join(stored, "node_id", "left").select("batch_id", "node_id", F.coalesce("stored", F.lit(False)).alias("stored")), "others")
+            visited, unvisited = others.filter("stored").drop("stored"), others.filter("not stored").drop("stored")
             rows = rows.unionByName(visited.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("visited").alias("role")))
             given[layer - 1] = visited
         else:
-            unvisited = others
+            unvisited = written(others, "others")
         rows = rows.unionByName(produced.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("self").alias("role")))
         rows = rows.unionByName(unvisited.select("batch_id", F.lit(layer - 1).alias("layer"), "node_id", F.lit("unvisited").alias("role")))
-        produced = produced.unionByName(unvisited.select("batch_id", "node_id")).persist()
+        produced = produced.unionByName(unvisited.select("batch_id", "node_id"))
         made[layer - 1] = produced
     return rows, used, given, made
 
 
 def infer_batched(net: Network, batches: DataFrame, edges: DataFrame, feats: DataFrame, width: int, caps: dict[int, int] | None = None, store: DataFrame | None = None) -> DataFrame:
-    """(batch_id, node_id, h) of the targets; all batches in one job.
+    """(batch_id, node_id, h) of the targets; all batches in one job a layer.
 
     ``feats`` is (node_id, h); ``store`` is (layer, node_id, h) of middle outputs."""
     depth = len(net.layers)
     _, used, given, made = expansion(batches, edges, depth, caps, store)
     h = made[0].join(feats.select("node_id", "h"), "node_id")
-    w = width
+    w, before = width, None
     for i, layer in enumerate(net.layers, start=1):
-        h = layer.forward(made[i], used[i], h.persist(), w, group="batch_id")
+        h = written(h.select("batch_id", "node_id", "h"), "features")
+        removed(*([before] if before is not None else []))
+        before = h
+        h = layer.forward(made[i], used[i], h, w, group="batch_id")
         w = layer.f_out
         if i in given:
             kept = store.filter(F.col("layer") == i).select("node_id", "h")
