@@ -40,9 +40,14 @@ def capped(edges: DataFrame, keys: list[str], most: int) -> DataFrame:
 
 
 def expand(produced: DataFrame, edges: DataFrame, cap: int | None) -> DataFrame:
-    """(batch_id, dst, src) of the produced nodes; the batch side restricts the edge scan."""
-    found = edges.join(produced.select("batch_id", F.col("node_id").alias("dst")), "dst").select("batch_id", "dst", "src")
-    return capped(found, ["batch_id", "dst"], cap) if cap else found
+    """(batch_id, dst, src) of the produced nodes.
+
+    Which neighbours a cap keeps does not depend on the batch, so a node's edges are
+    capped once, before they are copied to the batches that need them."""
+    if cap:
+        wanted = produced.select(F.col("node_id").alias("dst")).distinct()
+        edges = capped(edges.join(wanted, "dst", "left_semi"), ["dst"], cap)
+    return edges.join(produced.select("batch_id", F.col("node_id").alias("dst")), "dst").select("batch_id", "dst", "src")
 
 
 def support_sets(batches: DataFrame, edges: DataFrame, layers: int, caps: dict[int, int] | None = None, store: DataFrame | None = None) -> tuple[DataFrame, dict[int, DataFrame], dict[int, DataFrame]]:
