@@ -8,6 +8,7 @@ from pyspark.sql.window import Window
 
 from prunegraph.sources.tables import read
 
+MOST_CATEGORIES = 1000
 SEGMENTS = ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"]
 
 
@@ -22,8 +23,11 @@ def one_hot(column, values: list) -> list:
 
 
 def categories(df: DataFrame, column: str) -> list:
-    """Distinct values in order; for columns whose domain is small by nature."""
-    return [r[0] for r in df.select(column).distinct().orderBy(column).limit(1000).collect() if r[0] is not None]
+    """Distinct values in order; for columns whose domain is small by nature, which is checked."""
+    found = [r[0] for r in df.select(column).distinct().limit(MOST_CATEGORIES + 1).collect() if r[0] is not None]
+    if len(found) > MOST_CATEGORIES:
+        raise ValueError(f"{column} has more than {MOST_CATEGORIES} values: hash it instead of one column a value")
+    return sorted(found)
 
 
 def purchase_features(spark: SparkSession, folder: str) -> tuple[DataFrame, int]:

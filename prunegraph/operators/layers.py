@@ -141,16 +141,34 @@ class AttentionLayer:
     heads: list[tuple[np.ndarray, np.ndarray, np.ndarray]]  # (W, for dst, for src)
     act: str | None = "relu"
     slope: float = 0.2
+    scores: list[tuple[np.ndarray, np.ndarray]] | None = None  # per head, over input channels
+    kept_in: list[int] | None = None  # input channels a pruned layer reads
 
     @property
     def f_out(self) -> int:
         return sum(w.shape[1] for w, _, _ in self.heads)
 
+    def score_of(self, i: int) -> tuple[np.ndarray, np.ndarray]:
+        w, a_dst, a_src = self.heads[i]
+        return self.scores[i] if self.scores else (w @ a_dst, w @ a_src)
+
+    def mixed_inputs(self, nodes, edges, feats, width) -> list[DataFrame]:
+        """Per head, every node's inputs mixed by that head's attention (no weights, no activation)."""
+        out = []
+        for i in range(len(self.heads)):
+            u, v = self.score_of(i)
+            plain = AttentionLayer([(np.eye(width), u, v)], act=None, slope=self.slope, scores=[(u, v)])
+            out.append(plain.forward(nodes, edges, feats, width))
+        return out
+
     def forward(self, nodes, edges, feats, width, layout="auto", group=None) -> DataFrame:
         keys = [group] if group else []
         out = nodes.select(*keys, "node_id")
-        for i, (w, a_dst, a_src) in enumerate(self.heads):
-            z = dense_product(feats.select(*keys, "node_id", "h"), np.concatenate([w, (w @ a_dst)[:, None], (w @ a_src)[:, None]], 1))
+        if self.kept_in is not None:
+            feats = select_channels(feats, self.kept_in)
+        for i, (w, _, _) in enumerate(self.heads):
+            to_dst, to_src = self.score_of(i)
+            z = dense_product(feats.select(*keys, "node_id", "h"), np.concatenate([w, to_dst[:, None], to_src[:, None]], 1))
             f = w.shape[1]
             there = z.select(*keys, F.col("node_id").alias("src"), F.slice("h", 1, f).alias("h"), F.col("h")[f + 1].alias("s"))
             here = z.select(*keys, F.col("node_id").alias("dst"), F.col("h")[f].alias("d"))

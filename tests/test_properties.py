@@ -229,3 +229,90 @@ def test_plans(spark, small, bought):
     text = propagate(E.purchase(spark, small), feats, WIDTH)._jdf.queryExecution().executedPlan().toString()
     assert "ReadSchema: struct<l_orderkey:bigint,l_partkey:bigint>" in text
     assert "Python" not in text
+
+
+# ------------------------------------------------------------------ pruning variants
+
+
+def _rows(spark, x):
+    return spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "node_id long, h array<double>")
+
+
+def test_descent_over_distributed_rows(spark):
+    """Mini-batches on the table reach what the exact solvers reach."""
+    rng = np.random.default_rng(0)
+    x = rng.standard_normal((300, 6))
+    x[:, 3:] *= 0.05  # three channels hardly matter
+    w = rng.standard_normal((6, 4))
+    rows = P.RowBatches.write({0: _rows(spark, x)}, 6, 300, batch=150)
+    path = P.descend_mask(rows, {0: w}, 3)
+    kept = P.clip_mask(path.beta, 3)
+    assert path.stopped in ("budget", "over-penalised", "epochs") and kept.tolist() == [0, 1, 2]
+    found = P.descend_weights(rows, {0: w}, np.ones(6), kept, epochs=6)[0]
+    exact = P.solve_weights(x.T @ x, np.ones(6), w, kept)
+    g = x.T @ x
+    assert P.loss(g, w, kept, found) <= 1.05 * P.loss(g, w, kept, exact) + 1e-2 * np.einsum("jo,jk,ko->", w, g, w)
+
+
+def test_schedule_stops_when_all_masks_fall():
+    q, r = np.eye(4) * 10, np.full(4, 10.0)
+    path = P.solve_mask(q, r, 1, P.PenaltySchedule(falls=1))
+    assert path.stopped == "over-penalised" and path.epochs <= 3
+
+
+def test_mask_folds_into_weights():
+    rng = np.random.default_rng(1)
+    x, w = rng.standard_normal((50, 5)), rng.standard_normal((5, 3))
+    done = P.prune_layer({0: x.T @ x}, {0: w}, 0.6)
+    beta, kept = done.path.beta, done.kept
+    hat = np.linalg.lstsq(x[:, kept] * beta[kept], x @ w, rcond=None)[0]
+    assert np.allclose(done.weights[0], P.fold_mask(beta, hat, kept), atol=1e-5)
+
+
+def test_averaged_branches_are_pruned_together(spark):
+    """The Gram of branches side by side gives the least-squares answer."""
+    rng = np.random.default_rng(2)
+    x = [rng.standard_normal((80, 4)) for _ in range(2)]
+    w = [rng.standard_normal((4, 3)) for _ in range(2)]
+    wide = P.cross_gram([_rows(spark, v) for v in x], 4)
+    both = np.concatenate(x, 1)
+    assert np.allclose(wide, both.T @ both)
+    done = P.prune_averaged(wide, w, 0.5)
+    at = np.concatenate([done.kept, done.kept + 4])
+    want = np.linalg.lstsq(both[:, at], both @ np.concatenate(w), rcond=None)[0]
+    assert np.allclose(np.concatenate([done.weights[0], done.weights[1]]), want, atol=1e-5)
+
+
+def test_attention_heads_are_pruned(spark, bought):
+    """With all channels kept a pruned attention layer is the layer itself."""
+    from prunegraph.plans.headline import _attention
+
+    nodes, edges, feats = bought
+    layer = _attention()
+    frames = layer.mixed_inputs(nodes, edges, feats, WIDTH)
+    whole, _ = P.prune_heads(frames, feats, layer, WIDTH, 1.0)
+    a = rows_of(layer.forward(nodes, edges, feats, WIDTH), "node_id")
+    b = rows_of(whole.forward(nodes, edges, feats, WIDTH), "node_id")
+    assert all(np.allclose(a[k], b[k], atol=1e-4) for k in a)
+    half, done = P.prune_heads(frames, feats, layer, WIDTH, 0.5)
+    assert len(done.kept) == WIDTH // 2 and 0 <= done.relative_loss < 1 and half.forward(nodes, edges, feats, WIDTH).count() == nodes.count()
+
+
+def test_jumping_gradient():
+    """The gradient of a network that reads every layer, against differences."""
+    rng = np.random.default_rng(3)
+    net = T.build(3, [2, 2], 2, seed=1)
+    net.readout, net.head = "concat_all", rng.standard_normal((8, 2))
+    dst, src = np.array([0, 0, 1, 2, 3]), np.array([1, 2, 0, 3, 1])
+    sample = T.Sample(rng.standard_normal((4, 3)), np.array([0, 1, 1, 0]), dst, src, np.ones(4))
+    mean = T.Mean(4, dst, src)
+    _, grads = T.gradients(net, sample, mean)
+    for value, g in zip(T.parameters(net), grads):
+        at = tuple(0 for _ in value.shape)
+        old = value[at]
+        value[at] = old + 1e-5
+        up = T.gradients(net, sample, mean)[0]
+        value[at] = old - 1e-5
+        down = T.gradients(net, sample, mean)[0]
+        value[at] = old
+        assert abs((up - down) / 2e-5 - g[at]) < 1e-5
