@@ -13,7 +13,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from prunegraph.operators.propagate import propagate, propagate_k, select_channels
+from prunegraph.operators.propagate import propagate_k, select_channels
+from prunegraph.sources.shared import written
 
 EXPRESSION_CELLS = 256
 
@@ -199,12 +200,12 @@ class Network:
 def infer_full(net: Network, nodes: DataFrame, edges: DataFrame, feats: DataFrame, width: int, layout: str = "auto", keep_layers: bool = False, persist: bool = False):
     """Embeddings (or scores, with a head) of every node; optionally all layer outputs.
 
-    ``persist`` keeps each layer, which the next one reads once per branch."""
+    ``persist`` writes each layer, which the next one reads once per branch."""
     outputs, h, w = [], feats, width
     for layer in net.layers:
         h = layer.forward(nodes, edges, h, w, layout=layout)
         w = layer.f_out
-        h = h.persist() if persist else h
+        h = written(h.select("node_id", "h"), "layer") if persist else h
         outputs.append((h, w))
     if net.readout == "concat_all":
         out = nodes.select("node_id")

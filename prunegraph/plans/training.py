@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import datetime
 import time
+import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -11,115 +13,197 @@ from pyspark.sql import functions as F
 from prunegraph.functions import attributes as A
 from prunegraph.functions import cost as C
 from prunegraph.functions import metrics as M
+from prunegraph.operators import baselines as B
 from prunegraph.operators import edges as E
 from prunegraph.operators import prune as P
 from prunegraph.operators import train as T
-from prunegraph.operators.layers import infer_full, predictions
+from prunegraph.operators.layers import AttentionLayer, Network, dense_product, infer_full, predictions
+from prunegraph.operators.store import FeatureStore, adaptive_share, choose
 from prunegraph.operators.support import infer_batched, make_batches, support_sets
+from prunegraph.sources.shared import removed, shared_folder, written
+from prunegraph.sources.tables import read
+from prunegraph.streaming.scorer import StreamScorer
 
 HIDDEN = 16
 ROUNDS = 60
+ETAS = (0.5, 0.25, 0.125)
+
+
+def token_graph(spark: SparkSession, folder: str):
+    """Documents that share rare words; label: the quality mark."""
+    docs = read(spark, folder, "documents")
+    feats = A.token_features(docs).select("node_id", "h")
+    labels = read(spark, folder, "labels").filter("quality is not null").select(F.col("doc_id").cast("long").alias("node_id"), F.col("quality").cast("int").alias("label"))
+    return feats, 64, E.rare_tokens(spark, folder), labels, 2
+
+
+def part_graph(build, orders: bool = False, customers: bool = True):
+    """A graph over parts; label: the region that buys a part most."""
+
+    def make(spark: SparkSession, folder: str):
+        feats, width = A.purchase_features(spark, folder)
+        if not customers:
+            feats = feats.filter("node_id % 4 = 1")
+        if orders:
+            none = read(spark, folder, "orders").select((F.col("o_orderkey") * 4 + 2).alias("node_id"), F.array_repeat(F.lit(0.0), width).alias("h"))
+            feats = feats.unionByName(none)
+        return feats, width, build(spark, folder), A.part_region(spark, folder), 5
+
+    return make
+
+
+GRAPHS = {
+    "purchase": part_graph(E.purchase),
+    "copurchase": part_graph(E.copurchase, customers=False),
+    "chain": part_graph(E.chain, orders=True),
+    "doc": token_graph,
+}
 
 
 class Task:
-    """The purchase graph with the region task, its attributes standardised on training nodes."""
+    """A graph with its label, attributes standardised on training nodes; tables written once."""
 
-    def __init__(self, spark: SparkSession, folder: str, multilabel: bool = False, train: int = 60, val: int = 75):
-        raw, self.width = A.purchase_features(spark, folder)
+    def __init__(self, spark: SparkSession, folder: str, multilabel: bool = False, train: int = 60, val: int = 75, graph: str = "purchase"):
+        raw, self.width, edges, labels, self.classes = GRAPHS[graph](spark, folder)
         self.spark, self.multilabel = spark, multilabel
+        raw = written(raw, "attributes")
         self.nodes = raw.select("node_id")
-        self.edges = E.purchase(spark, folder).persist()
+        self.edges = written(edges.select("dst", "src"), "edges")
         split = E.split_of(train=train, val=val)
         self.train = self.nodes.filter(split == "train")
         self.test = self.nodes.filter(split == "test")
-        self.feats = A.standardize(raw, self.width, self.train)[0].persist()
+        self.feats = written(A.standardize(raw, self.width, self.train)[0], "features")
+        removed(raw)
+        self.nodes = self.feats.select("node_id")
+        self.train, self.test = self.nodes.filter(split == "train"), self.nodes.filter(split == "test")
         if multilabel:
             rows = A.customer_types_multi(spark, folder)
-            self.labels = rows.groupBy("node_id").agg(F.sort_array(F.collect_list(F.struct("p_type", "label"))).alias("c")).select("node_id", F.transform("c", lambda x: x["label"] == 1).alias("label"))
+            labels = rows.groupBy("node_id").agg(F.sort_array(F.collect_list(F.struct("p_type", "label"))).alias("c")).select("node_id", F.transform("c", lambda x: x["label"] == 1).alias("label"))
             self.classes = 6
-        else:
-            self.labels, self.classes = A.part_region(spark, folder), 5
-        self.labels = self.labels.persist()
+        self.labels = written(labels, "labels")
+        self.n_nodes, self.n_edges = self.nodes.count(), self.edges.count()
 
     def samples(self, seed: int = 0, samples: int = 3, roots: int = 700):
         return T.sample_subgraphs(self.train, self.edges, self.feats, self.labels, samples, roots, 2, seed, self.classes if self.multilabel else None)
 
     def reference(self, samples, k_min=0, k_max=1, hidden=HIDDEN, seed=0):
         net = T.build(self.width, [hidden, hidden], self.classes, k_min, k_max, seed=seed)
-        return T.train(net, samples, ROUNDS, decay=1e-3, multilabel=self.multilabel)
+        return self.fit(net, samples)
+
+    def fit(self, net, samples, rounds: int = ROUNDS, **how):
+        return T.train(net, samples, rounds, decay=1e-3, multilabel=self.multilabel, tol=1e-3, **how)
 
     def accuracy(self, scores: DataFrame) -> float:
         pred = predictions(scores, self.multilabel).join(self.test, "node_id", "left_semi").join(self.labels, "node_id")
         return float(M.micro_f1(pred, multilabel=self.multilabel).first()["micro_f1"] or 0.0)
 
+    def infer(self, net) -> DataFrame:
+        return infer_full(net, self.nodes, self.edges, self.feats, self.width, persist=True)
+
+    def kmacs(self, net) -> float:
+        return sum(c["macs"] for c in C.measured_full(net, self.n_nodes, self.n_edges, self.width)) / 1000
+
     def close(self):
-        for df in (self.edges, self.feats, self.labels):
-            df.unpersist()
+        removed(self.edges, self.feats, self.labels)
+
+
+def timed(run, times: int = 3) -> list[float]:
+    """Seconds of ``times`` runs after one that warms up, in rising order."""
+    out = []
+    for _ in range(times + 1):
+        began = time.time()
+        run().write.format("noop").mode("overwrite").save()
+        out.append(time.time() - began)
+    return sorted(out[1:])
+
+
+class Utilisation:
+    """Busy task seconds over wall seconds times slots, of the jobs run inside."""
+
+    def __init__(self, spark: SparkSession):
+        self.sc = spark.sparkContext
+
+    def _busy(self) -> float:
+        stages = self.sc._jsc.sc().statusStore().stageList(None, False, False, self.sc._gateway.new_array(self.sc._gateway.jvm.double, 0), None)
+        return sum(stages.apply(i).executorRunTime() for i in range(stages.size())) / 1000
+
+    def __enter__(self):
+        self.began, self.before = time.time(), self._busy()
+        return self
+
+    def __exit__(self, *_):
+        wall = time.time() - self.began
+        self.share = max(0.0, self._busy() - self.before) / max(1e-9, wall * self.sc.defaultParallelism)
 
 
 def _ladder(task: Task, samples, net, scheme, etas, selector="lasso"):
-    """(eta, network, pruning seconds, re-training seconds), the reference first."""
+    """(eta, network, pruning seconds, re-training seconds), the reference first."""
     began = time.time()
     stats = P.network_grams(net, task.edges, task.feats, task.train, task.width, scheme(0.5))
     shared = time.time() - began
     out = [(1.0, net, 0.0, 0.0)]
     for eta in etas:
         began = time.time()
-        pruned, _ = P.prune_network(net, stats, scheme(eta), selector)
+        pruned = P.prune_ladder(net, stats, scheme, (eta,), selector=selector)[eta][0]
         middle = time.time()
-        again = T.train(pruned, samples, ROUNDS // 2, decay=1e-3, multilabel=task.multilabel)
+        again = task.fit(pruned, samples, ROUNDS // 2)
         out.append((eta, again, middle - began + shared, time.time() - middle))
     return out
 
 
-def full_inference(spark: SparkSession, folder: str, etas=(0.5, 0.25, 0.125), multilabel: bool = False, train: int = 60, val: int = 75) -> DataFrame:
-    """Full inference by budget: micro_f1, kMACs a node, bytes, seconds."""
-    task = Task(spark, folder, multilabel, train, val)
-    samples = task.samples()
-    net = task.reference(samples)
-    v, e = task.nodes.count(), task.edges.count()
+def full_inference(spark: SparkSession, folder: str, etas=ETAS, multilabel: bool = False, train: int = 60, val: int = 75, graphs=("purchase", "copurchase"), seeds=(0,)) -> DataFrame:
+    """Full inference by graph and budget: micro_f1, kMACs a node, bytes, nodes a second, seconds."""
     rows = []
-    for eta, model, pruning, training in _ladder(task, samples, net, lambda x: P.full_scheme(x, 2), etas):
-        began = time.time()
-        scores = infer_full(model, task.nodes, task.edges, task.feats, task.width, persist=True)
-        f1 = task.accuracy(scores)
-        seconds = time.time() - began
-        cost = C.measured_full(model, v, e, task.width)
-        rows.append((float(eta), f1, sum(c["macs"] for c in cost) / 1000, max(c["bytes"] for c in cost), v / seconds, pruning, training))
-    task.close()
-    return spark.createDataFrame(rows, "eta double, micro_f1 double, kmacs double, peak_bytes double, nodes_per_second double, prune_seconds double, retrain_seconds double")
-
-
-def batched_inference(spark: SparkSession, folder: str, size: int = 512, etas=(0.25,), cap: int = 32) -> DataFrame:
-    """Batched inference by budget, with and without stored features."""
-    task = Task(spark, folder)
-    samples = task.samples()
-    net = task.reference(samples)
-    batches = make_batches(task.test, size).persist()
-    n = batches.count()
+    for graph in graphs:
+        task = Task(spark, folder, multilabel, train, val, graph)
+        for seed in seeds:
+            samples = task.samples(seed)
+            net = task.reference(samples, seed=seed)
+            for eta, model, pruning, training in _ladder(task, samples, net, lambda x: P.full_scheme(x, 2), etas):
+                f1 = task.accuracy(task.infer(model))
+                seconds = timed(lambda model=model: task.infer(model), 1)
+                cost = C.measured_full(model, task.n_nodes, task.n_edges, task.width)
+                rows.append((graph, seed, float(eta), f1, task.kmacs(model), max(c["bytes"] for c in cost), task.n_nodes / seconds[0], pruning, training))
+        task.close()
+    runs = spark.createDataFrame(rows, "graph string, seed int, eta double, micro_f1 double, kmacs double, peak_bytes double, nodes_per_second double, prune_seconds double, retrain_seconds double")
+    # the mean over repeats, and each budget against the reference (C11, C14)
+    mean = runs.groupBy("graph", "eta").agg(*(F.avg(c).alias(c) for c in ("micro_f1", "kmacs", "peak_bytes", "nodes_per_second", "prune_seconds", "retrain_seconds")))
+    base = mean.filter("eta = 1").select("graph", F.col("micro_f1").alias("f"), F.col("nodes_per_second").alias("t"))
+    return mean.join(F.broadcast(base), "graph").withColumn("drop", F.col("f") - F.col("micro_f1")).withColumn("speedup", F.col("nodes_per_second") / F.col("t")).drop("f", "t")
+
+
+def batched_inference(spark: SparkSession, folder: str, size: int = 512, etas=ETAS, cap: int = 32, graphs=("purchase", "copurchase")) -> DataFrame:
+    """Batched inference by graph and budget, with and without stored features."""
     rows = []
-    for eta, model, *_ in _ladder(task, samples, net, lambda x: P.batched_scheme(x), etas):
-        first = model.layers[0].forward(task.nodes, task.edges, task.feats, task.width)
-        kept = first.join(task.test, "node_id", "left_anti").select(F.lit(1).alias("layer"), "node_id", "h").persist()
-        for store in (None, kept):
-            began = time.time()
-            scores = infer_batched(model, batches, task.edges, task.feats, task.width, {2: cap}, store)
-            f1 = task.accuracy(scores.select("node_id", "h"))
-            seconds = time.time() - began
-            support, used, _ = support_sets(batches, task.edges, 2, {2: cap}, store)
-            macs = C.measured_batched(model, used, support.persist(), task.width, n) / 1000
-            read = support.filter("layer = 0").select("batch_id", "node_id").distinct().count()
-            support.unpersist()
-            rows.append((float(eta), store is not None, f1, macs, float(read * 4 * task.width), 1000 * seconds))
-        kept.unpersist()
-    batches.unpersist()
-    task.close()
-    return spark.createDataFrame(rows, "eta double, stored boolean, micro_f1 double, kmacs double, input_bytes double, latency_ms double")
-
-
-def selector_ablation(spark: SparkSession, folder: str, fractions=(0.1, 0.3, 0.5, 0.75, 0.875), seeds=(0, 1, 2)) -> DataFrame:
-    """Relative reconstruction loss of layer 2 by selector and share pruned."""
-    task = Task(spark, folder)
+    for graph in graphs:
+        task = Task(spark, folder, graph=graph)
+        samples = task.samples()
+        net = task.reference(samples)
+        batches = written(make_batches(task.test, size), "batches")
+        n, count = batches.count(), batches.select("batch_id").distinct().count()
+        for eta, model, *_ in _ladder(task, samples, net, lambda x: P.batched_scheme(x), etas):
+            first = model.layers[0].forward(task.nodes, task.edges, task.feats, task.width)
+            kept = written(first.join(task.test, "node_id", "left_anti").select(F.lit(1).alias("layer"), "node_id", "h"), "kept")
+            for store in (None, kept):
+                began = time.time()
+                f1 = task.accuracy(infer_batched(model, batches, task.edges, task.feats, task.width, {2: cap}, store).select("node_id", "h"))
+                seconds = time.time() - began
+                support, used, _ = support_sets(batches, task.edges, 2, {2: cap}, store)
+                macs = C.measured_batched(model, used, support, task.width, n) / 1000
+                read_ = support.filter("layer = 0").select("batch_id", "node_id").distinct().groupBy("batch_id").count().agg(F.max("count")).first()[0]
+                # one batch's forward path: attributes, middle outputs and stored features
+                made = support.filter("layer = 1").groupBy("batch_id").agg(F.countDistinct("node_id").alias("n")).agg(F.max("n")).first()[0]
+                peak = 4.0 * ((read_ or 0) * task.width + (made or 0) * model.layers[0].f_out)
+                rows.append((graph, float(eta), store is not None, f1, macs, float((read_ or 0) * 4 * task.width), peak, 1000 * seconds / max(1, count)))
+            removed(kept)
+        removed(batches)
+        task.close()
+    return spark.createDataFrame(rows, "graph string, eta double, stored boolean, micro_f1 double, kmacs double, input_bytes double, peak_bytes double, latency_ms double")
+
+
+def selector_ablation(spark: SparkSession, folder: str, fractions=(0.1, 0.3, 0.5, 0.75, 0.875), seeds=(0, 1, 2), scored=(0.5, 0.875), graph: str = "purchase") -> DataFrame:
+    """Loss of layer 2, and micro-F1 after layer-wise re-training, by selector and share pruned."""
+    task = Task(spark, folder, graph=graph)
     samples = task.samples()
     rows = []
     for seed in seeds:
@@ -129,87 +213,204 @@ def selector_ablation(spark: SparkSession, folder: str, fractions=(0.1, 0.3, 0.5
         for fraction in fractions:
             for selector in ("lasso", "weight_norm", "random"):
                 done = P.prune_layer(stats[2], net.layers[1].weights, 1 - fraction, selector, seed=seed)
-                zero = done.path.zero_share[-1] if done.path else None
-                rows.append((selector, fraction, seed, done.relative_loss, zero))
+                zero, f1 = done.path.zero_share[-1] if done.path else None, None
+                if fraction in scored and seed == seeds[0]:
+                    pruned, _ = P.prune_network(net, stats, P.Scheme({2: 1 - fraction}), selector, seed=seed - 2)
+                    again = task.fit(pruned, samples, ROUNDS // 2, only=2)
+                    f1 = task.accuracy(task.infer(again))
+                rows.append((selector, fraction, seed, done.relative_loss, zero, f1))
     task.close()
-    found = spark.createDataFrame(rows, "selector string, pruned double, seed int, loss double, zero_share double")
-    return found.groupBy("selector", "pruned").agg(F.avg("loss").alias("loss"), F.avg("zero_share").alias("zero_share"))
+    found = spark.createDataFrame(rows, "selector string, pruned double, seed int, loss double, zero_share double, micro_f1 double")
+    return found.groupBy("selector", "pruned").agg(F.avg("loss").alias("loss"), F.avg("zero_share").alias("zero_share"), F.avg("micro_f1").alias("micro_f1"))
 
 
-def batch_sizes(spark: SparkSession, folder: str, sizes=(64, 256, 1024), cap: int = 32) -> DataFrame:
-    """Latency and support of one batch by its size."""
-    task = Task(spark, folder)
-    net = T.build(task.width, [HIDDEN, HIDDEN], task.classes)
+def batch_sizes(spark: SparkSession, folder: str, sizes=(64, 128, 256, 512, 1024, 2048), cap: int = 32) -> DataFrame:
+    """Latency and support of one batch by its size, median of three after a warm-up."""
+    task = Task(spark, folder, graph="copurchase")
+    net = task.reference(task.samples())
     rows = []
     for size in sizes:
-        one = make_batches(task.test, size).filter("batch_id = 0").persist()
-        began = time.time()
-        infer_batched(net, one, task.edges, task.feats, task.width, {2: cap}).write.format("noop").mode("overwrite").save()
-        seconds = time.time() - began
+        one = written(make_batches(task.test, size).filter("batch_id = 0"), "batch")
+        seconds = timed(lambda one=one: infer_batched(net, one, task.edges, task.feats, task.width, {2: cap}))
         support, _, _ = support_sets(one, task.edges, 2, {2: cap})
-        rows.append((size, one.count(), support.filter("layer = 0").count(), 1000 * seconds))
-        one.unpersist()
+        rows.append((size, one.count(), support.filter("layer = 0").select("node_id").distinct().count(), 1000 * seconds[len(seconds) // 2]))
+        removed(one)
     task.close()
     return spark.createDataFrame(rows, "size int, targets long, attributes_read long, latency_ms double")
 
 
-def store_fractions(spark: SparkSession, folder: str, shares=(0.0, 0.5, 1.0), cap: int = 32) -> DataFrame:
-    """Support and drift when features are stored before the graph grows."""
-    from prunegraph.operators.store import choose
-    from prunegraph.sources.tables import read
-
+def store_fractions(spark: SparkSession, folder: str, shares=(0.0, 0.25, 0.5, 1.0), cap: int = 32) -> DataFrame:
+    """Latency, drift and accuracy when features are stored before the graph grows, by stored share."""
     task = Task(spark, folder)
-    net = T.build(task.width, [HIDDEN, HIDDEN], task.classes)
+    net = task.reference(task.samples())
     orders = read(spark, folder, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
     cut = orders.agg(F.expr("percentile_approx(unix_timestamp(cast(o_orderdate as timestamp)), 0.8)").alias("c")).first()["c"]
     old_orders = orders.filter(F.unix_timestamp(F.col("o_orderdate").cast("timestamp")) < cut)
     lines = read(spark, folder, "lineitem").select("l_orderkey", "l_partkey")
     old = E.both_ways(lines.join(old_orders, F.col("l_orderkey") == F.col("o_orderkey")).select((F.col("o_custkey") * 4).alias("a"), (F.col("l_partkey") * 4 + 1).alias("b")).distinct())
-    before = net.layers[0].forward(task.nodes, old, task.feats, task.width).select(F.lit(1).alias("layer"), "node_id", "h").persist()
-    batches = make_batches(task.test, 512).persist()
-    exact = infer_batched(net, batches, task.edges, task.feats, task.width, {2: cap}).select("node_id", F.col("h").alias("exact")).persist()
-    rows = []
+    before = written(net.layers[0].forward(task.nodes, written(old, "old-edges"), task.feats, task.width).select(F.lit(1).alias("layer"), "node_id", "h"), "stored")
+    batches = written(make_batches(task.test, 512), "batches")
+    exact = written(infer_batched(net, batches, task.edges, task.feats, task.width, {2: cap}).select("node_id", F.col("h").alias("exact")), "exact")
+    reference = task.accuracy(exact.select("node_id", F.col("exact").alias("h")))
+    rows, share, latency = [], shares[0], None
     for share in shares:
         kept = choose(before, share)
-        got = infer_batched(net, batches, task.edges, task.feats, task.width, {2: cap}, kept)
+        began = time.time()
+        got = written(infer_batched(net, batches, task.edges, task.feats, task.width, {2: cap}, kept).select("node_id", "h"), "scores")
+        seconds = 1000 * (time.time() - began)
+        latency = seconds if latency is None else latency
         gap = got.join(exact, "node_id").select(F.aggregate(F.zip_with("h", "exact", lambda a, b: F.abs(a - b)), F.lit(0.0), lambda s, x: s + x).alias("d")).agg(F.avg("d")).first()[0]
         support, _, _ = support_sets(batches, task.edges, 2, {2: cap}, kept)
-        rows.append((share, support.filter("layer = 1 and role <> 'visited'").count(), support.filter("layer = 0").count(), float(gap or 0.0)))
+        drop = reference - task.accuracy(got)
+        # what the adaptive policy would store next, aiming at half of the latency without a store
+        following = adaptive_share(share, seconds, latency / 2, drop, 0.02)
+        rows.append((share, support.filter("layer = 1 and role <> 'visited'").count(), support.filter("layer = 0").count(), float(gap or 0.0), drop, seconds, following))
     task.close()
-    return spark.createDataFrame(rows, "share double, computed_layer_1 long, attributes_read long, mean_drift double")
+    return spark.createDataFrame(rows, "share double, computed_layer_1 long, attributes_read long, mean_drift double, drop double, latency_ms double, next_share double")
 
 
-def architectures(spark: SparkSession, folder: str) -> DataFrame:
-    """Trained architectures side by side: accuracy and cost."""
-    task = Task(spark, folder)
+def architectures(spark: SparkSession, folder: str, graph: str = "purchase") -> DataFrame:
+    """Trained models side by side: accuracy, cost with and without what is prepared once, speed."""
+    task = Task(spark, folder, graph=graph)
     samples = task.samples()
-    v, e = task.nodes.count(), task.edges.count()
+    d = task.n_edges / task.n_nodes
     rows = []
-    for name, k_min, k_max in (("mlp", 0, 0), ("convolution", 1, 1), ("self_mean", 0, 1), ("multi_order", 0, 2)):
-        net = task.reference(samples, k_min, k_max)
-        scores = infer_full(net, task.nodes, task.edges, task.feats, task.width, persist=True)
-        rows.append((name, task.accuracy(scores), sum(c["macs"] for c in C.measured_full(net, v, e, task.width)) / 1000))
-    stats = P.network_grams(net := task.reference(samples), task.edges, task.feats, task.train, task.width, P.full_scheme(0.25, 2))
-    pruned = T.train(P.prune_network(net, stats, P.full_scheme(0.25, 2))[0], samples, ROUNDS // 2, decay=1e-3)
-    scores = infer_full(pruned, task.nodes, task.edges, task.feats, task.width, persist=True)
-    rows.append(("self_mean_4x", task.accuracy(scores), sum(c["macs"] for c in C.measured_full(pruned, v, e, task.width)) / 1000))
-    task.close()
-    return spark.createDataFrame(rows, "model string, micro_f1 double, kmacs double")
 
+    def add(name, net, scores=None, prepared=0.0, kmacs=None):
+        run = scores or (lambda: task.infer(net))
+        began = time.time()
+        found = written(run().select("node_id", "h"), "scores")
+        seconds = time.time() - began
+        f1 = task.accuracy(found)
+        removed(found)
+        total = task.kmacs(net) if kmacs is None else kmacs
+        rows.append((name, f1, total, total - prepared / 1000, task.n_nodes / seconds))
 
-def scale_ladder(spark: SparkSession, folder: str, times=(1, 4)) -> DataFrame:
-    """Nodes a second as the graph is replicated."""
+    for name, k_min, k_max in (("mlp", 0, 0), ("convolution", 1, 1), ("self_mean", 0, 1), ("multi_order", 0, 2)):
+        add(name, task.reference(samples, k_min, k_max))
+    # every layer's output side by side
+    jump = T.build(task.width, [HIDDEN, HIDDEN], task.classes)
+    jump.readout, jump.head = "concat_all", np.random.default_rng(1).standard_normal((4 * HIDDEN, task.classes)) * 0.2
+    add("jumping", task.fit(jump, samples))
+    # branches over attributes propagated once: one layer whose orders each have their own product
+    branches = task.fit(T.build(task.width, [HIDDEN], task.classes, 0, 2), samples)
+    moved = C.preprocess_macs(d, task.width, 2)
+    # printed with the propagation at full width, as it is stored
+    wide = sum(w.size for w in branches.layers[0].weights.values()) + branches.head.size + moved
+    ready = written(B.precomputed(task.edges, task.feats, task.width, 2, task.nodes), "prepared")
+    bias = branches.layers[0].bias
+
+    def prepared_scores():
+        frame, parts = ready, sorted(branches.layers[0].weights)
+        for i, k in enumerate(parts):
+            frame = dense_product(frame, branches.layers[0].weights[k], column=f"h{k}", bias=bias[i * HIDDEN : (i + 1) * HIDDEN])
+        h = F.transform(F.concat(*(f"h{k}" for k in parts)), lambda x: F.greatest(x, F.lit(0.0)))
+        return dense_product(frame.select("node_id", h.alias("h")), branches.head, bias=branches.head_bias)
+
+    add("precomputed_branches", branches, prepared_scores, moved, wide / 1000)
+    # two hops, then one linear map
+    flat = T.build(task.width, [HIDDEN], task.classes, 2, 2)
+    flat.layers[0].act = None
+    flat = task.fit(flat, samples)
+    map_ = flat.layers[0].weights[2] @ flat.head
+    shift = flat.layers[0].bias @ flat.head + flat.head_bias
+    add("linear_two_hop", flat, lambda: dense_product(ready.select("node_id", F.col("h2").alias("h")), map_, bias=shift), moved, (map_.size + moved) / 1000)
+    # an MLP, then a mean weighted by personalised PageRank
+    dense = task.reference(samples, 0, 0)
+    ranked = written(B.personalised_pagerank(task.edges, task.test, rounds=2, top=16), "pagerank")
+    spread = lambda: ranked.join(task.infer(dense).select("node_id", "h"), "node_id").groupBy(F.col("seed").alias("node_id")).agg(F.array(*(F.sum(F.col("mass") * F.col("h")[j]) for j in range(task.classes))).alias("h"))
+    add("pagerank", dense, spread, 0.0, task.kmacs(dense) + 16 * task.classes / 1000)
+    # a student of one layer that learns from the scores of a trained teacher of two
+    teacher = task.reference(samples)
+    soft = [T.forward(teacher, s.x, T.Mean(len(s.x), s.dst, s.src))[0] for s in samples]
+    add("student", task.fit(T.build(task.width, [HIDDEN], task.classes, 0, 1, seed=4), samples, teachers=soft))
+    # attention heads whose scores stay as drawn: the products and the classifier are fitted to them
+    add("attention", *attention_network(task))
+    stats = P.network_grams(teacher, task.edges, task.feats, task.train, task.width, P.full_scheme(0.25, 2))
+    for eta in (0.25,):
+        add(f"self_mean_pruned_{int(1 / eta)}x", task.fit(P.prune_network(teacher, stats, P.full_scheme(eta, 2))[0], samples, ROUNDS // 2))
+    task.close()
+    return spark.createDataFrame(rows, "model string, micro_f1 double, kmacs double, kmacs_without_preparation double, nodes_per_second double")
+
+
+def attention_network(task: Task, heads: int = 2, rounds: int = 200):
+    """(network, scores, prepared, kMACs): heads drawn at random; the classifier over their
+    outputs is fitted on training nodes through a Gram matrix (ridge on one-hot labels)."""
+    rng = np.random.default_rng(7)
+    draw = lambda a, b: rng.standard_normal((a, b)) * np.sqrt(2.0 / (a + b))
+    layer = AttentionLayer([(draw(task.width, HIDDEN), draw(HIDDEN, 1)[:, 0], draw(HIDDEN, 1)[:, 0]) for _ in range(heads)])
+    hidden = written(layer.forward(task.nodes, task.edges, task.feats, task.width), "heads")
+    w = layer.f_out
+    hot = F.array(*(F.when(F.col("label") == c, 1.0).otherwise(0.0) for c in range(task.classes)))
+    both = hidden.join(task.train, "node_id", "left_semi").join(task.labels, "node_id").select("node_id", F.concat("h", F.array(F.lit(1.0)), hot).alias("h"))
+    g = P.gram(both, w + 1 + task.classes)
+    fitted = np.linalg.solve(g[: w + 1, : w + 1] + 1e-2 * np.trace(g[: w + 1, : w + 1]) / (w + 1) * np.eye(w + 1), g[: w + 1, w + 1 :])
+    net = Network([layer], head=fitted[:w], head_bias=fitted[w])
+    kmacs = (sum(x.size for x, _, _ in layer.heads) + 2 * heads * task.width + task.n_edges / task.n_nodes * (w + heads) + net.head.size) / 1000
+    return net, lambda: infer_full(net, task.nodes, task.edges, task.feats, task.width), 0.0, kmacs
+
+
+def spam_month(spark: SparkSession, folder: str, every: str = "30 minutes", month: int = 10, serve: int = 12, copies: int = 1) -> DataFrame:
+    """A month of arriving events, scored in half-hour micro-batches by a model that is
+    re-trained monthly: daily accuracy, precision, recall and largest latency (W6, C20).
+
+    An event is spam if the document it names (its id modulo their number) is of low
+    quality. The given events span thirty days, so ``month`` is ten of them: the first ten
+    train, ``serve`` days after them are served and cross one re-training. A day's arrivals are scored as one micro-batch, their
+    features are stored and read by the days after. ``copies`` over-samples the graph."""
+    docs = read(spark, folder, "documents").select("doc_id", "text")
+    n_docs = docs.count()
+    shape = A.shape_features(docs).withColumnRenamed("node_id", "doc")
+    labels = read(spark, folder, "labels").filter("quality is not null").select(F.col("doc_id").cast("long").alias("doc"), (F.lit(1) - F.col("quality")).cast("int").alias("label"))
+    events = read(spark, folder, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts")).withColumn("doc", F.pmod("event_id", F.lit(n_docs)))
+    start = events.agg(F.min("ts")).first()[0]
+    events = written(events.filter(F.col("ts") < F.lit(start) + F.expr(f"interval {3 * month} days")), "events")
+    feats = written(events.join(shape, "doc").select(F.col("event_id").alias("node_id"), "h"), "event-features")
+    links = E.same_user_events(spark, folder)
+    if copies > 1:
+        more, links = E.replicate(feats, links, copies, 1 << 32)
+        feats = written(more, "event-features")
+    edges = written(links, "event-edges")
+    marks = written(events.join(labels, "doc").select(F.col("event_id").alias("node_id"), "label"), "event-labels")
+    width = 8
+    feats = written(A.standardize(feats, width)[0], "event-features")
+    when = written(events.select(F.col("event_id").alias("node_id"), "ts", F.to_date("ts").alias("day"), F.window("ts", every).start.alias("slot")), "event-times")
+
+    def fit(until):
+        past = when.filter(F.col("ts") < F.lit(until)).select("node_id")
+        samples = T.sample_subgraphs(past, edges, feats, marks, 2, 700, 2, seed=1)
+        return T.train(T.build(width, [HIDDEN, HIDDEN], 2), samples, ROUNDS, decay=1e-3, tol=1e-3)
+
+    # the first month trains
+    began = start + datetime.timedelta(days=month)
+    net, rows, kept = fit(began), [], None
+    days = [r["day"] for r in when.filter(F.col("ts") >= F.lit(began)).select("day").distinct().orderBy("day").limit(serve).collect()]
+    service = StreamScorer(net, width, edges, feats, FeatureStore(spark, f"{shared_folder(spark)}/spam-{uuid.uuid4().hex}"), sink=f"{shared_folder(spark)}/spam-scores-{uuid.uuid4().hex}", retrain=lambda _, t: (fit(t), f"at-{t:%Y%m%d}"), every_days=month)
+    for number, day in enumerate(days):
+        service.on_batch(when.filter(F.col("day") == F.lit(day)).select("node_id", "ts"), number)
+    scored = spark.read.parquet(service.sink).withColumn("batch", F.col("stream_batch"))
+    pred = predictions(scored).join(marks, "node_id").drop("day").join(when.select("node_id", "day"), "node_id").select("node_id", "pred", "label", F.col("day").alias("served"))
+    hit = lambda c: F.sum(c.cast("long"))
+    daily = pred.groupBy("served").agg(F.count(F.lit(1)).alias("scored"), F.avg((F.col("pred") == F.col("label")).cast("double")).alias("accuracy"), F.try_divide(hit((F.col("pred") == 1) & (F.col("label") == 1)), hit(F.col("pred") == 1)).alias("precision"), F.try_divide(hit((F.col("pred") == 1) & (F.col("label") == 1)), hit(F.col("label") == 1)).alias("recall"))
+    log = service.daily(spark)
+    return daily.join(F.broadcast(log.select(F.col("day").alias("served"), "most_ms", "nodes")), "served", "left").withColumnRenamed("served", "day")
+
+
+def scale_ladder(spark: SparkSession, folder: str, times=(1, 4, 16)) -> DataFrame:
+    """Nodes a second, latency and busy share of the slots as the graph is replicated."""
     from prunegraph.plans.headline import WIDTH, base, two_layer
 
     nodes, edges, feats = base(spark, folder)
     rows = []
     for n in times:
         more, links = E.replicate(feats, edges, n, 1 << 32)
-        began = time.time()
-        infer_full(two_layer(), more.select("node_id"), links, more, WIDTH).write.format("noop").mode("overwrite").save()
+        more, links = written(more, "nodes"), written(links, "edges")
+        with Utilisation(spark) as busy:
+            seconds = timed(lambda: infer_full(two_layer(), more.select("node_id"), links, more, WIDTH), 1)[0]
         count = more.count()
-        rows.append((n, count, count / (time.time() - began)))
-    return spark.createDataFrame(rows, "copies int, nodes long, nodes_per_second double")
+        rows.append((n, count, count / seconds, 1000 * seconds, busy.share))
+        removed(more, links)
+    return spark.createDataFrame(rows, "copies int, nodes long, nodes_per_second double, latency_ms double, busy_share double")
 
 
 def memory_limit(spark: SparkSession, folder: str, limit: int = 300_000) -> DataFrame:
@@ -233,8 +434,11 @@ def queries() -> dict:
         "workload_batch_sizes": batch_sizes,
         "workload_store_fractions": store_fractions,
         "workload_architectures": architectures,
-        "workload_multilabel": lambda s, d: full_inference(s, d, (0.25,), multilabel=True),
-        "workload_high_test_share": lambda s, d: full_inference(s, d, (0.25,), train=8, val=12),
+        "workload_documents": lambda s, d: architectures(s, d, "doc"),
+        "workload_multilabel": lambda s, d: full_inference(s, d, (0.5, 0.25), multilabel=True, graphs=("purchase",)),
+        "workload_high_test_share": lambda s, d: full_inference(s, d, (0.5, 0.25), train=8, val=12, graphs=("copurchase",)),
+        "workload_chain": lambda s, d: full_inference(s, d, (0.25,), graphs=("chain", "doc")),
+        "workload_spam_month": spam_month,
         "workload_scale_ladder": scale_ladder,
         "workload_memory_limit": memory_limit,
     }
