@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import functions as F
@@ -11,6 +10,7 @@ from pyspark.sql.window import Window
 from prunegraph.operators import edges as E
 from prunegraph.operators.propagate import from_wide, select_channels, to_wide
 from prunegraph.plans.headline import WIDTH, base, cells, fixed_column
+from prunegraph.sources.shared import shared_folder
 from prunegraph.sources.tables import node_ids, read, validate_edges, validate_features
 from prunegraph.streaming import scorer
 
@@ -51,7 +51,7 @@ def asof_store(spark, folder):
 def stream_half_hour(spark, folder):
     """The half-hour counts by Structured Streaming over the same events."""
     name = f"half_{uuid.uuid4().hex}"
-    base_dir = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
+    base_dir = spark.conf.get("spark.checkpoint.dir", None) or shared_folder(spark)
     out = scorer.run_to_table(scorer.half_hours(scorer.event_stream(spark, folder)), name, f"{base_dir}/stream-{name}", mode="complete")
     return out.select((F.unix_timestamp("window.start") / 1800).cast("long").alias("slot"), "n")
 
