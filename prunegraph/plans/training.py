@@ -201,7 +201,7 @@ def batched_inference(spark: SparkSession, folder: str, size: int = 512, etas=ET
     return spark.createDataFrame(rows, "graph string, eta double, stored boolean, micro_f1 double, kmacs double, input_bytes double, peak_bytes double, latency_ms double")
 
 
-def selector_ablation(spark: SparkSession, folder: str, fractions=(0.1, 0.3, 0.5, 0.75, 0.875), seeds=(0, 1, 2), scored=(0.5, 0.875), graph: str = "purchase") -> DataFrame:
+def selector_ablation(spark: SparkSession, folder: str, fractions=(0.1, 0.3, 0.5, 0.75, 0.875), seeds=(0, 1, 2), scored=(0.5,), graph: str = "purchase") -> DataFrame:
     """Loss of layer 2, and micro-F1 after layer-wise re-training, by selector and share pruned."""
     task = Task(spark, folder, graph=graph)
     samples = task.samples()
@@ -350,7 +350,7 @@ def attention_network(task: Task, heads: int = 2, rounds: int = 200):
     return net, lambda: infer_full(net, task.nodes, task.edges, task.feats, task.width), 0.0, kmacs
 
 
-def spam_month(spark: SparkSession, folder: str, every: str = "30 minutes", month: int = 10, serve: int = 12, copies: int = 1) -> DataFrame:
+def spam_month(spark: SparkSession, folder: str, every: str = "30 minutes", month: int = 10, serve: int = 11, copies: int = 1) -> DataFrame:
     """A month of arriving events, scored in half-hour micro-batches by a model that is
     re-trained monthly: daily accuracy, precision, recall and largest latency (W6, C20).
 
@@ -428,16 +428,16 @@ def memory_limit(spark: SparkSession, folder: str, limit: int = 300_000) -> Data
 
 def queries() -> dict:
     return {
-        "workload_full_inference": full_inference,
+        "workload_full_inference": lambda s, d: full_inference(s, d, graphs=("purchase",)),
+        "workload_copurchase": lambda s, d: full_inference(s, d, (0.25,), graphs=("copurchase",)),
         "workload_batched_inference": batched_inference,
-        "workload_batched_copurchase": lambda s, d: batched_inference(s, d, graphs=("copurchase",)),
+        "workload_batched_copurchase": lambda s, d: batched_inference(s, d, etas=(0.25,), graphs=("copurchase",)),
         "workload_selectors": selector_ablation,
-        "workload_batch_sizes": batch_sizes,
+        "workload_batch_sizes": lambda s, d: batch_sizes(s, d, (64, 512, 2048)),
         "workload_store_fractions": store_fractions,
         "workload_architectures": architectures,
-        "workload_documents": lambda s, d: architectures(s, d, "doc"),
-        "workload_multilabel": lambda s, d: full_inference(s, d, (0.5, 0.25), multilabel=True, graphs=("purchase",)),
-        "workload_high_test_share": lambda s, d: full_inference(s, d, (0.5, 0.25), train=8, val=12, graphs=("copurchase",)),
+        "workload_multilabel": lambda s, d: full_inference(s, d, (0.25,), multilabel=True, graphs=("purchase",)),
+        "workload_high_test_share": lambda s, d: full_inference(s, d, (0.25,), train=8, val=12, graphs=("copurchase",)),
         "workload_chain": lambda s, d: full_inference(s, d, (0.25,), graphs=("chain", "doc")),
         "workload_spam_month": spam_month,
         "workload_scale_ladder": scale_ladder,
