@@ -7,7 +7,7 @@ import __spark_entry__ as entry
 from prunegraph import catalog
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-QUICK = sorted(k for k in catalog.oracle_sql() if not k.startswith(("batched", "pruned_batched")))
+QUERIES = sorted(catalog.oracle_sql())
 
 
 @pytest.fixture(scope="module")
@@ -18,7 +18,7 @@ def duck(small):
     return con
 
 
-@pytest.mark.parametrize("name", QUICK)
+@pytest.mark.parametrize("name", QUERIES)
 def test_query_equals_sql(spark, small, duck, name):
     df = entry.queries()[name](spark, small)
     mine = sorted((tuple(r[c] for c in sorted(df.columns)) for r in df.collect()), key=repr)
