@@ -274,8 +274,7 @@ def _capped_sql() -> str:
     return plan.select(f"SELECT batch_id, node_id, CAST(j AS INTEGER) AS ch, {fixed('x')} AS v FROM {h2}")
 
 
-def _attention_sql() -> str:
-    plan = Plan()
+def attention_rows(plan: Plan) -> str:
     f = plan.features(WIDTH)
     heads = []
     for i in range(2):
@@ -289,7 +288,12 @@ def _attention_sql() -> str:
         w = plan.add(f"SELECT l.dst, l.src, exp(r - top) AS w FROM {leaky} l JOIN {top} t ON t.dst = l.dst")
         mean = plan.add(f"SELECT w.dst AS node_id, z.j, sum(w.w * z.x) / sum(w.w) AS x FROM {w} w JOIN {z} z ON z.node_id = w.src GROUP BY 1, 2")
         heads.append((plan.add(f"SELECT z.node_id, z.j, coalesce(m.x, 0) AS x FROM {z} z LEFT JOIN {mean} m ON m.node_id = z.node_id AND m.j = z.j"), 2))
-    return plan.cells(plan.relu(plan.concat(heads)))
+    return plan.relu(plan.concat(heads))
+
+
+def _attention_sql() -> str:
+    plan = Plan()
+    return plan.cells(attention_rows(plan))
 
 
 def _edge_sql(graph: str) -> str:

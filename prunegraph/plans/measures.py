@@ -54,9 +54,9 @@ def lasso_mask_path(spark, folder):
     q, r = P.mask_terms(_grams(spark, folder), {k: formula_weights(1, k, WIDTH, HIDDEN) for k in (0, 1)})
     beta, rows = None, []
     for step in (0, 1, 2, 5, 10, 20, 50, 100):
-        beta = P.lasso_mask(q, r, step / 100 * 2 * np.abs(r).max(), beta)
-        rows += [(step, j, float(round(beta[j], 6))) for j in range(WIDTH)]
-    return _matrix(spark, rows, "penalty int, ch int, beta double")
+        beta = P.lasso_mask(q, r, step / 100 * 2 * np.abs(r).max(), beta, sweeps=20000, tol=1e-12)
+        rows += [(step, j, int(np.floor(beta[j] * 1e6 + 0.4999))) for j in range(WIDTH)]
+    return _matrix(spark, rows, "penalty int, ch int, v long")
 
 
 def mask_clip(spark, folder):
@@ -272,8 +272,7 @@ def shape_features(spark, folder):
 
 
 def token_features(spark, folder):
-    f = A.token_features(read(spark, folder, "documents"), 16)
-    return f.select("node_id", F.size("h").cast("int").alias("width"), fixed_column(F.aggregate("h", F.lit(0.0), lambda s, x: s + x * x)).alias("norm"))
+    return cells(A.token_features(read(spark, folder, "documents"), 16))
 
 
 def queries() -> dict:
@@ -316,8 +315,36 @@ LABEL = """votes AS (SELECT e.dst AS node_id, n_regionkey, count(*) AS n FROM e
 lab AS (SELECT node_id, n_regionkey AS label FROM (SELECT *, row_number() OVER (PARTITION BY node_id ORDER BY n DESC, n_regionkey) r FROM votes) WHERE r = 1)"""
 
 
+SWEEPS = 400
+
+
+def _mask_path_sql(plan: Plan, q: str) -> str:
+    """Coordinate descent as a recursion: one step sets one mask of every penalty."""
+    row = plan.add(f"SELECT j, list(q ORDER BY l) AS q, sum(q) AS r, max(q) FILTER (j = l) AS d FROM {q} GROUP BY 1")
+    steps = "VALUES " + ", ".join(f"({s})" for s in (0, 1, 2, 5, 10, 20, 50, 100))
+    lam = plan.add(f"SELECT p.penalty, p.penalty / 100.0::DOUBLE * 2 * (SELECT max(abs(r)) FROM {row}) AS lam FROM ({steps}) p(penalty)")
+    new = "sign(x.rest) * greatest(abs(x.rest) - x.lam / 2, 0) / x.d"
+    plan.parts.append(f"""path AS (SELECT penalty, lam, 0 AS step, list_transform(range({WIDTH}), lambda i: 1.0::DOUBLE) AS beta FROM {lam}
+UNION ALL SELECT penalty, lam, step + 1, list_transform(beta, lambda b, i: CASE WHEN i = x.j + 1 THEN CASE WHEN x.d <= 0 THEN 0 ELSE {new} END ELSE b END)
+FROM (SELECT path.*, w.j, w.d, w.r - list_dot_product(w.q, path.beta) + w.d * path.beta[w.j + 1] AS rest FROM path JOIN {row} w ON w.j = path.step % {WIDTH} WHERE path.step < {SWEEPS * WIDTH}) x)""")
+    cell = plan.add(f"SELECT penalty, unnest(range({WIDTH})) AS ch, unnest(beta) AS b FROM path WHERE step = {SWEEPS * WIDTH}")
+    text = plan.select(f"SELECT CAST(penalty AS INTEGER) AS penalty, CAST(ch AS INTEGER) AS ch, {fixed('b')} AS v FROM {cell}")
+    return text.replace("WITH ", "WITH RECURSIVE ", 1)
+
+
+def _token_sql(width: int = 16) -> str:
+    """Hashed token counts; the check value is computed bit by bit."""
+    byte = "list_reduce(list_prepend(xor(s, c), list_transform(range(8), lambda x: x::UBIGINT)), lambda v, b: CASE WHEN v & 1 = 1 THEN xor(v >> 1, 3988292384::UBIGINT) ELSE v >> 1 END)"
+    check = f"xor(list_reduce(list_prepend(4294967295::UBIGINT, list_transform(string_split(t, ''), lambda c: ascii(c)::UBIGINT)), lambda s, c: {byte}), 4294967295::UBIGINT)"
+    return f"""WITH w AS (SELECT doc_id AS node_id, unnest(string_split_regex(lower(text), '[^a-z]+')) AS t FROM documents),
+k AS (SELECT t, CAST({check} % {width} AS INTEGER) AS ch FROM (SELECT DISTINCT t FROM w WHERE length(t) > 0)),
+n AS (SELECT node_id, ch, ln(1 + count(*)) AS x FROM w JOIN k USING (t) GROUP BY 1, 2),
+s AS (SELECT node_id, sqrt(sum(x * x)) AS s FROM n GROUP BY 1)
+SELECT s.node_id, CAST(r.ch AS INTEGER) AS ch, {fixed('coalesce(n.x, 0) / s.s')} AS v FROM s CROSS JOIN range({width}) r(ch) LEFT JOIN n ON n.node_id = s.node_id AND n.ch = r.ch"""
+
+
 def oracle_sql() -> dict[str, str]:
-    from prunegraph.plans.headline import BATCHES, _support_sql, _two
+    from prunegraph.plans.headline import BATCHES, _support_sql, _two, attention_rows
 
     out: dict[str, str] = {}
     plan, g = _gram_plan()
@@ -330,6 +357,10 @@ def oracle_sql() -> dict[str, str]:
     out["lasso_terms"] = plan.select(
         f"SELECT 'q' AS term, j, l, CAST(floor(q * 10000 + 0.4999) AS BIGINT) AS v FROM {q} UNION ALL SELECT 'r', j, 0, CAST(floor(sum(q) * 10000 + 0.4999) AS BIGINT) FROM {q} GROUP BY j"
     )
+    out["lasso_mask_path"] = _mask_path_sql(plan, q)
+    out["token_features"] = _token_sql()
+    p = Plan()
+    out["student_scores"] = p.cells(p.product(attention_rows(p), p.weights(2, 0, 4, HIDDEN)))
     budgets = "(VALUES " + ", ".join(f"('{n}', {P.budget(e, 16)})" for n, e in ETAS.items()) + ") b(model, keep)"
     out["mask_clip"] = f"SELECT model, ch, row_number() OVER (PARTITION BY model ORDER BY abs(beta) DESC, ch) <= keep AS kept FROM (SELECT CAST(id AS INTEGER) AS ch, ((id * 7 + 3) % 11 - 5) / 10.0 AS beta FROM range(16) r(id)), {budgets}"
     norm = f"SELECT model, ch FROM (SELECT model, keep, ch, row_number() OVER (PARTITION BY model ORDER BY s DESC, ch) r FROM (SELECT CAST(j AS INTEGER) AS ch, sum(abs((7*j + 3*o + 11*k + 10) % 9 - 4)) AS s FROM range(16) a(j), range({HIDDEN}) b(o), range(2) c(k) GROUP BY 1), {budgets}) WHERE r <= keep"
