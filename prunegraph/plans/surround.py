@@ -48,14 +48,48 @@ def asof_store(spark, folder):
     return e.select("event_id", last.alias("asof_id"))
 
 
+def _streamed(spark, stream, mode):
+    name = f"stream_{uuid.uuid4().hex}"
+    return scorer.run_to_table(stream, name, f"{shared_folder(spark)}/{name}", mode=mode)
+
+
 def stream_half_hour(spark, folder):
     """The half-hour counts by Structured Streaming over the same events."""
-    name = f"half_{uuid.uuid4().hex}"
-    base_dir = spark.conf.get("spark.checkpoint.dir", None) or shared_folder(spark)
-    out = scorer.run_to_table(scorer.half_hours(scorer.event_stream(spark, folder)), name, f"{base_dir}/stream-{name}", mode="complete")
+    out = _streamed(spark, scorer.half_hours(scorer.event_stream(spark, folder)), "complete")
     return out.select((F.unix_timestamp("window.start") / 1800).cast("long").alias("slot"), "n")
 
 
+def stream_sliding(spark, folder):
+    """Events of a type in every day-long window that starts on the hour."""
+    out = _streamed(spark, scorer.sliding_days(scorer.event_stream(spark, folder)), "complete")
+    return out.select((F.unix_timestamp("window.start") / 3600).cast("long").alias("hour"), "event_type", "n")
+
+
+def stream_sessions(spark, folder):
+    """Sessions of a user with a six-hour gap, by Structured Streaming."""
+    out = _streamed(spark, scorer.user_sessions(scorer.event_stream(spark, folder)), "complete")
+    return out.groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.max("n").alias("longest"))
+
+
+def stream_follow_ups(spark, folder):
+    """Purchases within a day after a click of the same user (stream-stream join)."""
+    return _streamed(spark, scorer.follow_ups(scorer.event_stream(spark, folder), "click", "purchase", "1 day"), "append")
+
+
+def stream_segments(spark, folder):
+    """Arriving events by the market segment of their user (stream-static join)."""
+    c = read(spark, folder, "customer").select("c_custkey", "c_mktsegment")
+    rows = scorer.with_static(scorer.event_stream(spark, folder), c, "c_custkey")
+    return _streamed(spark, rows.groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n")), "complete")
+
+
+def stream_user_state(spark, folder):
+    """Per user: events, the latest one and the largest value, kept in state."""
+    out = _streamed(spark, scorer.user_state(scorer.event_stream(spark, folder)), "update")
+    last = out.groupBy("user_id").agg(F.max_by(F.struct("n", "last_id", "most"), "n").alias("s"))
+    return last.select("user_id", "s.n", "s.last_id", "s.most")
+
+
 def duplicate_report(spark, folder):
     lines = read(spark, folder, "lineitem").select(F.col("l_orderkey").alias("dst"), F.col("l_partkey").alias("src"))
     return validate_edges(lines)
@@ -177,7 +211,7 @@ def sql_surface(spark, folder):
 
 def queries() -> dict:
     return {f.__name__: f for f in (
-        spam_half_hour, spam_daily, session_users, asof_store, stream_half_hour, duplicate_report, feature_report, split_counts, inductive_edges, visited_split, outer_isolated,
+        spam_half_hour, spam_daily, session_users, asof_store, stream_half_hour, stream_sliding, stream_sessions, stream_follow_ups, stream_segments, stream_user_state, duplicate_report, feature_report, split_counts, inductive_edges, visited_split, outer_isolated,
         region_broadcast, quantile_labels, running_edges, set_operations, event_json, type_pivot, grouping_cube, hash_sample, channel_gather, wide_round_trip, edge_scores, graph_pool, sql_surface,
     )}
 
@@ -188,6 +222,9 @@ def oracle_sql() -> dict[str, str]:
     slot = "CAST(floor(epoch(ts) / 1800) AS BIGINT)"
     split = SPLIT.format(n="node_id")
     graph = lambda body, g="purchase": Plan(g).select(body)
+    sessions = """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g),
+c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY 1, 2) SELECT user_id, count(*) AS sessions, max(n) AS longest FROM c GROUP BY 1"""
     half = f"SELECT {slot} AS slot, count(*) AS n FROM events GROUP BY 1"
 
     def features(body):
@@ -207,9 +244,12 @@ def oracle_sql() -> dict[str, str]:
         "spam_daily": f"""WITH d AS (SELECT doc_id, quality, row_number() OVER (ORDER BY doc_id) - 1 AS r FROM labels WHERE quality IS NOT NULL),
 s AS (SELECT CAST(ts AS DATE) AS day, {slot} AS slot, count(*) AS n, sum((quality = 0)::INT) AS spam FROM events JOIN d ON d.r = event_id % (SELECT count(*) FROM d) GROUP BY 1, 2)
 SELECT day, CAST(sum(n) AS BIGINT) AS events, CAST(sum(spam) AS BIGINT) AS spam, max(n) AS busiest FROM s GROUP BY 1""",
-        "session_users": """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
-s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g),
-c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY 1, 2) SELECT user_id, count(*) AS sessions, max(n) AS longest FROM c GROUP BY 1""",
+        "session_users": sessions,
+        "stream_sessions": sessions,
+        "stream_sliding": "SELECT CAST(h - k AS BIGINT) AS hour, event_type, count(*) AS n FROM (SELECT CAST(floor(epoch(ts) / 3600) AS BIGINT) AS h, event_type FROM events), range(24) r(k) GROUP BY 1, 2",
+        "stream_follow_ups": "SELECT b.user_id, a.event_id AS first_id, b.event_id AS then_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY",
+        "stream_segments": "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON c_custkey = user_id GROUP BY 1",
+        "stream_user_state": "SELECT user_id, count(*) AS n, arg_max(event_id, (ts, event_id)) AS last_id, max(value) AS most FROM events GROUP BY 1",
         "asof_store": "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS asof_id FROM events",
         "duplicate_report": "SELECT CAST(sum((n > 1)::INT) AS BIGINT) AS duplicate_pairs, CAST(sum((a = b)::INT) AS BIGINT) AS self_edges, CAST(sum((a IS NULL OR b IS NULL)::INT) AS BIGINT) AS null_ends FROM (SELECT l_orderkey AS a, l_partkey AS b, count(*) AS n FROM lineitem GROUP BY 1, 2)",
         "feature_report": "SELECT CAST(sum((len(embedding) <> 64)::INT) AS BIGINT) AS ragged, CAST(sum((embedding IS NULL)::INT) AS BIGINT) AS missing, CAST(0 AS BIGINT) AS not_finite FROM embeddings",

@@ -27,6 +27,12 @@ def write(df: DataFrame, path: str, kind: str = "parquet", mode: str = "error",
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)
 
 
+def write_bucketed(df: DataFrame, name: str, keys: list[str], buckets: int, path: str | None = None, mode: str = "error") -> None:
+    """A catalog table bucketed and sorted by ``keys``: joins and aggregations on them need no shuffle."""
+    writer = df.write.mode(mode).bucketBy(buckets, *keys).sortBy(*keys)
+    (writer.option("path", path) if path else writer).saveAsTable(name)
+
+
 def node_ids(spark: SparkSession, folder: str, kinds: tuple[str, ...] = ("customer", "part")) -> DataFrame:
     """node_id of every row of the node tables; kinds share one id space."""
     keys = {"customer": "c_custkey", "part": "p_partkey", "order": "o_orderkey", "supplier": "s_suppkey"}

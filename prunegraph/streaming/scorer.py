@@ -6,6 +6,7 @@ import time
 from dataclasses import dataclass, field
 from typing import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -38,6 +39,56 @@ def distinct_events(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def follow_ups(events: DataFrame, first: str, then: str, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    """Pairs (user_id, first_id, then_id): ``then`` no later than ``within`` after ``first`` (stream-stream join).
+
+    Both watermarks and the time range bound the state that the join keeps."""
+    a = events.filter(F.col("event_type") == first).withWatermark("ts", late).select(F.col("user_id").alias("a_user"), F.col("event_id").alias("first_id"), F.col("ts").alias("a_ts"))
+    b = events.filter(F.col("event_type") == then).withWatermark("ts", late).select("user_id", F.col("event_id").alias("then_id"), F.col("ts").alias("b_ts"))
+    near = (F.col("a_user") == F.col("user_id")) & (F.col("b_ts") >= F.col("a_ts")) & (F.col("b_ts") <= F.col("a_ts") + F.expr(f"interval {within}"))
+    return a.join(b, near).select("user_id", "first_id", "then_id")
+
+
+def with_static(events: DataFrame, table: DataFrame, key: str) -> DataFrame:
+    """Events with the columns of a fixed table; the table is read anew by every micro-batch."""
+    return events.join(table, events["user_id"] == table[key])
+
+
+USER_STATE = "user_id long, n long, last_id long, most double"
+
+
+def _advance(key, parts, state):
+    """One user's state: events so far, the latest event (ties: larger id), the largest value."""
+    if state.hasTimedOut:
+        state.remove()
+        return
+    n, at, last, most = state.get if state.exists else (0, None, None, None)
+    for rows in parts:
+        n += len(rows)
+        for t, i in rows[["ts_us", "event_id"]].dropna().astype("int64").nlargest(1, ["ts_us", "event_id"]).itertuples(index=False):
+            if at is None or (int(t), int(i)) > (at, last):
+                at, last = int(t), int(i)
+        top = rows["value"].max()
+        if not pd.isna(top):
+            most = float(top) if most is None else max(most, float(top))
+    state.update((n, at, last, most))
+    if at is not None:
+        state.setTimeoutTimestamp(max(at // 1000, state.getCurrentWatermarkMs()) + KEEP_MS)
+    yield pd.DataFrame({"user_id": [key[0]], "n": [n], "last_id": pd.array([last], dtype="Int64"), "most": [most]})
+
+
+KEEP_MS = 90 * 24 * 3600 * 1000
+
+
+def user_state(events: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Per user what has been seen so far, emitted whenever it changes (update mode).
+
+    State is one small row a user and is dropped 90 days of event time after the latest event.
+    Rows without a user share the null user; rows without time count but are never the latest."""
+    rows = events.withWatermark("ts", late).withColumn("ts_us", F.unix_micros("ts"))
+    return rows.groupBy("user_id").applyInPandasWithState(_advance, USER_STATE, "n long, at long, last_id long, most double", "update", "EventTimeTimeout")
+
+
 def run_to_table(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
     """Run over all that is there into a memory table (tests and small aggregates)."""
     query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
