@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import datetime as dt
+
 import numpy as np
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -241,6 +243,26 @@ def convolution_network(spark, folder):
 # ------------------------------------------------------------------ store
 
 
+def stale_embeddings(spark, folder):
+    """What a lookup of stored features alone serves a week before the last write."""
+    rows = _writes(spark, folder)
+    until = rows.agg(F.max("written_at").alias("now")).first()["now"] - dt.timedelta(days=7)
+    return B.stale(rows, F.lit(until)).select("node_id", F.datediff(F.lit(until), "written_at").alias("age_days"))
+
+
+def normalized_attributes(spark, folder):
+    _, _, feats = base(spark, folder)
+    return cells(B.normalize_features(feats, WIDTH))
+
+
+def prepared_costs(spark, folder):
+    """Multiply-adds a node that preparing 1 to 3 propagated branches adds before inference."""
+    nodes, edges, _ = base(spark, folder)
+    degree = edges.agg(F.count(F.lit(1)).alias("e")).crossJoin(nodes.agg(F.count(F.lit(1)).alias("v"))).first()
+    rows = [(k, int(np.floor(C.preprocess_macs(degree["e"] / degree["v"], WIDTH, k) * 1e6 + 0.4999))) for k in (1, 2, 3)]
+    return _matrix(spark, rows, "steps int, v long")
+
+
 def _writes(spark, folder):
     o = read(spark, folder, "orders")
     return o.select((F.pmod("o_orderkey", F.lit(2)) + 1).cast("int").alias("layer"), F.lit("m").alias("model"), F.col("o_orderkey").alias("batch"), (F.col("o_custkey") * 4).alias("node_id"), F.col("o_orderdate").alias("written_at"))
@@ -279,7 +301,7 @@ def queries() -> dict:
     names = [
         gram_branch, lasso_terms, lasso_mask_path, mask_clip, weight_refit, cost_full, cost_memory, cost_batched, cost_support, input_bytes, store_reduction, cost_rollup, printed_costs,
         micro_f1_single, micro_f1_multi, confusion, linear_two_hop, precomputed_branches, mlp_scores, label_propagation, ppr_topk, ppr_network, student_scores, convolution_network,
-        store_latest, store_expire, store_share, shape_features, token_features,
+        store_latest, store_expire, store_share, stale_embeddings, normalized_attributes, prepared_costs, shape_features, token_features,
     ]
     found = {f.__name__: f for f in names}
     found["weight_norm_select"] = _select(P.select_weight_norm)
@@ -359,6 +381,11 @@ def oracle_sql() -> dict[str, str]:
     )
     out["lasso_mask_path"] = _mask_path_sql(plan, q)
     out["token_features"] = _token_sql()
+    until = "(SELECT max(o_orderdate) FROM orders) - INTERVAL 7 DAY"
+    out["stale_embeddings"] = f"SELECT o_custkey * 4 AS node_id, CAST(date_diff('day', max(o_orderdate), {until}) AS INTEGER) AS age_days FROM orders WHERE o_orderdate < {until} GROUP BY 1"
+    p = Plan()
+    out["normalized_attributes"] = p.select(f"SELECT f.node_id, f.j AS ch, {fixed('(f.x - s.m) / CASE WHEN s.d = 0 THEN 1 ELSE s.d END')} AS v FROM {{f}} f JOIN (SELECT j, avg(x) AS m, stddev_pop(x) AS d FROM {{f}} GROUP BY 1) s ON s.j = f.j".format(f=p.features(WIDTH)))
+    out["prepared_costs"] = Plan().select(f"SELECT CAST(k AS INTEGER) AS steps, {fixed(f'k * (CAST((SELECT count(*) FROM e) AS DOUBLE) / (SELECT count(*) FROM nodes)) * {WIDTH}')} AS v FROM range(1, 4) r(k)")
     p = Plan()
     out["student_scores"] = p.cells(p.product(attention_rows(p), p.weights(2, 0, 4, HIDDEN)))
     budgets = "(VALUES " + ", ".join(f"('{n}', {P.budget(e, 16)})" for n, e in ETAS.items()) + ") b(model, keep)"

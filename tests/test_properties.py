@@ -34,6 +34,14 @@ def test_published_cost_cells(cell):
     assert abs(C.printed_full_mib(f, h, v, e, 0.5**power) - mib) < 2.5
 
 
+@pytest.mark.parametrize("name,kmacs", [("b", 3135), ("c", 17665), ("d", 7870)])
+def test_published_batched_cost_is_near(name, kmacs):
+    from prunegraph.plans.measures import PUBLISHED
+
+    _, f, h, c, v, e = next(p for p in PUBLISHED if p[0] == name)
+    assert abs(C.printed_batched_kmacs(f, h, c, v, e) / kmacs - 1) < 0.04
+
+
 def test_rows_of_the_mean_sum_to_one(bought):
     _, edges, feats = bought
     w = normalize(edges).groupBy("dst").agg(F.sum("w").alias("w"))
