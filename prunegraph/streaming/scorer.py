@@ -90,10 +90,22 @@ def user_state(events: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 def run_to_table(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Run over all that is there into a memory table (tests and small aggregates)."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """Run over all that is there; the rows emitted, also as the view ``name``.
+
+    Each micro-batch is written beside the checkpoint by the tasks that made it, so no rows pass
+    the driver; a repeated batch overwrites its own. In complete mode the last batch holds all."""
+    spark, parts = stream.sparkSession, {}
+
+    def put(rows: DataFrame, batch: int) -> None:
+        parts[batch] = f"{checkpoint}-rows/{batch:010d}"
+        rows.write.mode("overwrite").parquet(parts[batch])
+
+    query = stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    paths = [parts[k] for k in sorted(parts)][-1 if mode == "complete" else 0 :]
+    found = spark.read.schema(stream.schema).parquet(*paths) if paths else spark.createDataFrame([], stream.schema)
+    found.createOrReplaceTempView(name)
+    return found
 
 
 @dataclass

@@ -116,3 +116,19 @@ def test_plans_of_surrounding_queries(spark, small):
     assert text(surround.region_broadcast).count("BroadcastHashJoin") == 2
     assert "ReadSchema: struct<props:string,event_type:string>" in text(surround.event_json) or "ReadSchema: struct<event_type:string,props:string>" in text(surround.event_json)
     assert all("Python" not in text(f) for f in (surround.spam_half_hour, surround.asof_store, surround.graph_pool, surround.sql_surface))
+
+
+@pytest.mark.parametrize("mode", ["complete", "update"])
+def test_stream_rows_stay_with_the_executors(spark, tmp_path, mode):
+    parts = [[(1, at(1), 1, "click", 1.0, None)], [(2, at(1), 2, "click", 1.0, None)]]
+    counts = arrivals(spark, tmp_path, parts).groupBy("user_id").count()
+    found = scorer.run_to_table(counts, f"t_{uuid.uuid4().hex}", f"{tmp_path}/check", mode=mode)
+    assert sorted(map(tuple, found.collect())) == [(1, 1), (2, 1)]
+    # written by tasks: a memory table would hold every row on the driver
+    assert found.inputFiles()
+
+
+def test_stream_without_rows(spark, tmp_path):
+    counts = arrivals(spark, tmp_path, [[]]).groupBy("user_id").count()
+    found = scorer.run_to_table(counts, f"t_{uuid.uuid4().hex}", f"{tmp_path}/check", mode="complete")
+    assert found.columns == ["user_id", "count"] and found.count() == 0
