@@ -2,6 +2,7 @@
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from prunegraph import catalog
@@ -31,3 +32,20 @@ def test_query_equals_sql(spark, small, duck, name):
 
 def test_entry(spark):
     assert entry.entry(spark).columns == ["node_id", "ch", "v"]
+
+
+@pytest.mark.parametrize("name", ["cost_rollup", "mask_clip", "printed_costs", "random_select", "weight_norm_select"])
+def test_query_follows_its_table(spark, small, tmp_path, name):
+    """Results come from a given table: other rows give other results."""
+    import os
+
+    from prunegraph.plans import measures
+
+    for t in ("customer", "part", "supplier", "orders", "lineitem", "embeddings"):
+        if t not in ("customer", "embeddings"):
+            os.symlink(f"{small}/{t}.parquet", f"{tmp_path}/{t}.parquet")
+    spark.read.parquet(f"{small}/customer.parquet").filter("c_custkey < 20").write.parquet(f"{tmp_path}/customer.parquet")
+    spark.read.parquet(f"{small}/embeddings.parquet").withColumn("embedding", F.slice("embedding", 1, 24)).write.parquet(f"{tmp_path}/embeddings.parquet")
+    run = measures.queries()[name]
+    a, b = (sorted(map(repr, run(spark, f).collect())) for f in (small, str(tmp_path)))
+    assert a and b and a != b
