@@ -37,6 +37,8 @@ SMOOTH_BYTES = 64
 #: Trusted rows up to which their ids are broadcast (checked by count).
 SMALL_LABELS = 2_000_000
 _BLOCK = 1 << 19
+#: Different strings a task holds before it passes on their counts.
+MOST_HELD = 1 << 20
 _EDGE = 1  # pads the start and closes the end of a text
 
 
@@ -65,39 +67,43 @@ def _merge(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.n
     return key[at], np.add.reduceat(n, at) if len(at) else n
 
 
-def string_counts(rows: DataFrame, order: int = ORDER) -> DataFrame:
-    """(gram, n, t): occurrences in all texts and in the texts of the fit."""
-
-    def run(batches):
-        held: list[list] = [[], []]
+def counted(batches, order: int, most: int):
+    """Batches (gram, n, t) of partial counts; about ``most`` different strings are held at once."""
+    held: list[list] = [[], []]
 
-        def flush():
-            keys, counts = zip(*(_merge(h) if h else (np.zeros(0, np.uint64), np.zeros(0, np.int64)) for h in held))
-            every, inverse = np.unique(np.concatenate(keys), return_inverse=True)
-            n, t = np.zeros(len(every), np.int64), np.zeros(len(every), np.int64)
-            np.add.at(n, inverse, np.concatenate(counts))
-            t[inverse[len(keys[0]) :]] = counts[1]
-            return pa.RecordBatch.from_arrays([pa.array(long_view(every)), pa.array(n), pa.array(t)], ["gram", "n", "t"])
-
-        size = 0
-        for batch in batches:
-            fit = pa.compute.fill_null(batch.column(1), False).to_numpy(zero_copy_only=False)
-            for kind in (0, 1):
-                raw, offsets = utf8(batch.column(0).filter(pa.array(fit == bool(kind))))
-                for a, b in slices(offsets, _BLOCK):
-                    g, _ = packed(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], order)
-                    g.sort()
-                    at = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]]))
-                    held[kind].append((g[at], np.diff(np.append(at, len(g)))))
-                    size += len(at)
-                    if len(held[kind]) >= 16:
-                        held[kind] = [_merge(held[kind])]
-            if size > 6_000_000:
-                yield flush()
-                held, size = [[], []], 0
-        if held[0] or held[1]:
-            yield flush()
+    def flush():
+        keys, counts = zip(*(_merge(h) if h else (np.zeros(0, np.uint64), np.zeros(0, np.int64)) for h in held))
+        every, inverse = np.unique(np.concatenate(keys), return_inverse=True)
+        n, t = np.zeros(len(every), np.int64), np.zeros(len(every), np.int64)
+        np.add.at(n, inverse, np.concatenate(counts))
+        t[inverse[len(keys[0]) :]] = counts[1]
+        return pa.RecordBatch.from_arrays([pa.array(long_view(every)), pa.array(n), pa.array(t)], ["gram", "n", "t"])
 
+    size = 0
+    for batch in batches:
+        fit = pa.compute.fill_null(batch.column(1), False).to_numpy(zero_copy_only=False)
+        for kind in (0, 1):
+            raw, offsets = utf8(batch.column(0).filter(pa.array(fit == bool(kind))))
+            for a, b in slices(offsets, _BLOCK):
+                g, _ = packed(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], order)
+                g.sort()
+                at = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]]))
+                held[kind].append((g[at], np.diff(np.append(at, len(g)))))
+                size += len(at)
+                if len(held[kind]) >= 16 or size > most:
+                    size -= sum(len(k) for k, _ in held[kind])
+                    held[kind] = [_merge(held[kind])]
+                    size += len(held[kind][0][0])
+                if size > most:
+                    yield flush()
+                    held, size = [[], []], 0
+    if held[0] or held[1]:
+        yield flush()
+
+
+def string_counts(rows: DataFrame, order: int = ORDER, most: int = MOST_HELD) -> DataFrame:
+    """(gram, n, t): occurrences in all texts and in the texts of the fit."""
+    run = lambda batches: counted(batches, order, most)
     return rows.select("text", "fit").mapInArrow(run, "gram long, n long, t long").groupBy("gram").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
 
 

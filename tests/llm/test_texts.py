@@ -540,3 +540,20 @@ def test_mixing_odd(odd, empty):
     out = mixing.mixed_documents(odd)
     assert out.columns == odd.columns
     assert mixing.mix(empty).count() == 0 and mixing.mixed_documents(empty).count() == 0
+
+
+def test_quality_counts_hold_few_strings():
+    """Partial counts add up, and no more strings are held than asked, whatever an Arrow batch holds."""
+    import numpy as np
+    import pyarrow as pa
+
+    from prunegraph.llm import quality
+
+    rng = np.random.default_rng(3)
+    texts = ["".join(chr(97 + c) for c in rng.integers(0, 26, 3000)) for _ in range(700)]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts), pa.array([i % 3 == 0 for i in range(700)])], ["text", "fit"])
+    parts = list(quality.counted(iter([batch]), 5, 200_000))
+    whole = list(quality.counted(iter([batch]), 5, 1 << 30))
+    assert len(whole) == 1 and len(parts) > 1 and max(p.num_rows for p in parts) <= 200_000 + quality._BLOCK
+    total = lambda found: pa.Table.from_batches(found).group_by("gram").aggregate([("n", "sum"), ("t", "sum")]).sort_by("gram")
+    assert total(parts).equals(total(whole))
