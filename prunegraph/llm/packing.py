@@ -15,9 +15,11 @@ further columns are ignored.
 from __future__ import annotations
 
 import heapq
+import json
 import re
 import unicodedata
 import zlib
+from itertools import chain, filterfalse
 
 import numpy as np
 import pyarrow as pa
@@ -29,40 +31,89 @@ from prunegraph.llm.common import materialize, salt, width
 
 LIMIT = 4096
 END = 2
-#: Words kept per worker; beyond it the memory of words starts anew.
-KNOWN_WORDS = 600_000
+#: Words kept per worker, in two halves: the older one goes when the younger is full.
+KNOWN_WORDS = 1_000_000
 
-_BEFORE_MARK = re.compile(r"(?<=[^\W\d_])(?=[.,])")
+#: Letters, then other marks to the end: the vocabulary never joins across that border.
+_LETTERS_THEN_MARKS = re.compile(r"([^\W\d_]+)([^\w\s]+)")
+#: A word of its own, of one id that no other text gives; it parts words encoded in one call.
+_BORDER = "\x01"
+_AT_ONCE = 200
 
 
 class WordTokens:
     """Ids of whole texts, word by word with memory; equal to encoding the text at once.
 
-    The vocabulary drops white space and never joins across it, nor across the border of
-    a letter and a full stop or comma, so texts are cut there and each part is encoded
-    once. Texts that are not in composed form, or hold a letter whose lower case
-    depends on its surroundings, are encoded whole."""
+    The vocabulary drops white space and never joins across it, so texts are cut there and
+    each word is encoded once; letters with marks behind them are two parts that are encoded
+    once each. Words are cut from composed text, so only their lower case is left to the
+    vocabulary's own rules, and nothing if they are ASCII. Texts that are not in composed
+    form, hold a letter whose lower case depends on its surroundings or may hold a
+    control token are encoded whole."""
 
     def __init__(self, path: str, known: int = KNOWN_WORDS):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known, self.ids = Tokenizer.from_file(path), known, {"": b""}
+        with open(path, encoding="utf-8") as file:
+            rules = json.load(file)
+        self.tokenizer, self.known = Tokenizer.from_file(path), known
+        self.plain = Tokenizer.from_str(json.dumps(rules | {"normalizer": None}))
+        # words of letters alone are one part each: white space cuts them as the vocabulary's pattern does
+        byte_level = rules["pre_tokenizer"]["pretokenizers"][-1]
+        letters = {"type": "Sequence", "pretokenizers": [{"type": "WhitespaceSplit"}, byte_level]}
+        self.letters = Tokenizer.from_str(json.dumps(rules | {"normalizer": None, "pre_tokenizer": letters}))
+        self.lower = Tokenizer.from_str(json.dumps(rules | {"normalizer": {"type": "Lowercase"}}))
+        self.border = self.plain.encode(_BORDER, add_special_tokens=False).ids[0]
+        self.ids, self.older = {"": b""}, {}
+
+    def encoded(self, words: list[str]) -> dict[str, bytes]:
+        """Ids of single words, many of them in one call."""
+        found = {}
+        kinds = {self.letters: [], self.plain: [], self.lower: []}
+        for word in words:
+            kind = self.lower if not word.isascii() else self.letters if word.isalpha() else self.plain
+            kinds[kind].append(word)
+        for rules, some in kinds.items():
+            alone = [[w] for w in some if _BORDER in w]
+            some = [w for w in some if _BORDER not in w]
+            groups = alone + [some[at : at + _AT_ONCE] for at in range(0, len(some), _AT_ONCE)]
+            for group, coded in zip(groups, rules.encode_batch_fast([f" {_BORDER} ".join(g) for g in groups], add_special_tokens=False)):
+                ids = np.array(coded.ids, "<u4")
+                at = 4 * np.flatnonzero(ids == self.border) if len(group) > 1 else np.zeros(0, np.int64)
+                flat = ids.tobytes()
+                found.update(zip(group, (flat[i:j] for i, j in zip([0, *(at + 4).tolist()], [*at.tolist(), len(flat)]))))
+        return found
+
+    def learn(self, words: set[str]) -> None:
+        """Puts ids of ``words`` into memory."""
+        ids, older, new, cut = self.ids, self.older, set(), []
+        for word in words:
+            if word in older:
+                ids[word] = older[word]
+            elif parts := _LETTERS_THEN_MARKS.fullmatch(word):
+                cut.append((word, *parts.groups()))
+                for part in parts.groups():
+                    if part in older:
+                        ids[part] = older[part]
+                    elif part not in ids:
+                        new.add(part)
+            else:
+                new.add(word)
+        ids.update(self.encoded(list(new)))
+        for word, letters, marks in cut:
+            ids[word] = ids[letters] + ids[marks]
 
     def texts(self, texts: list[str]) -> list[bytes]:
         parts, whole = [], {}
         for i, text in enumerate(texts):
-            if text.isascii() or unicodedata.is_normalized("NFC", text) and "Σ" not in text and "İ" not in text:
-                parts.append(_BEFORE_MARK.sub(" ", text.lower()).replace("\n", " ").split(" "))
+            if (text.isascii() or unicodedata.is_normalized("NFC", text) and "Σ" not in text and "İ" not in text) and "<|" not in text:
+                parts.append(text.lower().replace("\n", " ").split(" "))
             else:
                 whole[i] = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
                 parts.append([])
-        if len(self.ids) > self.known:
-            self.ids = {"": b""}
-        new = list(set().union(*parts).difference(self.ids))
-        for at in range(0, len(new), 2000):
-            some = new[at : at + 2000]
-            for word, found in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False)):
-                self.ids[word] = np.array(found.ids, "<u4").tobytes()
+        if len(self.ids) > self.known // 2:
+            self.older, self.ids = self.ids, {"": b""}
+        self.learn(set(filterfalse(self.ids.__contains__, chain.from_iterable(parts))))
         get = self.ids.__getitem__
         return [whole[i] if i in whole else b"".join(map(get, words)) for i, words in enumerate(parts)]
 

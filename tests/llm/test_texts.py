@@ -258,6 +258,23 @@ def test_words_equal_whole_encoding(text):
     assert np.frombuffer(words.texts([text])[0], "<u4").tolist() == want
 
 
+def test_packing_words_of_odd_texts_are_those_of_the_whole_text():
+    words = packing.WordTokens(tokenizer_path())
+    odd = ["J\u030c x J\u030c.", "<|ENDOFTEXT|> a", "<|endoftext|>b", "a\x01b \x01 c", "ﬁ ² Ⅷ. x²,", "\t. a\t. a\x1c.", "foo.bar,, baz...", "_a_. 'S'' 't. it's, can't!''", "ẞ. ǅ, 日本。語、 😀. a😀,"]
+    whole = [words.tokenizer.encode(t, add_special_tokens=False).ids for t in odd]
+    assert [np.frombuffer(b, "<u4").tolist() for b in words.texts(odd)] == whole
+
+
+def test_packing_keeps_words_in_use_when_memory_is_full():
+    words, encoded = packing.WordTokens(tokenizer_path(), known=40), []
+    once = words.encoded
+    words.encoded = lambda some: (encoded.extend(some), once(some))[1]
+    for i in range(30):
+        words.texts([f"common words, stay known. rare{'abcdefghij'[i % 10] * (1 + i)}!"])
+    assert encoded.count("common") == 1 and encoded.count(".") == 1
+    assert len(words.ids) + len(words.older) <= 40 + 2 * 12
+
+
 def test_histogram_packing_is_tight():
     rng = np.random.default_rng(1)
     lengths = np.unique(rng.integers(1, 4097, 500))
