@@ -140,18 +140,109 @@ def crc32_bytes(data: bytes) -> int:
 
 # ---------------------------------------------------------------- components
 
+#: Links a task holds before it passes on their stars.
+MOST_LINKS = 1 << 20
+#: Labels up to which they are broadcast to the links (checked by count).
+SMALL_LABELS = 200_000
 
-def components(links: DataFrame, name: str = "links") -> DataFrame:
+
+def stars(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Every id of the links and the least id it reaches over them."""
+    ids, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y = at[: len(a)], at[len(a) :]
+    root = np.arange(len(ids))
+    while True:
+        p, q = root[x], root[y]
+        apart = p != q
+        if not apart.any():
+            return ids, ids[root]
+        p, q, x, y = p[apart], q[apart], x[apart], y[apart]
+        np.minimum.at(root, np.maximum(p, q), np.minimum(p, q))
+        up = root[root]
+        while (up != root).any():
+            root, up = up, up[up]
+
+
+def _stars_of(batches, most: int):
+    held, size = [], 0
+
+    def flush():
+        a, b = (np.concatenate(x) for x in zip(*held))
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in stars(a, b)], ["id", "root"])
+
+    for batch in batches:
+        held.append(tuple(batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1)))
+        size += batch.num_rows
+        if size > most:
+            yield flush()
+            held, size = [], 0
+    if size:
+        yield flush()
+
+
+def _labels(label: DataFrame) -> DataFrame:
+    return F.broadcast(label) if label.count() <= SMALL_LABELS else label
+
+
+def components(links: DataFrame, name: str = "links", known: DataFrame | None = None, levels: int = 3, most: int = MOST_LINKS) -> DataFrame:
     """(id, component): the least id reachable over ``links(a, b)``, for linked ids only.
 
-    Labels go over the links to the least label around, then jump to the label of the
-    label; each round is a written table, so lineage stays short and a lost executor
-    costs a re-read. A hub's links are one key of a join whose other side has a row
-    per id, which adaptive execution can split; nothing is collected per node."""
-    both = links.select(F.col("a").cast("long"), F.col("b").cast("long")).filter("a <> b")
-    both = both.unionByName(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
-    both = materialize(both, f"{name}-edges")
-    label = materialize(both.groupBy(F.col("a").alias("id")).agg(F.least(F.min("b"), F.first("a")).alias("component")), f"{name}-label")
+    ``known`` holds the components of earlier links: ``links`` then join components,
+    and only what they join is worked on. A task turns ``most`` links into stars, ids
+    around the least one; ids in several stars link these stars' least ids, whose components
+    are found the same way, ``levels`` times, and then by rounds over all that is left.
+    Each step is a written table, so lineage stays short and a lost executor costs a
+    re-read; an id occurs once a task, so a hub is no large key."""
+    pairs = links.select(F.col("a").cast("long"), F.col("b").cast("long"))
+    if known is not None:
+        small = known.count() <= SMALL_LABELS
+        side = F.broadcast(known) if small else known
+        for end in ("a", "b"):
+            mapped = side.select(F.col("id").alias(end), F.col("component").alias("c"))
+            pairs = pairs.join(mapped, end, "left").withColumn(end, F.coalesce("c", end)).select("a", "b")
+        if not small:
+            pairs = materialize(pairs, f"{name}-joined")
+    run = lambda batches: _stars_of(batches, most)
+    tasks = -(-links.count() // most) or 1
+    held = materialize(pairs.filter("a <> b").coalesce(tasks).mapInArrow(run, "id long, root long"), f"{name}-stars")
+    if known is not None and held.isEmpty():
+        return known
+    if tasks == 1:
+        label = held.withColumnRenamed("root", "component")
+        label._prunegraph_path = held._prunegraph_path
+    elif levels:
+        roots = held.groupBy("id").agg(F.min("root").alias("component"), F.collect_set("root").alias("roots"))
+        label = materialize(roots.withColumn("roots", F.when(F.size("roots") > 1, F.col("roots"))), f"{name}-roots")
+        meet = label.filter("roots is not null").select(F.explode("roots").alias("a"), F.col("component").alias("b")).filter("a <> b")
+        if not meet.isEmpty():
+            upper = components(meet, name, None, levels - 1, most)
+            above = _labels(upper).select(F.col("id").alias("component"), F.col("component").alias("up"))
+            joined = materialize(label.join(above, "component", "left").select("id", F.coalesce("up", "component").alias("component")), f"{name}-label")
+            discard(label, upper)
+            label = joined
+        discard(held)
+    else:
+        label = _rounds(held, name)
+        discard(held)
+    if known is not None:
+        new = _labels(label)
+        moved = known.join(new.select(F.col("id").alias("component"), F.col("component").alias("up")), "component", "left")
+        moved = moved.select("id", F.coalesce("up", "component").alias("component"))
+        added = label.select("id", "component").join(side.select("id"), "id", "left_anti")
+        every = materialize(moved.unionByName(added), f"{name}-label")
+        discard(label)
+        return every
+    found = label.select("id", "component")
+    found._prunegraph_path = label._prunegraph_path
+    return found
+
+
+def _rounds(held: DataFrame, name: str) -> DataFrame:
+    """(id, component) of ``held(id, root)``: labels go over the links to the least label
+    around, then jump to the label of the label, until none changes."""
+    both = held.select(F.col("id").alias("a"), F.col("root").alias("b"))
+    both = materialize(both.unionByName(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), f"{name}-edges")
+    label = materialize(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("component")), f"{name}-label")
     while True:
         near = both.join(label.withColumnRenamed("id", "b"), "b").groupBy(F.col("a").alias("id")).agg(F.min("component").alias("near"))
         step = label.join(near, "id", "left").select("id", F.col("component").alias("old"), F.least("component", F.coalesce("near", "component")).alias("c"))

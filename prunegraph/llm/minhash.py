@@ -282,7 +282,7 @@ def _joining(ids: np.ndarray, component: np.ndarray, first: np.ndarray, sig: np.
     return found
 
 
-def crowded_links(docs: DataFrame, heads: DataFrame, links: DataFrame | None, label: DataFrame | None, words: int, percent: int, trees: int, hashes: int, depth: int = LEAST_DEPTH, near: int = NEIGHBOURS) -> DataFrame | None:
+def crowded_links(docs: DataFrame, heads: DataFrame, label: DataFrame | None, words: int, percent: int, trees: int, hashes: int, depth: int = LEAST_DEPTH, near: int = NEIGHBOURS) -> DataFrame | None:
     """Components after all classes of every crowded prefix range have met."""
     place = ["tree", "prefix"]
 
@@ -329,11 +329,10 @@ def crowded_links(docs: DataFrame, heads: DataFrame, links: DataFrame | None, la
         placed = within(now, ranges).withColumn("block", F.pmod(F.xxhash64("id", F.lit(5)), F.col("blocks")).cast("int"))
         met = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         met = met.select(*place, F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "id", "component").join(sets, "id")
-        more = materialize(met.groupBy(*place, "lo", "hi").applyInArrow(run, "a long, b long"), "crowded").distinct()
+        more = materialize(met.groupBy(*place, "lo", "hi").applyInArrow(run, "a long, b long"), "crowded")
         if not more.isEmpty():
-            links = more if links is None else links.unionByName(more)
-            label = components(links, "near")
-        discard(ranges)
+            label = components(more, "near", label)
+        discard(ranges, more)
     return label
 
 
@@ -350,7 +349,7 @@ def near_classes(docs: DataFrame, words: int = 5, percent: int = 80, trees: int
     discard(pairs)
     ids = left.select(F.col("a").alias("id")).union(left.select("b")).distinct()
     sets = materialize(class_sets(docs, heads, ids, words), "sets")
-    label, links, tried = None, None, None
+    label, tried = None, None
     for turn in range(3):
         open_ = left
         if label is not None:
@@ -368,10 +367,10 @@ def near_classes(docs: DataFrame, words: int = 5, percent: int = 80, trees: int
         if chosen.isEmpty():
             break
         good = materialize(confirm(chosen, sets, percent), "good")
-        links = good if links is None else links.unionByName(good)
         tried = chosen if tried is None else tried.unionByName(chosen)
-        label = components(links, "near")
-    label = crowded_links(docs, heads, links, label, words, percent, trees, hashes)
+        label = components(good, "near", label)
+        discard(good)
+    label = crowded_links(docs, heads, label, words, percent, trees, hashes)
     group = F.col("id") if label is None else F.coalesce("component", "id")
     named = (heads if label is None else heads.join(label, "id", "left")).select("print_a", "print_b", "rep", group.alias("group"))
     least = named.groupBy("group").agg(F.min("rep").alias("least"))

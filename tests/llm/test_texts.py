@@ -108,6 +108,35 @@ def test_minhash_large_group(spark):
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in minhash.near_duplicates(df, 3, 85).collect()} == want
 
 
+def test_components_of_known_links(spark, monkeypatch):
+    """Later links join known components; small tasks, several levels and the rounds give the same."""
+    from prunegraph.llm import common
+
+    rng = np.random.default_rng(3)
+    chain = rng.permutation(60) + 1000
+    links = [tuple(map(int, x)) for x in [*rng.integers(0, 400, (260, 2)), *zip(chain, chain[1:])]]
+    want = {}
+    for a, b in links:
+        if a != b:
+            low, high = sorted((want.setdefault(a, a), want.setdefault(b, b)))
+            want.update({k: low for k, v in want.items() if v == high})
+    frame = lambda rows: common.materialize(spark.createDataFrame(rows, "a long, b long").repartition(4), "test-links")
+    for most, levels, small in ((1 << 20, 3, 1000), (40, 3, 1000), (40, 1, 0), (40, 0, 0)):
+        monkeypatch.setattr(common, "SMALL_LABELS", small)
+        known = None
+        for part in (links[:100], links[100:150], links[100:120], links[150:]):
+            known = common.components(frame(part), "test", known, levels, most)
+        rows = known.collect()
+        assert len(rows) == len(want) and {r["id"]: r["component"] for r in rows} == want
+    written = []
+    monkeypatch.setattr(common, "SMALL_LABELS", 1000)
+    monkeypatch.setattr(common, "materialize", lambda df, name, own=common.materialize: written.append(name) or own(df, name))
+    # a link inside a component, and a chain, take one step and no rounds
+    assert common.components(frame(links[:1]), "test", known) is known and len(written) == 2
+    common.components(frame(list(zip(chain.tolist(), chain[1:].tolist()))), "test")
+    assert written[2:] == ["test-links", "test-stars"]
+
+
 def test_minhash_star_of_copies(spark):
     base = [f"w{i}" for i in range(200)]
     rng = np.random.default_rng(3)
