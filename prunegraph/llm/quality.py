@@ -39,6 +39,8 @@ SMALL_LABELS = 2_000_000
 _BLOCK = 1 << 19
 #: Different strings a task holds before it passes on their counts.
 MOST_HELD = 1 << 20
+#: Rows of a batch of partial counts.
+_OUT = 1 << 16
 _EDGE = 1  # pads the start and closes the end of a text
 
 
@@ -77,7 +79,8 @@ def counted(batches, order: int, most: int):
         n, t = np.zeros(len(every), np.int64), np.zeros(len(every), np.int64)
         np.add.at(n, inverse, np.concatenate(counts))
         t[inverse[len(keys[0]) :]] = counts[1]
-        return pa.RecordBatch.from_arrays([pa.array(long_view(every)), pa.array(n), pa.array(t)], ["gram", "n", "t"])
+        for i in range(0, len(every), _OUT):
+            yield pa.RecordBatch.from_arrays([pa.array(long_view(every[i : i + _OUT])), pa.array(n[i : i + _OUT]), pa.array(t[i : i + _OUT])], ["gram", "n", "t"])
 
     size = 0
     for batch in batches:
@@ -95,15 +98,24 @@ def counted(batches, order: int, most: int):
                     held[kind] = [_merge(held[kind])]
                     size += len(held[kind][0][0])
                 if size > most:
-                    yield flush()
+                    yield from flush()
                     held, size = [[], []], 0
     if held[0] or held[1]:
-        yield flush()
+        yield from flush()
+
+
+def tidied(batches):
+    """``batches``; after the last one the worker gives back the memory it keeps for a next task."""
+    try:
+        yield from batches
+    finally:
+        _tables.clear()
+        pa.default_memory_pool().release_unused()
 
 
 def string_counts(rows: DataFrame, order: int = ORDER, most: int = MOST_HELD) -> DataFrame:
     """(gram, n, t): occurrences in all texts and in the texts of the fit."""
-    run = lambda batches: counted(batches, order, most)
+    run = lambda batches: tidied(counted(batches, order, most))
     return rows.select("text", "fit").mapInArrow(run, "gram long, n long, t long").groupBy("gram").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
 
 
@@ -205,7 +217,7 @@ def scores(rows: DataFrame, probability: DataFrame, order: int = ORDER, head: in
                 yield pa.RecordBatch.from_arrays([*(c.slice(a, b - a) for c in batch.columns[1:]), pa.array(np.diff(offsets[a : b + 1])), pa.array(total), lists], [*rest_columns, "n_bytes", "head_sum", "rare"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*rest_columns).schema.fields)
-    scored = materialize(rows.select("text", *rest_columns).mapInArrow(run, f"{schema}, n_bytes long, head_sum double, rare array<long>"), "scored")
+    scored = materialize(rows.select("text", *rest_columns).mapInArrow(lambda batches: tidied(run(batches)), f"{schema}, n_bytes long, head_sum double, rare array<long>"), "scored")
     rare = scored.filter(F.size("rare") > 0).select("key", F.explode("rare").alias("gram")).groupBy("key", "gram").agg(F.count(F.lit(1)).alias("m"))
     tail = rare.join(probability.select("gram", "logp"), "gram").groupBy("key").agg(F.sum(F.col("m") * F.col("logp")).alias("tail_sum"))
     # m counts the strings of all rows of a key, which hold the same text
@@ -218,7 +230,7 @@ _tables: dict = {}
 
 
 def _table_of(shared) -> StringTable:
-    """One table per worker and broadcast."""
+    """One table per task and broadcast."""
     keys, values = shared.value
     if _tables.get("of") is not keys:
         _tables.update(of=keys, table=StringTable(keys, values))

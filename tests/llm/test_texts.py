@@ -6,6 +6,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from corpus_samples import prose
 from pyspark.sql import functions as F
@@ -603,3 +604,15 @@ def test_quality_counts_hold_few_strings():
     assert len(whole) == 1 and len(parts) > 1 and max(p.num_rows for p in parts) <= 200_000 + quality._BLOCK
     total = lambda found: pa.Table.from_batches(found).group_by("gram").aggregate([("n", "sum"), ("t", "sum")]).sort_by("gram")
     assert total(parts).equals(total(whole))
+
+
+def test_quality_workers_give_memory_back():
+    """Partial counts leave in batches of a bounded size, and no table outlives its task."""
+    rng = np.random.default_rng(5)
+    texts = ["".join(map(chr, rng.integers(33, 127, 2000))) for _ in range(60)]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts), pa.array([i % 2 == 0 for i in range(60)])], ["text", "fit"])
+    quality._tables.update(of=None, table=quality.StringTable(np.arange(9, dtype=np.uint64), np.zeros(9, np.float32)))
+    out = list(quality.tidied(quality.counted(iter([batch]), 5, 1 << 20)))
+    assert len(out) > 1 and max(b.num_rows for b in out) <= 1 << 16
+    assert sum(b.column(1).to_numpy().sum() for b in out) == 60 * 2001 == 2 * sum(b.column(2).to_numpy().sum() for b in out)
+    assert quality._tables == {}
