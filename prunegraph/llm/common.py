@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -80,6 +81,40 @@ def with_copy(rows: DataFrame, keys: list[str]) -> DataFrame:
     return marked.withColumn("copy", F.when(F.col("again"), F.col("copy")).otherwise(0)).select(*rows.columns, "copy")
 
 
+# ---------------------------------------------------------------- workers' memory
+
+_clear: list[Callable[[], None]] = []
+
+
+def cleared_after_task(clear: Callable[[], None]) -> Callable[[], None]:
+    """Register what empties a cache that a module keeps between the batches of a task."""
+    _clear.append(clear)
+    return clear
+
+
+def give_back() -> None:
+    """Return what the allocators of this worker hold for later; a worker outlives its tasks."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim is not None:
+        trim(0)
+
+
+def tidied(batches):
+    """``batches``; after the last one the worker gives back the memory it keeps for a next task."""
+    try:
+        yield from batches
+    finally:
+        for clear in _clear:
+            clear()
+        give_back()
+
+
+def tidy(kernel):
+    """``kernel`` for ``mapInArrow``, ``tidied``."""
+    return lambda batches: tidied(kernel(batches))
+
+
 # ---------------------------------------------------------------- Arrow text
 
 
@@ -204,7 +239,7 @@ def components(links: DataFrame, name: str = "links", known: DataFrame | None =
             pairs = materialize(pairs, f"{name}-joined")
     run = lambda batches: _stars_of(batches, most)
     tasks = -(-links.count() // most) or 1
-    held = materialize(pairs.filter("a <> b").coalesce(tasks).mapInArrow(run, "id long, root long"), f"{name}-stars")
+    held = materialize(pairs.filter("a <> b").coalesce(tasks).mapInArrow(tidy(run), "id long, root long"), f"{name}-stars")
     if known is not None and held.isEmpty():
         return known
     if tasks == 1:

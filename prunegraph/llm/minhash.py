@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from prunegraph.llm.common import CHUNK_BYTES, components, discard, free_name, materialize, slices, utf8
+from prunegraph.llm.common import CHUNK_BYTES, components, discard, free_name, give_back, materialize, slices, tidy, utf8
 from prunegraph.llm.shingles import minhash, shingle_sets
 
 TREES = 16
@@ -64,7 +64,7 @@ def signatures(docs: DataFrame, words: int, hashes: int = HASHES) -> DataFrame:
                     ["doc_id", "text_hash", "n_shingles", "print_a", "print_b", "sig"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), "text").mapInArrow(run, "doc_id long, text_hash long, n_shingles long, print_a long, print_b long, sig binary")
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_hash"), "text").mapInArrow(tidy(run), "doc_id long, text_hash long, n_shingles long, print_a long, print_b long, sig binary")
 
 
 def _lcp(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -89,7 +89,7 @@ def _forest_rows(classes: DataFrame, trees: int, hashes: int, carry: tuple[str,
                 key = (key ^ np.uint64(1 << 63)).view(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(n, t, np.int32)), pa.array(key[:, 0].copy()), pa.array(key[:, 1].copy()), *ids], names)
 
-    return classes.select("id", "sig", *carry).mapInArrow(run, "tree int, " + ", ".join(f"{c} long" for c in names[1:]))
+    return classes.select("id", "sig", *carry).mapInArrow(tidy(run), "tree int, " + ", ".join(f"{c} long" for c in names[1:]))
 
 
 def candidates(classes: DataFrame, trees: int = TREES, hashes: int = HASHES, depth: int = LEAST_DEPTH, near: int = NEIGHBOURS) -> DataFrame:
@@ -136,7 +136,7 @@ def candidates(classes: DataFrame, trees: int = TREES, hashes: int = HASHES, dep
         if held is not None:
             yield out(edge=held)
 
-    found = materialize(ordered.mapInArrow(run, "a long, b long, tree int, k1 long, k2 long, id long"), "neighbours")
+    found = materialize(ordered.mapInArrow(tidy(run), "a long, b long, tree int, k1 long, k2 long, id long"), "neighbours")
     # rows at the borders of the sorted partitions: 2 * near for each partition
     border = found.filter("tree >= 0").select("tree", "k1", "k2", "id").distinct()
     w = Window.partitionBy("tree").orderBy("k1", "k2", "id")
@@ -163,7 +163,7 @@ def _estimate(pairs: DataFrame, classes: DataFrame, hashes: int) -> DataFrame:
 
     sig = classes.select("id", "sig")
     both = pairs.join(sig.withColumnsRenamed({"id": "a", "sig": "sig_a"}), "a").join(sig.withColumnsRenamed({"id": "b", "sig": "sig_b"}), "b")
-    return both.select("a", "b", "sig_a", "sig_b").mapInArrow(run, "a long, b long, like double")
+    return both.select("a", "b", "sig_a", "sig_b").mapInArrow(tidy(run), "a long, b long, like double")
 
 
 def fingerprint(shingles: np.ndarray) -> np.ndarray:
@@ -198,7 +198,7 @@ def class_sets(docs: DataFrame, heads: DataFrame, ids: DataFrame, words: int) ->
     text = docs.select(F.col("doc_id").cast("long").alias("rep"), "text").withColumn("slot", slot).join(F.broadcast(slots), "slot", "left_semi").drop("slot")
     # rows of a class follow each other, so that one of them is taken
     rows = text.join(wanted, "rep").select("id", "text", "print_a", "print_b").sortWithinPartitions("id")
-    return rows.mapInArrow(run, "id long, set binary")
+    return rows.mapInArrow(tidy(run), "id long, set binary")
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -220,7 +220,7 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     side = (lambda df: F.broadcast(df)) if small else (lambda df: df)
     one = sets.withColumnsRenamed({"id": "a", "set": "set_a"}).join(side(pairs), "a")
     other = sets.withColumnsRenamed({"id": "b", "set": "set_b"}).join(side(pairs.select("b", "a")), "b")
-    return one.join(other, ["a", "b"]).select("a", "b", "set_a", "set_b").mapInArrow(run, "a long, b long")
+    return one.join(other, ["a", "b"]).select("a", "b", "set_a", "set_b").mapInArrow(tidy(run), "a long, b long")
 
 
 def _bits(sets: list[np.ndarray]) -> np.ndarray:
@@ -308,6 +308,8 @@ def crowded_links(docs: DataFrame, heads: DataFrame, label: DataFrame | None, wo
         sig = np.frombuffer(b"".join(group["sig"].to_pylist()), np.uint16).reshape(len(ids), hashes)
         sets = [np.frombuffer(s, np.uint64) for s in group["set"].to_pylist()]
         pairs = _joining(ids, component, first, sig, sets, percent) if first.any() else []
+        if group.nbytes > BLOCK_BYTES // 8:
+            give_back()
         return pa.table({"a": pa.array([p[0] for p in pairs], pa.int64()), "b": pa.array([p[1] for p in pairs], pa.int64())})
 
     known = materialize(labelled(heads.select("id", "sig", "n_shingles")), "labelled")

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from prunegraph.llm.common import free_name, long_view, materialize, slices, utf8
+from prunegraph.llm.common import cleared_after_task, free_name, long_view, materialize, slices, tidied, tidy, utf8  # noqa: F401
 
 ORDER = 5
 HEAD = 1 << 19
@@ -104,18 +104,9 @@ def counted(batches, order: int, most: int):
         yield from flush()
 
 
-def tidied(batches):
-    """``batches``; after the last one the worker gives back the memory it keeps for a next task."""
-    try:
-        yield from batches
-    finally:
-        _tables.clear()
-        pa.default_memory_pool().release_unused()
-
-
 def string_counts(rows: DataFrame, order: int = ORDER, most: int = MOST_HELD) -> DataFrame:
     """(gram, n, t): occurrences in all texts and in the texts of the fit."""
-    run = lambda batches: tidied(counted(batches, order, most))
+    run = tidy(lambda batches: counted(batches, order, most))
     return rows.select("text", "fit").mapInArrow(run, "gram long, n long, t long").groupBy("gram").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
 
 
@@ -217,7 +208,7 @@ def scores(rows: DataFrame, probability: DataFrame, order: int = ORDER, head: in
                 yield pa.RecordBatch.from_arrays([*(c.slice(a, b - a) for c in batch.columns[1:]), pa.array(np.diff(offsets[a : b + 1])), pa.array(total), lists], [*rest_columns, "n_bytes", "head_sum", "rare"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.select(*rest_columns).schema.fields)
-    scored = materialize(rows.select("text", *rest_columns).mapInArrow(lambda batches: tidied(run(batches)), f"{schema}, n_bytes long, head_sum double, rare array<long>"), "scored")
+    scored = materialize(rows.select("text", *rest_columns).mapInArrow(tidy(run), f"{schema}, n_bytes long, head_sum double, rare array<long>"), "scored")
     rare = scored.filter(F.size("rare") > 0).select("key", F.explode("rare").alias("gram")).groupBy("key", "gram").agg(F.count(F.lit(1)).alias("m"))
     tail = rare.join(probability.select("gram", "logp"), "gram").groupBy("key").agg(F.sum(F.col("m") * F.col("logp")).alias("tail_sum"))
     # m counts the strings of all rows of a key, which hold the same text
@@ -227,6 +218,7 @@ def scores(rows: DataFrame, probability: DataFrame, order: int = ORDER, head: in
 
 
 _tables: dict = {}
+cleared_after_task(_tables.clear)
 
 
 def _table_of(shared) -> StringTable:

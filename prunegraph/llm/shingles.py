@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from prunegraph.llm.common import mix
+from prunegraph.llm.common import cleared_after_task, mix
 
 _seed = np.random.default_rng(20240607)
 _BYTE = _seed.integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
@@ -19,6 +19,15 @@ _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _R = np.uint64(0x5851F42D4C957F2D)
 _R_INVERSE = np.uint64(pow(int(_R), -1, 1 << 64))
 _power: dict[str, np.ndarray] = {"up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
+#: Longest powers that outlive a task.
+_LONGEST_KEPT = 1 << 17
+
+
+@cleared_after_task
+def _shorten() -> None:
+    for name, x in _power.items():
+        if len(x) > _LONGEST_KEPT:
+            _power[name] = x[:_LONGEST_KEPT].copy()
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:

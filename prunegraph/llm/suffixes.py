@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from prunegraph.llm.common import free_name, long_view, materialize, mix, slices, utf8, utf8_of
+from prunegraph.llm.common import free_name, long_view, materialize, mix, slices, tidy, utf8, utf8_of
 from prunegraph.llm.shingles import powers, sums
 
 LENGTH = 100
@@ -189,7 +189,7 @@ def _task_stretches(rows: DataFrame, length: int, gram: int) -> DataFrame:
         if held:
             yield from settle(held)
 
-    return rows.filter(f"octet_length(text) >= {length}").mapInArrow(run, _KINDS)
+    return rows.filter(f"octet_length(text) >= {length}").mapInArrow(tidy(run), _KINDS)
 
 
 def _settle_anchors(rows: DataFrame) -> DataFrame:
@@ -238,7 +238,7 @@ def _settle_anchors(rows: DataFrame) -> DataFrame:
 
     # what is settled already only passes through, dealt evenly
     key = F.when(F.col("kind").isin(GONE, OPEN), F.xxhash64("doc", "start")).otherwise(F.col("anchor"))
-    return rows.repartition(key).sortWithinPartitions("anchor", "content", "doc", "start").mapInArrow(run, _KINDS)
+    return rows.repartition(key).sortWithinPartitions("anchor", "content", "doc", "start").mapInArrow(tidy(run), _KINDS)
 
 
 def suffix_array(raw: np.ndarray, depth: int) -> np.ndarray:
@@ -385,7 +385,7 @@ def _dealt(open_: DataFrame, length: int) -> DataFrame:
 
     order = ["anchor", "content", "doc"]
     ranged = open_.repartitionByRange(*order).sortWithinPartitions(*order).select("anchor", "doc", "start", "windows")
-    return ranged.mapInArrow(run, "anchor long, doc long, start long, windows long, shard long, cut boolean")
+    return ranged.mapInArrow(tidy(run), "anchor long, doc long, start long, windows long, shard long, cut boolean")
 
 
 def _bytes_of(dealt: DataFrame, rows: DataFrame, length: int) -> DataFrame:
@@ -410,7 +410,7 @@ def _bytes_of(dealt: DataFrame, rows: DataFrame, length: int) -> DataFrame:
                 doc = batch.column(0).take(pa.array(row))
                 yield pa.RecordBatch.from_arrays([anchor, shard, cut, doc, start, windows, data], ["anchor", "shard", "cut", "doc", "start", "windows", "data"])
 
-    return rows.join(wanted, ["doc", "nth"]).select("doc", "text", "parts").mapInArrow(run, "anchor long, shard long, cut boolean, doc long, start long, windows long, data binary")
+    return rows.join(wanted, ["doc", "nth"]).select("doc", "text", "parts").mapInArrow(tidy(run), "anchor long, shard long, cut boolean, doc long, start long, windows long, data binary")
 
 
 # A pack is a matrix of four rows, sorted by the first: the value of a window's bytes, its
@@ -515,7 +515,7 @@ def _shards(strings: DataFrame, length: int, ranges: int) -> DataFrame:
         if any(p.shape[1] for p in packs):
             yield from send(packs)
 
-    return strings.repartition("shard").sortWithinPartitions("shard").mapInArrow(run, _FOUND)
+    return strings.repartition("shard").sortWithinPartitions("shard").mapInArrow(tidy(run), _FOUND)
 
 
 def _range_of(value: np.ndarray, ranges: int) -> np.ndarray:
@@ -543,7 +543,7 @@ def _merged(packs: DataFrame) -> DataFrame:
         if held:
             yield from settle(held)
 
-    return packs.select("range", "pack").repartition("range").sortWithinPartitions("range").mapInArrow(run, "doc long, start long, windows long")
+    return packs.select("range", "pack").repartition("range").sortWithinPartitions("range").mapInArrow(tidy(run), "doc long, start long, windows long")
 
 
 def repeated_windows(docs: DataFrame, nth: Column, again: bool, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
@@ -607,7 +607,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
             if c:
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(x, pa.int64()) for x in c[:3]), pa.array(c[3]), pa.array(c[4], pa.binary())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    return joined.select(F.col("doc_id").cast("long"), "text", name).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    return joined.select(F.col("doc_id").cast("long"), "text", name).mapInArrow(tidy(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
 def without_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
@@ -629,4 +629,4 @@ def without_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) ->
             columns[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays(columns, schema.names)
 
-    return joined.select(*(docs[c] for c in docs.columns), name).mapInArrow(run, schema)
+    return joined.select(*(docs[c] for c in docs.columns), name).mapInArrow(tidy(run), schema)

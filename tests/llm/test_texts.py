@@ -616,3 +616,19 @@ def test_quality_workers_give_memory_back():
     assert len(out) > 1 and max(b.num_rows for b in out) <= 1 << 16
     assert sum(b.column(1).to_numpy().sum() for b in out) == 60 * 2001 == 2 * sum(b.column(2).to_numpy().sum() for b in out)
     assert quality._tables == {}
+
+
+def test_workers_of_repeats_and_near_duplicates_give_memory_back(spark):
+    """What long texts make a worker keep is gone once its task has ended."""
+    df = spark.createDataFrame([(i, prose(i, 70_000)) for i in range(2)], "doc_id long, text string").repartition(2)
+
+    def kept(batches):
+        from prunegraph.llm import shingles
+
+        list(batches)
+        yield pa.RecordBatch.from_arrays([pa.array([len(shingles._power["up"])])], ["n"])
+
+    for run in (minhash.without_near_duplicates, suffixes.without_repeats):
+        run(df).count()
+        assert run(df).agg(F.sum(F.length("text"))).first()[0] > 500_000
+        assert spark.range(64).repartition(16).mapInArrow(kept, "n long").agg(F.max("n")).first()[0] <= 1 << 17
